@@ -2,12 +2,20 @@
 
 from __future__ import annotations
 
-from linkedrank.llm import quality_rules
+from linkedrank.llm import mixing, quality_rules, url_filter
 
 
 def queries() -> dict:
-    return {"op4_quality_rules": quality_rules.op4}
+    return {
+        "op4_quality_rules": quality_rules.op4,
+        "op5_url_filter": url_filter.op5,
+        "op10_source_mixing": mixing.op10,
+    }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_quality_rules": quality_rules.oracle_sql()}
+    return {
+        "op4_quality_rules": quality_rules.oracle_sql(),
+        "op5_url_filter": url_filter.oracle_sql(),
+        "op10_source_mixing": mixing.oracle_sql(),
+    }
