@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 from linkedrank.sources import read_table
 
 DIM = 4093
-STEPS, RATE, RIDGE = 30, 4.0, 1e-3
+STEPS, RATE, MOMENTUM, RIDGE = 40, 2.0, 0.9, 1e-3
 LABELLED_MOST, RULES_MOST = 1000, 1000
 THRESHOLD = 0.5
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -35,17 +35,15 @@ SYLLABLES = "th er on an re he in ed nd ha at en es of or nt ea ti to it".split(
 
 def labelled_urls() -> list[tuple[str, int]]:
     """The small labelled table: (url, 1 for block); both classes share all their templates."""
+    k = len(SYLLABLES)
+    plain = [SYLLABLES[i % k] + SYLLABLES[(i * 3 + 1) % k] + SYLLABLES[(i * 7 + 2) % k] for i in range(24)]
     out = []
-    for i, w in enumerate(BAD_WORDS):
-        v = BAD_WORDS[(i * 7 + 3) % len(BAD_WORDS)]
-        tld, lang = ("com", "net", "org")[i % 3], ("en", "de", "fr", "es")[i % 4]
-        out += [(f"http://{w}-{v}.example.{tld}/{lang}/{17 * i + 5}", 1), (f"https://www.{w}.example.{tld}/{lang}/{v}/{31 * i}", 1)]
-    for i, w in enumerate(GOOD_WORDS):
-        v = GOOD_WORDS[(i * 7 + 3) % len(GOOD_WORDS)]
-        a, b, c = (SYLLABLES[(i * k + k) % len(SYLLABLES)] for k in (3, 7, 11))
-        tld, lang = ("com", "net", "org")[i % 3], ("en", "de", "fr", "es")[i % 4]
-        out += [(f"http://{w}-{v}.example.{tld}/{lang}/{17 * i + 5}", 0), (f"https://www.{w}.example.{tld}/{lang}/{v}/{31 * i}", 0),
-                (f"https://blog.{a}{b}{c}.example.{tld}/{lang}/{13 * i}.html", 0), (f"http://{b}{c}.example.{tld}/{lang}/{29 * i}/", 0)]
+    for words, label in ((BAD_WORDS, 1), (GOOD_WORDS, 0), (plain, 0)):
+        for i, w in enumerate(words):
+            v = words[(i * 7 + 3) % len(words)]
+            tail = f"example.{('com', 'net', 'org')[i % 3]}/{('en', 'de', 'fr', 'es')[i % 4]}"
+            out += [(f"http://{w}-{v}.{tail}/{17 * i + 5}", label), (f"https://www.{w}.{tail}/{v}/{31 * i}/", label),
+                    (f"https://m.{v}-{w}.{tail}/{53 * i + 7}.html", label), (f"http://blog.{w}{v}.{tail}/{97 * i}", label)]
     return out
 
 
@@ -91,16 +89,17 @@ def fit(labelled: DataFrame) -> list[float]:
         raise ValueError(f"at most {LABELLED_MOST} labelled urls")
     host, path = host_path(F.col("url"))
     rows = trigrams(labelled.select(host.alias("host"), path.alias("path"), F.col("label").cast("double").alias("y")), "host", "path").select("grams", "y").coalesce(1).cache()
-    n, w = rows.count(), [0.0] * (DIM + 1)
+    n, w, speed = rows.count(), [0.0] * (DIM + 1), [0.0] * (DIM + 1)
     try:
-        for step in range(STEPS if n else 0):
+        for _ in range(STEPS if n else 0):
             r = rows.withColumn("r", F.lit(1.0) / (F.exp(-logit(F.col("grams"), w)) + 1.0) - F.col("y"))
             part = r.select(F.explode(F.concat("grams", F.array(F.lit(DIM)))).alias("g"),
                             (F.col("r") / F.sqrt(F.greatest(F.size("grams"), F.lit(1)))).alias("x"), "r")
             grad = part.groupBy("g").agg(F.sum(F.when(F.col("g") == DIM, F.col("r")).otherwise(F.col("x"))).alias("d"))
-            w = [x * (1 - RIDGE) for x in w]
+            speed = [MOMENTUM * v for v in speed]
             for g, d in grad.collect():
-                w[g] -= RATE * d * 10 / n
+                speed[g] -= RATE * d / n
+            w = [x * (1 - RIDGE) + v for x, v in zip(w, speed)]
     finally:
         rows.unpersist()
     return w
@@ -114,7 +113,7 @@ def fit_plain(labelled: list[tuple[str, int]]) -> list[float]:
         s = "^" + rest.split("?")[0].split("#")[0].lower() + "$"
         c = [ord(x) if x in "abcdefghijklmnopqrstuvwxyz0123456789./_^$-" else ord("?") for x in s]
         rows.append(([(a * 7919 + b * 263 + d) % DIM for a, b, d in zip(c, c[1:], c[2:])], y))
-    w = [0.0] * (DIM + 1)
+    w, speed = [0.0] * (DIM + 1), [0.0] * (DIM + 1)
     for _ in range(STEPS):
         grad = [0.0] * (DIM + 1)
         for g, y in rows:
@@ -123,7 +122,8 @@ def fit_plain(labelled: list[tuple[str, int]]) -> list[float]:
             for i in g:
                 grad[i] += r / root
             grad[DIM] += r
-        w = [x * (1 - RIDGE) - RATE * d * 10 / len(rows) for x, d in zip(w, grad)]
+        speed = [MOMENTUM * v - RATE * d / len(rows) for v, d in zip(speed, grad)]
+        w = [x * (1 - RIDGE) + v for x, v in zip(w, speed)]
     return w
 
 
