@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from linkedrank.llm import mixing, quality_rules, url_filter
+from linkedrank.llm import minhash_dedup, mixing, packing, quality_rules, url_filter
 
 
 def queries() -> dict:
     return {
+        "op2_best_fit_packing": packing.op2,
         "op4_quality_rules": quality_rules.op4,
         "op5_url_filter": url_filter.op5,
+        "op6_minhash_dedup": minhash_dedup.op6,
         "op10_source_mixing": mixing.op10,
     }
 
@@ -17,5 +19,6 @@ def oracle_sql() -> dict[str, str]:
     return {
         "op4_quality_rules": quality_rules.oracle_sql(),
         "op5_url_filter": url_filter.oracle_sql(),
+        "op6_minhash_dedup": minhash_dedup.oracle_sql(),
         "op10_source_mixing": mixing.oracle_sql(),
     }

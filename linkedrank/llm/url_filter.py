@@ -21,7 +21,7 @@ from pyspark.sql import functions as F
 from linkedrank.sources import read_table
 
 DIM = 4093
-STEPS, RATE, MOMENTUM, RIDGE = 40, 2.0, 0.9, 1e-3
+STEPS, RATE, MOMENTUM, RIDGE = 60, 2.0, 0.9, 1e-3
 LABELLED_MOST, RULES_MOST = 1000, 1000
 THRESHOLD = 0.5
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
