@@ -10,10 +10,11 @@ candidates; what remains is confirmed on full sets.
 
 Equal sets are one class (hot groups of copies never meet again after one partial aggregate).
 In each band bucket, classes are first tested against the bucket's least class only, which is
-linear in the bucket. Buckets whose classes are then still in several components go on: each
-class against its most likely partner in every other component, then all remaining pairs that
-the likelihood cannot rule out, in blocks of bounded size. So no link is lost within the
-candidates, and dense groups never emit their pairs.
+linear in the bucket. Buckets whose classes are then still in several components go on, in
+blocks of bounded size: first each class with its likeliest partner of another component
+(again linear), then every remaining pair between components that the registers cannot rule
+out, compared on full sets within the block, which emits only links that join components. So
+no link that matters is lost within the candidates, and no group ever emits its pairs.
 
 Edge cases: null or empty texts and texts of blanks only have an empty set and link with
 nothing; a single word is a set of one; repeated rows share a class; rows without id are their
@@ -35,7 +36,7 @@ from linkedrank.sources import read_table, staged
 
 M, ROWS, BASE, RATE = 100, 5, 1.02, 20.0
 Q = 2**16 - 2
-BLOCK = 2048
+BLOCK = 1024
 BROADCAST_MOST = 500_000
 DOUBT = 12.0  # log likelihood by which 0.8 must lose before a pair is ruled out
 WORDS_MOST = 1_000_000
@@ -191,38 +192,80 @@ def _likely(pairs: DataFrame, classes: DataFrame, at_least: float) -> DataFrame:
     return pairs.join(ca, "a").join(cb, "b").where(near).mapInPandas(run, "a binary, b binary")
 
 
-def _in_blocks(members: DataFrame, at_least: float, best_only: bool) -> DataFrame:
-    """Candidate pairs between different components within buckets, block against block.
-
-    members: (key, size, cls, n, regs, root).
-    """
+def _blocks(members: DataFrame) -> DataFrame:
+    """Deal the rows of each bucket (key, size, cls, ...) to pairs of blocks i <= j."""
     blocks = F.ceil(F.col("size") / BLOCK).cast("int")
     m = members.withColumn("mine", F.pmod(F.xxhash64("cls"), blocks).cast("int"))
     m = m.withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
-    m = m.withColumn("i", F.least("mine", "other")).withColumn("j", F.greatest("mine", "other")).drop("other", "size")
+    return m.withColumn("i", F.least("mine", "other")).withColumn("j", F.greatest("mine", "other")).drop("other", "size")
 
-    def run(t: pd.DataFrame) -> pd.DataFrame:
+
+class _Pair:
+    """Two blocks of one bucket: registers, sizes and component labels of x against y."""
+
+    def __init__(self, t: pd.DataFrame, at_least: float):
         t = t.sort_values("cls", ignore_index=True)
-        i, j = t["i"].iat[0], t["j"].iat[0]
-        x, y = t[t["mine"] == i], t[t["mine"] == j]
-        ry, ny, cy, ly = np.frombuffer(b"".join(y["regs"]), np.uint16).reshape(-1, M), y["n"].to_numpy(), y["cls"].to_numpy(), pd.factorize(t["root"])[0]
-        lx, ly = ly[x.index], ly[y.index]
-        out = []
-        for k, (r, n, c) in enumerate(zip(x["regs"], x["n"], x["cls"])):
-            at = np.flatnonzero((ly != lx[k]) & (np.minimum(ny, n) >= np.maximum(ny, n) * (at_least - 1e-9)))
-            if i == j:
-                at = at[at > k]
-            if not len(at):
-                continue
-            ok, est = possible(*_compare(np.frombuffer(r, np.uint16), ry[at]), np.full(len(at), n), ny[at], at_least)
-            at, est = at[ok], est[ok]
-            if best_only and len(at):
-                order = np.lexsort((-est, ly[at]))
-                at = at[order[np.r_[True, np.diff(ly[at][order]) != 0]]]
-            out += [(min(c, cy[q]), max(c, cy[q])) for q in at]
+        self.same, self.at_least = t["i"].iat[0] == t["j"].iat[0], at_least
+        self.label = pd.factorize(t["root"])[0]
+        self.n, self.cls, self.t = t["n"].to_numpy(), t["cls"].to_numpy(), t
+        self.regs = np.frombuffer(b"".join(t["regs"]), np.uint16).reshape(-1, M)
+        self.x = np.flatnonzero(t["mine"] == t["i"].iat[0])
+        self.y = np.flatnonzero(t["mine"] == t["j"].iat[0])
+        # equal registers are at least as likely as the similarity; 5.5 deviations below it is hopeless
+        self.fewest = M * at_least - 5.5 * math.sqrt(M * at_least * (1 - at_least))
+
+    def open(self, k: int, after: bool) -> np.ndarray:
+        """Places of y in another component that the registers do not rule out for place k."""
+        at = self.y[self.y > k] if self.same and after else self.y
+        n = self.n[at]
+        at = at[(self.label[at] != self.label[k]) & (np.minimum(n, self.n[k]) >= np.maximum(n, self.n[k]) * (self.at_least - 1e-9))]
+        return at[(self.regs[at] == self.regs[k]).sum(axis=1) >= self.fewest] if len(at) else at
+
+
+def _likeliest(members: DataFrame, at_least: float) -> DataFrame:
+    """Each class with its likeliest partner of another component, per bucket and block."""
+
+    def run(t: pd.DataFrame) -> pd.DataFrame:
+        p, out = _Pair(t, at_least), {}
+        for k in p.x:
+            at = p.open(k, after=False)
+            if len(at):
+                ok, est = possible(*_compare(p.regs[k], p.regs[at]), np.full(len(at), p.n[k]), p.n[at], at_least)
+                if ok.any():
+                    q = at[ok][est[ok].argmax()]
+                    out[min(p.cls[k], p.cls[q]), max(p.cls[k], p.cls[q])] = None
+        return pd.DataFrame(list(out), columns=["a", "b"])
+
+    return _blocks(members).groupBy("key", "i", "j").applyInPandas(run, "a binary, b binary").distinct()
+
+
+def _joining_links(members: DataFrame, percent: int) -> DataFrame:
+    """Links on full sets between different components, per bucket and block; of the links of a
+    block, those that join what the block has not joined yet. members also hold bands, hashes."""
+
+    def run(t: pd.DataFrame) -> pd.DataFrame:
+        p, out = _Pair(t, percent / 100), []
+        key, bands = p.t["key"].iat[0], np.stack(p.t["bands"])
+        sets = list(p.t["hashes"])
+        ids = np.unique(np.concatenate(sets), return_inverse=True)[1]
+        ids = np.split(ids, np.cumsum([len(x) for x in sets])[:-1])
+        mark = np.zeros(max(map(np.max, ids)) + 1, bool)
+        for k in p.x:
+            at = p.open(k, after=True)
+            if len(at):
+                first = (bands[at] == bands[k]).argmax(axis=1)  # a pair is compared in one of its buckets
+                at = at[bands[k][first] == key]
+                mark[ids[k]] = True
+                for q in at:
+                    if p.label[q] != p.label[k]:
+                        both = int(mark[ids[q]].sum())
+                        if 100 * both >= percent * (len(ids[k]) + len(ids[q]) - both):
+                            out.append((p.cls[k], p.cls[q]))
+                            p.label[p.label == p.label[q]] = p.label[k]
+                mark[ids[k]] = False
         return pd.DataFrame(out, columns=["a", "b"])
 
-    return m.groupBy("key", "i", "j").applyInPandas(run, "a binary, b binary").distinct()
+    return _blocks(members).groupBy("key", "i", "j").applyInPandas(run, "a binary, b binary")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = 80) -> DataFrame:
@@ -241,16 +284,20 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     sets = staged(_sets(docs, id_col, text_col, wanted.select("id", "cls")), "sets")
     links = staged(_verified(tested, sets, percent), "links")
     roots = components(links)
-    for best_only in (True, False):
+    for last in (False, True):
         m = members.join(roots.withColumnRenamed("node", "cls"), "cls", "left").withColumn("root", F.coalesce("root", "cls"))
-        mixed = m.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select("key")
-        m = m.join(mixed, "key", "left_semi").join(wanted.select("cls", "n", "regs"), "cls").drop("lead")
-        more = staged(_in_blocks(m, at_least, best_only).join(tested, ["a", "b"], "left_anti"), "tested")
-        if more.isEmpty():
+        mixed = staged(m.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select("key"), "mixed")
+        if mixed.isEmpty():
             break
-        found = staged(_verified(more, sets, percent), "links")
-        tested, links = tested.union(more), links.union(found)
+        m = m.join(mixed, "key", "left_semi").drop("lead")
+        if last:
+            found = _joining_links(m.join(wanted.select("cls", "n", "regs", "bands"), "cls").join(sets, "cls"), percent)
+        else:
+            more = _likeliest(m.join(wanted.select("cls", "n", "regs"), "cls"), at_least).join(tested, ["a", "b"], "left_anti")
+            found = _verified(staged(more, "tested"), sets, percent)
+        found = staged(found, "links")
         if not found.isEmpty():
+            links = links.union(found)
             roots = components(links)
     ids = classes.select("cls", F.col("id").alias("rep"))
     named = roots.join(ids.withColumnRenamed("cls", "node"), "node")
