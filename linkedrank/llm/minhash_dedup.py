@@ -310,6 +310,24 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         "kept", F.coalesce(F.col(id_col) == F.col("component_id"), F.lit(True)))
 
 
+def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The rows of ``docs`` with one document per group; of rows with one id, one stays."""
+    found = staged(near_duplicates(docs, id_col, text_col), "groups")
+    ids = found.where(F.col(id_col).isNotNull()).groupBy(F.col(id_col).alias("id")).agg(F.max("kept").alias("kept"), F.count("*").alias("many"))
+    ids = staged(ids.where(~F.col("kept") | (F.col("many") > 1)), "decided")
+    gone, many = ids.where(~F.col("kept")).select("id"), ids.where("kept").select("id")
+
+    def small(t):
+        return F.broadcast(t) if t.count() <= BROADCAST_MOST else t
+
+    left = docs.join(small(gone), docs[id_col] == F.col("id"), "left_anti")
+    if many.isEmpty():
+        return left
+    many = small(many)
+    again = left.join(many, left[id_col] == F.col("id"), "left_semi").dropDuplicates([id_col])
+    return left.join(many, left[id_col] == F.col("id"), "left_anti").unionByName(again)
+
+
 def op6(spark, sf_dir: str) -> DataFrame:
     return near_duplicates(read_table(spark, sf_dir, "documents"))
 

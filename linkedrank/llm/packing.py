@@ -67,11 +67,29 @@ class Encoder:
         if len(known) > CACHE_MOST:
             known.clear()
             known[""] = b""
-        new = list({p for p in parts if p not in known})
-        for p, e in zip(new, self.tokenizer.encode_batch(new, add_special_tokens=False)):
-            known[p] = np.array(e.ids, dtype="<u4").tobytes()
+        self._learn({p: p for p in parts if p not in known})
         return b"".join([known[p] for p in parts])
 
+    def _learn(self, texts: dict) -> None:
+        for k, e in zip(texts, self.tokenizer.encode_batch(list(texts.values()), add_special_tokens=False)):
+            self.known[k] = np.array(e.ids, dtype="<u4").tobytes()
+
+    def encode_words(self, words: list[bytes]) -> list[bytes]:
+        """Ids of each word (UTF-8, without blanks)."""
+        known = self.known
+        try:
+            return [known[w] for w in words]
+        except KeyError:
+            pass
+        if len(known) > CACHE_MOST:
+            known.clear()
+            known[""] = b""
+        self._learn({w: w.decode("utf-8", "replace") for w in words if w not in known})
+        return [known[w] for w in words]
+
+    def encode_word(self, word: bytes) -> bytes:
+        return self.encode_words([word])[0]
+
 
 def pieces(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str = "text",
            capacity: int = CAPACITY, end_id: int = END_ID, with_ids: bool = False) -> DataFrame:

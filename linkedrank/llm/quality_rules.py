@@ -182,9 +182,8 @@ def scored(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
 def keep_good(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The rows of ``docs`` with a good verdict, all columns as they came."""
     row = {"row": F.struct(*[docs[c] for c in docs.columns])}
-    voted = counts(docs, row, docs[text_col]).withColumn("votes", F.expr(votes_sql()))
-    model = fit(staged(voted.drop("row"), "rule-votes"))
-    return judged(voted, model).where("kept").select("row.*")
+    voted = staged(counts(docs, row, docs[text_col]).withColumn("votes", F.expr(votes_sql())), "rule-votes")
+    return judged(voted, fit(voted)).where("kept").select("row.*")
 
 
 def op4(spark, sf_dir: str) -> DataFrame:
