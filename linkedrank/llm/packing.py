@@ -19,7 +19,9 @@ full pieces with one shorter last piece; extra columns are ignored.
 from __future__ import annotations
 
 import zlib
+from array import array
 from bisect import bisect_left, insort
+from itertools import chain
 
 import numpy as np
 import pandas as pd
@@ -32,6 +34,7 @@ from linkedrank.sources import read_table, staged
 CAPACITY = 4096
 END_ID = 1
 CACHE_MOST = 400_000
+GROUP = 256
 PIECE_SCHEMA = "piece int, start long, length long, ids_crc32 long"
 _encoders: dict = {}
 
@@ -54,41 +57,25 @@ class Encoder:
             _encoders[path] = cls(path)
         return _encoders[path]
 
-    def encode(self, text: str | None) -> bytes:
-        """Ids as little-endian unsigned 32-bit, without special ids."""
-        if not text:
-            return b""
-        parts = text.replace("\n", " ").split(" ")
-        known = self.known
-        try:
-            return b"".join([known[p] for p in parts])
-        except KeyError:
-            pass
-        if len(known) > CACHE_MOST:
-            known.clear()
-            known[""] = b""
-        self._learn({p: p for p in parts if p not in known})
-        return b"".join([known[p] for p in parts])
+    def encode_texts(self, texts: list) -> list[bytes]:
+        """Ids of each text as little-endian unsigned 32-bit, without special ids (null: none)."""
+        return [b"".join(w) for w in self.encode_words([t.replace("\n", " ").split(" ") if t else [] for t in texts])]
 
-    def _learn(self, texts: dict) -> None:
-        for k, e in zip(texts, self.tokenizer.encode_batch(list(texts.values()), add_special_tokens=False)):
-            self.known[k] = np.array(e.ids, dtype="<u4").tobytes()
-
-    def encode_words(self, words: list[bytes]) -> list[bytes]:
-        """Ids of each word (UTF-8, without blanks)."""
+    def encode_words(self, lists: list) -> list[list[bytes]]:
+        """Ids of each word of each list; words (text, or UTF-8 bytes) hold no blanks."""
         known = self.known
         try:
-            return [known[w] for w in words]
+            return [[known[w] for w in words] for words in lists]
         except KeyError:
             pass
         if len(known) > CACHE_MOST:
             known.clear()
             known[""] = b""
-        self._learn({w: w.decode("utf-8", "replace") for w in words if w not in known})
-        return [known[w] for w in words]
-
-    def encode_word(self, word: bytes) -> bytes:
-        return self.encode_words([word])[0]
+        new = list({w for words in lists for w in words if w not in known})
+        texts = [w.decode("utf-8", "replace") if isinstance(w, bytes) else w for w in new]
+        for w, e in zip(new, self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)):
+            known[w] = array("I", e.ids).tobytes()
+        return [[known[w] for w in words] for words in lists]
 
 
 def pieces(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str = "text",
@@ -100,9 +87,10 @@ def pieces(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: st
     def cut(batches):
         encoder, seen, task = Encoder.at(tokenizer), np.zeros(capacity + 1, dtype=np.int64), TaskContext.get().partitionId()
         for batch in batches:
-            rows = []
-            for doc, text in zip(batch["doc_id"], batch["text"]):
-                ids = encoder.encode(text) + end
+            rows, texts = [], batch["text"].tolist()
+            coded = chain.from_iterable(encoder.encode_texts(texts[i : i + GROUP]) for i in range(0, len(texts), GROUP))
+            for doc, ids in zip(batch["doc_id"], coded):
+                ids += end
                 total = len(ids) // 4
                 for k, start in enumerate(range(0, total, capacity)):
                     part = ids[4 * start : 4 * (start + capacity)]
