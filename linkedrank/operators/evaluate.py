@@ -218,7 +218,7 @@ def banded(prep: Prepared, k: int | None = None, slack: int | None = None, ratio
         bands.append((low, found.count()))
         if theta >= low:
             break
-        goal = read * (1 + growth)
+        goal = max(read + 1, read * growth)
     spark = next(iter(prep.schema.frames.values())).sparkSession
     found = spark.createDataFrame([], TREE) if found is None else found
     return Answer(top(found, k), found, theta, bands)
