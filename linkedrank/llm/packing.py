@@ -18,6 +18,7 @@ full pieces with one shorter last piece; extra columns are ignored.
 
 from __future__ import annotations
 
+import re
 import zlib
 from array import array
 from bisect import bisect_left, insort
@@ -33,15 +34,57 @@ from linkedrank.sources import read_table, staged
 
 CAPACITY = 4096
 END_ID = 1
-CACHE_MOST = 400_000
+CACHE_MOST = 300_000
 GROUP = 256
 PIECE_SCHEMA = "piece int, start long, length long, ids_crc32 long"
 _encoders: dict = {}
 
 
+class _Remembered(dict):
+    """A bounded memory of two generations: what is used again survives when the younger is full."""
+
+    def __init__(self):
+        super().__init__()
+        self.older: dict = {}
+
+    def lacking(self, keys: set) -> list:
+        """Keys in neither generation; keys of the older one move to the younger."""
+        out, older = [], self.older
+        for k in keys:
+            if k not in self:
+                if k in older:
+                    self[k] = older[k]
+                else:
+                    out.append(k)
+        return out
+
+    def turn(self) -> None:
+        if len(self) > CACHE_MOST:
+            self.older = dict(self)
+            self.clear()
+
+
+# Parts of which lower case and composed form are plain: ASCII signs and Latin-1 letters. Of
+# their lower case, the tokenizer's own split into letters, single digits and signs.
+_PLAIN = re.compile(r"[!-~\xc0-\xd6\xd8-\xf6\xf8-\xff]+")
+_ATOMS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z\xdf-\xf6\xf8-\xff]+|[0-9]|[^a-z0-9\xdf-\xf6\xf8-\xff]+")
+
+
+def _byte_letters() -> str:
+    """The letter that stands for each byte in a byte-level vocabulary: itself where it prints,
+    else the next unused one from U+0100 on."""
+    shown = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    other = iter(range(256, 512))
+    return "".join(chr(b) if b in shown else chr(next(other)) for b in range(256))
+
+
+_LETTERS = _byte_letters()
+
+
 class Encoder:
-    """Token ids of whole texts; the tokenizer never merges over blanks, so parts between
-    blanks are encoded once and remembered (a bounded memory, emptied when full)."""
+    """Token ids of whole texts; the tokenizer never merges over blanks, so parts between blanks
+    are encoded once and remembered. Plain parts are put together from the letters and
+    signs they hold, which recur far more often than the parts do."""
 
     def __init__(self, path: str):
         import os
@@ -49,7 +92,7 @@ class Encoder:
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.known = Tokenizer.from_file(path), {"": b""}
+        self.tokenizer, self.known, self.atoms = Tokenizer.from_file(path), _Remembered(), _Remembered()
 
     @classmethod
     def at(cls, path: str) -> Encoder:
@@ -64,19 +107,30 @@ class Encoder:
     def encode_words(self, lists: list) -> list[list[bytes]]:
         """Ids of each word of each list; words (text, or UTF-8 bytes) hold no blanks."""
         known = self.known
-        try:
-            return [[known[w] for w in words] for words in lists]
-        except KeyError:
-            pass
-        if len(known) > CACHE_MOST:
-            known.clear()
-            known[""] = b""
-        new = list({w for words in lists for w in words if w not in known})
-        texts = [w.decode("utf-8", "replace") if isinstance(w, bytes) else w for w in new]
-        for w, e in zip(new, self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)):
-            known[w] = array("I", e.ids).tobytes()
+        known.turn()
+        self.atoms.turn()
+        new = known.lacking(set(chain.from_iterable(lists)))
+        if new:
+            self._learn(new)
         return [[known[w] for w in words] for words in lists]
 
+    def _learn(self, new: list) -> None:
+        known, atoms, whole, split = self.known, self.atoms, [], []
+        for w in new:
+            text = w.decode("utf-8", "replace") if isinstance(w, bytes) else w
+            if _PLAIN.fullmatch(text) and "<|" not in text:
+                split.append((w, _ATOMS.findall(text.lower())))
+            else:
+                whole.append((w, text))
+        model = self.tokenizer.model
+        for k in atoms.lacking(set(chain.from_iterable(parts for _, parts in split))):
+            atoms[k] = array("I", [t.id for t in model.tokenize(k.encode().decode("latin-1").translate(_LETTERS))]).tobytes()
+        if whole:
+            for (w, _), e in zip(whole, self.tokenizer.encode_batch_fast([t for _, t in whole], add_special_tokens=False)):
+                known[w] = array("I", e.ids).tobytes()
+        for w, parts in split:
+            known[w] = atoms[parts[0]] if len(parts) == 1 else b"".join([atoms[p] for p in parts])
+
 
 def pieces(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str = "text",
            capacity: int = CAPACITY, end_id: int = END_ID, with_ids: bool = False) -> DataFrame:

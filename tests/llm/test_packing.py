@@ -78,3 +78,20 @@ def test_pieces_match_plain_tokenizer_and_sequences_are_full(spark, sf):
 
 def test_empty_table(spark):
     assert packing.pack(spark.createDataFrame([], "doc_id long, text string"), path).count() == 0
+
+
+def test_encoder_equals_tokenizer_on_odd_texts():
+    from hypothesis import given, settings, strategies as st
+
+    t = tokenizers.Tokenizer.from_file(path)
+    sign = st.sampled_from(list("aZéÀßÿ×ªµ²'sS!?.,0 9ſİΣς́ \t\n\r\x0b\x1c\x85<|>_☃漢") + ["<|endoftext|>", "'ll ", "It's", "'S"])
+
+    @settings(max_examples=400, deadline=None)
+    @given(st.lists(sign, max_size=14).map("".join))
+    def check(text):
+        got = np.frombuffer(packing.Encoder.at(path).encode_texts([text])[0], "<u4").tolist()
+        assert got == t.encode(text, add_special_tokens=False).ids
+        words = text.encode().lower().split()
+        assert np.frombuffer(b"".join(packing.Encoder.at(path).encode_words([words])[0]), "<u4").tolist() == got
+
+    check()
