@@ -18,6 +18,7 @@ full pieces with one shorter last piece; extra columns are ignored.
 
 from __future__ import annotations
 
+import gc
 import re
 import zlib
 from array import array
@@ -109,10 +110,16 @@ class Encoder:
         known = self.known
         known.turn()
         self.atoms.turn()
-        new = known.lacking(set(chain.from_iterable(lists)))
-        if new:
-            self._learn(new)
-        return [[known[w] for w in words] for words in lists]
+        collecting = gc.isenabled()
+        gc.disable()  # nothing here makes cycles, and collections would walk all short-lived lists
+        try:
+            new = known.lacking(set(chain.from_iterable(lists)))
+            if new:
+                self._learn(new)
+            return [[known[w] for w in words] for words in lists]
+        finally:
+            if collecting:
+                gc.enable()
 
     def _learn(self, new: list) -> None:
         known, atoms, whole, split = self.known, self.atoms, [], []
