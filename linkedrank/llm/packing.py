@@ -36,7 +36,7 @@ from linkedrank.sources import read_table, staged
 CAPACITY = 4096
 END_ID = 1
 CACHE_MOST = 300_000
-GROUP = 256
+GROUP_CHARS = 4_000_000  # of text that is split into words at a time
 PIECE_SCHEMA = "piece int, start long, length long, ids_crc32 long"
 _encoders: dict = {}
 
@@ -139,6 +139,18 @@ class Encoder:
             known[w] = atoms[parts[0]] if len(parts) == 1 else b"".join([atoms[p] for p in parts])
 
 
+def groups(texts: list, most: int = GROUP_CHARS):
+    """(start, end) of runs of texts of about ``most`` characters, at least one text each."""
+    start = chars = 0
+    for k, t in enumerate(texts):
+        chars += len(t) if t else 0
+        if chars >= most:
+            yield start, k + 1
+            start, chars = k + 1, 0
+    if start < len(texts):
+        yield start, len(texts)
+
+
 def pieces(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str = "text",
            capacity: int = CAPACITY, end_id: int = END_ID, with_ids: bool = False) -> DataFrame:
     """Pieces of at most ``capacity`` ids; ``task`` and ``nth`` number equal lengths within a task."""
@@ -149,7 +161,7 @@ def pieces(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: st
         encoder, seen, task = Encoder.at(tokenizer), np.zeros(capacity + 1, dtype=np.int64), TaskContext.get().partitionId()
         for batch in batches:
             rows, texts = [], batch["text"].tolist()
-            coded = chain.from_iterable(encoder.encode_texts(texts[i : i + GROUP]) for i in range(0, len(texts), GROUP))
+            coded = chain.from_iterable(encoder.encode_texts(texts[i:j]) for i, j in groups(texts))
             for doc, ids in zip(batch["doc_id"], coded):
                 ids += end
                 total = len(ids) // 4
