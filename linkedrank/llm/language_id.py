@@ -66,10 +66,10 @@ class LanguageModel:
         if not self.names:
             return
         label = np.array([self.names.index(v) for v in languages])
-        aside = np.arange(len(label)) % 5 == 4
-        target = (self.codes[label] + 1) / 2
-        self.w, self.b = self._descend(x[~aside], target[~aside])
-        right = ((self.margins(x[aside]) > 0) == (target[aside] > 0.5)).mean(axis=0) if aside.any() else np.ones(self.codes.shape[1])
+        target = ((self.codes[label] + 1) / 2).astype(np.float32)
+        n = len(label) - len(label) // 5  # the rest is kept aside; slices are views, not copies
+        self.w, self.b = self._descend(x[:n], target[:n])
+        right = ((self.margins(x[n:]) > 0) == (target[n:] > 0.5)).mean(axis=0) if n < len(label) else np.ones(self.codes.shape[1])
         self.weight = np.clip(2 * right - 1, 0.05, 1.0).astype(np.float32)
         self.w, self.b = self._descend(x, target)
 
@@ -119,10 +119,12 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_co
     got = picked.mapInPandas(run, f"id {docs.schema[id_col].dataType.simpleString()}, lang string, at array<int>, x array<float>")
     got = got.toPandas().sort_values(["id", "lang"], kind="stable", ignore_index=True).head(2 * SAMPLE)
     order = np.random.default_rng(1).permutation(len(got))
+    languages = list(got["lang"].iloc[order])
     x = np.zeros((len(got), DIM), np.float32)
-    for row, (at, v) in enumerate(zip(got["at"], got["x"])):
-        x[row, at] = v
-    return LanguageModel(x[order], list(got["lang"].iloc[order]))
+    for row, k in enumerate(order):
+        x[row, got["at"].iat[k]] = got["x"].iat[k]
+    del got
+    return LanguageModel(x, languages)
 
 
 def _predict(model, texts) -> pd.DataFrame:
