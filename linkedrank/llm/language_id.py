@@ -113,6 +113,8 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_co
         for b in batches:
             x = [features(t) for t in b["text"] if has_letter(t)]
             lang = [v for v, t in zip(b["lang"], b["text"]) if has_letter(t)]
+            if not x:
+                continue
             at = [np.flatnonzero(v) for v in x]
             yield pd.DataFrame({"id": [i for i, t in zip(b["id"], b["text"]) if has_letter(t)], "lang": lang, "at": at, "x": [v[i] for v, i in zip(x, at)]})
 

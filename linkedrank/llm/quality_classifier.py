@@ -69,6 +69,8 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     def run(batches):
         for b in batches:
             b = b[b["text"].map(bool)]
+            if not len(b):
+                continue
             x = [features(t) for t in b["text"]]
             at = [np.flatnonzero(v) for v in x]
             yield pd.DataFrame({"id": b["id"], "y": b["y"], "at": at, "x": [v[i] for v, i in zip(x, at)]})
