@@ -98,7 +98,7 @@ def test_embeddings(spark):
     m /= np.linalg.norm(m, axis=1, keepdims=True)
     links = (m @ m.T >= 0.95).sum(axis=1) - 1
     assert [got[i]["n_links"] for i in range(151)] == links.tolist()
-    assert [got[i]["n_links"] for i in range(151, 159)] == [0, 0, 0, 0, 1, 1, 0] + [0] * 1 if False else [got[i]["n_links"] for i in range(151, 158)] == [0, 0, 0, 0, 1, 1, 0]
+    assert [got[i]["n_links"] for i in range(151, 158)] == [0, 0, 0, 0, 1, 1, 0]
 
 
 def test_chat_round_trip(spark):
