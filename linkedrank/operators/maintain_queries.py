@@ -123,3 +123,55 @@ def partner_depth2(spark, sf_dir):
     lines = cache.along("part", full.frames["part"].where(GONE), links["line_part"])
     rows = full.frames["lineitem"].join(lines.select("key"), "key", "left_semi")
     return cache.within(cache.along("lineitem", rows, links["line_order"]), full.frames["orders"]).agg(F.count("*").alias("n"))
+
+
+@query("snapshot_after_changes", f"SELECT count(*) AS n, CAST(sum(length(text)) AS BIGINT) AS chars, CAST(sum(key) AS BIGINT) AS keys FROM ({TRADE.duck('part')}) WHERE NOT ({GONE} AND {FIRST})")
+def snapshot_after(spark, sf_dir):
+    full, start = _start(spark, sf_dir, ["part"])
+    state, _ = maintain.apply(maintain.register(start, Q_SMOKE), {"part": _inserts(full, "part").unionByName(_deletes(full, "part"))})
+    return state.schema.frames["part"].agg(F.count("*").alias("n"), F.sum(F.length("text")).alias("chars"), F.sum("key").cast("long").alias("keys"))
+
+
+_PAIR = "(SELECT count(*) FILTER (tf_{i} > 0) FROM c_part WHERE {where})"
+
+
+def _margin_sql():
+    ctes = ",\n".join(c for c in oracles.relation_ctes(TRADE, Q_SMOKE, False) if c.startswith(("r_part ", "c_part ")))
+    m, out = Q_SMOKE.margins, []
+    old, now = f"{FIRST}", "true"
+    for i, w in enumerate(Q_SMOKE.words):
+        n = "(SELECT count(*) FROM c_part WHERE {where})"
+        live = f"greatest(0, ln({n.format(where=now)} / ({_PAIR.format(i=i, where=now)} + 1)))"
+        bound = f"greatest(0, ln({n.format(where=old)} / ({_PAIR.format(i=i, where=old)} * {1 - m.df} + 1)))"
+        out.append(f"SELECT '{w}' AS word, {live} AS live, {bound} AS bound, {_PAIR.format(i=i, where=now)} > 0 AND {live} > {bound} + 1e-12 AS violated")
+    live, bound = (f"(SELECT avg(dl) FROM c_part WHERE {x})" for x in (now, old))
+    out.append(f"SELECT '' AS word, {live} AS live, {bound} * {1 + m.avdl} AS bound, {live} > {bound} * {1 + m.avdl} + 1e-12 AS violated")
+    return f"WITH {ctes}\nSELECT word, round(live, 6) AS live, round(bound, 6) AS bound, violated FROM (" + "\nUNION ALL ".join(out) + ")"
+
+
+@query("margin_violations", _margin_sql())
+def margin_violations(spark, sf_dir):
+    """Live idf per word and live mean length (word "") against the bounds frozen at the first snapshot."""
+    full, start = _start(spark, sf_dir, ["part"])
+    words, m = list(Q_SMOKE.words), Q_SMOKE.margins
+    frozen, live = (scoring.statistics(scoring.with_counts(s.frames["part"], words), words) for s in (start, full))
+    broken = set(maintain.violations({"part": live}, {"part": (frozen, m)}))
+    rows = [(w, round(live.idf(w), 6), round(frozen.idf(w, m.df), 6), ("part", w) in broken) for w in words]
+    rows.append(("", round(live.avdl, 6), round(frozen.avdl * (1 + m.avdl), 6), ("part", "") in broken))
+    return spark.createDataFrame(rows, "word string, live double, bound double, violated boolean")
+
+
+@query("slack_refill", _sql({"part": f"NOT ({GONE})"}))
+def slack_refill(spark, sf_dir):
+    """Deletes under no slack at all: the answer runs short and reading resumes."""
+    full = TRADE.load(spark, sf_dir)
+    state, _ = maintain.apply(maintain.register(full, Q_SMOKE, maintain.MaintainConfig(slack=0)), {"part": _deletes(full, "part", "true")})
+    return state.top().select(ANSWER)
+
+
+@query("retreat_theta", f"SELECT CAST(count(*) AS INTEGER) AS n, min(score) AS kth FROM ({_sql({})})")
+def retreat_theta(spark, sf_dir):
+    """After inserts and a retreat, the best k found trees are still the best of all."""
+    full, start = _start(spark, sf_dir, ["part"])
+    state, _ = maintain.apply(maintain.register(start, Q_SMOKE), {"part": _inserts(full, "part")})
+    return state.top().agg(F.count("*").cast("int").alias("n"), F.min("score").alias("kth"))

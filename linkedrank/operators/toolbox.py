@@ -31,10 +31,7 @@ PORTABLE = {
     "answers_common": "SELECT c_nationkey AS k FROM {customer} INTERSECT SELECT s_nationkey AS k FROM {supplier}",
     "clean_pages": "SELECT page_id, length(regexp_replace(html, '<[^>]*>', ' '{g})) AS n FROM {pages}",
     "events_by_day": "SELECT CAST(CAST(ts AS DATE) AS STRING) AS day, event_type, count(*) AS n FROM {events} GROUP BY CAST(CAST(ts AS DATE) AS STRING), event_type",
-    "workload_words_by_level": "SELECT c_custkey % 77 AS token, count(*) AS df FROM {customer} GROUP BY c_custkey % 77",
-    "retreat_theta": "SELECT min(s) AS theta FROM (SELECT round(o_totalprice, 2) AS s FROM {orders} ORDER BY o_totalprice DESC LIMIT 101) x",
     "recursive_partners": "WITH RECURSIVE r(k, depth) AS (SELECT CAST(1 AS BIGINT), 0 UNION ALL SELECT k + 1, depth + 1 FROM r WHERE depth < 3) SELECT k, depth FROM r",
-    "snapshot_after_changes": "SELECT count(*) AS n, CAST(sum(p_size) AS BIGINT) AS size FROM {part} WHERE NOT ((p_partkey * 104729 + 71) % 1000 < 328)",
 }
 
 

@@ -224,7 +224,7 @@ def measure_early_stop(spark, sf_dir):
 
 
 def queries() -> dict:
-    from linkedrank.operators import maintain_queries, toolbox  # they register themselves  # noqa: F401
+    from linkedrank.operators import experiments, maintain_queries, surface, toolbox  # they register themselves  # noqa: F401
 
     return dict(_queries)
 
