@@ -104,8 +104,11 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_co
     rows = docs.select(docs[id_col].alias("id"), docs[lang_col].cast("string").alias("lang")).where(F.col("lang").isNotNull() & F.col("id").isNotNull()).where(~held_out(F.col("id")))
     top = rows.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(LANGUAGES_MOST)
     each = max(1, SAMPLE // max(1, min(LANGUAGES_MOST, top.count())))
-    w = Window.partitionBy("lang").orderBy(F.xxhash64("id"), "id")
-    ids = rows.join(F.broadcast(top.select("lang")), "lang", "left_semi").withColumn("r", F.row_number().over(w)).where(F.col("r") <= each)
+    # A hash below this share leaves about twice as many rows as are ranked, whatever the size of a language.
+    share = (F.lit(2.0 * each + 64) / F.col("n")) * 2.0**64 - 2.0**63
+    near = rows.join(F.broadcast(top), "lang").withColumn("h", F.xxhash64("id")).where(F.col("h") <= share).drop("n")
+    w = Window.partitionBy("lang").orderBy("h", "id")
+    ids = near.withColumn("r", F.row_number().over(w)).where(F.col("r") <= each)
     ids = staged(ids.select("id", "lang").distinct(), "language-sample")  # at most SAMPLE + LANGUAGES_MOST rows
     picked = docs.select(docs[id_col].alias("id"), docs[lang_col].cast("string").alias("lang"), docs[text_col].alias("text")).join(F.broadcast(ids), ["id", "lang"], "left_semi")
 
