@@ -64,6 +64,10 @@ class _Remembered(dict):
             self.older = dict(self)
             self.clear()
 
+    def forget(self) -> None:
+        self.clear()
+        self.older = {}
+
 
 # Parts of which lower case and composed form are plain: ASCII signs and Latin-1 letters. Of
 # their lower case, the tokenizer's own split into letters, single digits and signs.
