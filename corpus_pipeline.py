@@ -13,6 +13,8 @@ from pyspark.sql import functions as F
 from linkedrank.llm import language_id, minhash_dedup, mixing, packing, quality_rules
 from linkedrank.sources import read_table, staged
 
+SHINGLE_WORDS = 5  # near-duplicates share 0.8 of their five-word shingles; op6 takes two words
+
 
 def rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return quality_rules.keep_good(docs)
@@ -23,7 +25,7 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return minhash_dedup.keep_one(docs)
+    return minhash_dedup.keep_one(docs, width=SHINGLE_WORDS)
 
 
 def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -1,6 +1,6 @@
 """Operator 6: near-duplicates by SetSketch registers.
 
-A document is the set of its distinct 2-word shingles, kept as 64-bit hashes (a set of a
+A document is the set of its distinct shingles of ``width`` words (2 in op6), kept as 64-bit hashes (a set of a
 million shingles holds two with one hash with a probability under 1e-7). Its sketch holds M
 registers: the minimum of an exponential variable per register over the set, truncated to
 exponentially spaced steps of base B. Registers of a union are the maxima, so sketches merge; equal registers
@@ -17,7 +17,7 @@ out, compared on full sets within the block, which emits only links that join co
 no link that matters is lost within the candidates, and no group ever emits its pairs.
 
 Edge cases: null or empty texts and texts of blanks only have an empty set and link with
-nothing; a single word is a set of one; repeated rows share a class; rows without id are their
+nothing; a text of fewer words than the width is a set of one; repeated rows share a class; rows without id are their
 own component (null); an empty table gives an empty result; extra columns are ignored.
 """
 
@@ -34,6 +34,7 @@ from pyspark.sql import functions as F
 from linkedrank.llm.components import components
 from linkedrank.sources import read_table, staged
 
+WIDTH = 2  # words of a shingle in op6
 M, ROWS, BASE, RATE = 100, 5, 1.02, 20.0
 Q = 2**16 - 2
 BLOCK = 1024
@@ -63,17 +64,23 @@ def _mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-def shingles(text: str | None) -> np.ndarray:
-    """Sorted distinct shingle hashes of a whole text."""
+def shingles(text: str | None, width: int = WIDTH) -> np.ndarray:
+    """Sorted distinct hashes of a whole text's shingles of ``width`` words."""
     if not text:
         return np.empty(0, np.uint64)
     words = text.encode("utf-8", "replace").lower().split()
     if len(_words) > WORDS_MOST:
         _words.clear()
     h = np.fromiter(map(_words.__getitem__, words), np.uint64, len(words))
-    if len(h) == 1:
-        return _mix(h ^ _K1)
-    return np.unique(_mix(h[:-1] * _K1 + h[1:]))
+    if not len(h):
+        return h
+    many = max(1, len(h) - width + 1)
+    rolled = h[:many].copy()
+    for k in range(1, min(width, len(h))):
+        rolled = rolled * _K1 + h[k : k + many]
+    if len(h) < width:
+        return _mix(rolled ^ _K1)
+    return np.unique(_mix(rolled))
 
 
 def registers(hashes: np.ndarray) -> np.ndarray:
@@ -126,7 +133,7 @@ def _compare(a: np.ndarray, b: np.ndarray):
     return (a > b).sum(axis=-1), (a == b).sum(axis=-1), (a < b).sum(axis=-1)
 
 
-def sketches(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+def sketches(docs: DataFrame, id_col: str, text_col: str, width: int = WIDTH) -> DataFrame:
     """(id, n, cls, regs, bands): set size, 128-bit digest of the set, registers, band keys."""
     id_type = docs.schema[id_col].dataType.simpleString()
     weights = _mix(np.arange(1, ROWS + 1, dtype=np.uint64) * _K1)
@@ -135,7 +142,7 @@ def sketches(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
         for b in batches:
             ns, cls, regs, bands = [], [], [], []
             for text in b["text"]:
-                s = shingles(text)
+                s = shingles(text, width)
                 r = registers(s)
                 ns.append(len(s))
                 cls.append(hashlib.blake2b(s.tobytes(), digest_size=16).digest())
@@ -149,7 +156,7 @@ def sketches(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return d.mapInPandas(run, f"id {id_type}, n long, cls binary, regs binary, bands array<long>")
 
 
-def _sets(docs: DataFrame, id_col: str, text_col: str, wanted: DataFrame) -> DataFrame:
+def _sets(docs: DataFrame, id_col: str, text_col: str, wanted: DataFrame, width: int = WIDTH) -> DataFrame:
     """(cls, hashes) of the wanted classes: (id, cls)."""
     ids = wanted.select("id").distinct()
     if ids.count() <= BROADCAST_MOST:
@@ -158,7 +165,7 @@ def _sets(docs: DataFrame, id_col: str, text_col: str, wanted: DataFrame) -> Dat
 
     def run(batches):
         for b in batches:
-            sets = [shingles(t) for t in b["text"]]
+            sets = [shingles(t, width) for t in b["text"]]
             yield pd.DataFrame({"id": b["id"], "cls": [hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets], "hashes": [s.view(np.int64) for s in sets]})
 
     id_type = docs.schema[id_col].dataType.simpleString()
@@ -268,10 +275,10 @@ def _joining_links(members: DataFrame, percent: int) -> DataFrame:
     return _blocks(members).groupBy("key", "i", "j").applyInPandas(run, "a binary, b binary")
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = 80) -> DataFrame:
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", percent: int = 80, width: int = WIDTH) -> DataFrame:
     """One row per document: id, n_shingles, component_id (least id reachable), kept."""
     at_least = percent / 100
-    all_docs = staged(sketches(docs, id_col, text_col), "sketches")
+    all_docs = staged(sketches(docs, id_col, text_col, width), "sketches")
     full = all_docs.where((F.col("n") > 0) & F.col("id").isNotNull())
     reps = full.groupBy("cls").agg(F.min("id").alias("id"))
     classes = staged(full.join(reps, ["cls", "id"]).dropDuplicates(["cls"]).select("cls", "id", "n", "regs", "bands"), "classes")
@@ -281,7 +288,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     wanted = staged(classes.join(members.select("cls").distinct(), "cls", "left_semi"), "wanted")
     star = members.where("cls <> lead").select(F.col("lead").alias("a"), F.col("cls").alias("b")).distinct()
     tested = staged(_likely(star, wanted, at_least), "tested")
-    sets = staged(_sets(docs, id_col, text_col, wanted.select("id", "cls")), "sets")
+    sets = staged(_sets(docs, id_col, text_col, wanted.select("id", "cls"), width), "sets")
     links = staged(_verified(tested, sets, percent), "links")
     roots = components(links)
     for last in (False, True):
@@ -310,9 +317,9 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
         "kept", F.coalesce(F.col(id_col) == F.col("component_id"), F.lit(True)))
 
 
-def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = WIDTH) -> DataFrame:
     """The rows of ``docs`` with one document per group; of rows with one id, one stays."""
-    found = staged(near_duplicates(docs, id_col, text_col), "groups")
+    found = staged(near_duplicates(docs, id_col, text_col, width=width), "groups")
     ids = found.where(F.col(id_col).isNotNull()).groupBy(F.col(id_col).alias("id")).agg(F.max("kept").alias("kept"), F.count("*").alias("many"))
     ids = staged(ids.where(~F.col("kept") | (F.col("many") > 1)), "decided")
     gone, many = ids.where(~F.col("kept")).select("id"), ids.where("kept").select("id")

@@ -72,6 +72,34 @@ def test_near_duplicates_against_brute_force(spark):
     assert sorted((g["doc_id"], g["component_id"]) for g in got if g["doc_id"] is not None) == want
 
 
+def test_shingle_width():
+    def brute(text, k):
+        w = text.lower().split()
+        return {tuple(w[i : i + k]) for i in range(max(1, len(w) - k + 1))} if w else set()
+
+    texts = ["", "one", "a b", "a b c d", "a b c d e", "a b c d e f a b c d e f a b", " ".join(f"w{i % 37}" for i in range(200))]
+    for k in (1, 2, 3, 5):
+        assert [len(minhash_dedup.shingles(t, k)) for t in texts] == [len(brute(t, k)) for t in texts]
+        for a in texts:
+            for b in texts:
+                assert len(np.intersect1d(minhash_dedup.shingles(a, k), minhash_dedup.shingles(b, k))) == len(brute(a, k) & brute(b, k))
+    assert (minhash_dedup.shingles("a b c") == minhash_dedup.shingles("a b c", 2)).all()
+
+
+def test_pipeline_near_duplicates_by_five_words(spark):
+    """Edited copies that only shingles of two words take for near-duplicates stay."""
+    import corpus_pipeline
+
+    text = [f"w{i}" for i in range(100)]
+    spread = [w if i % 10 != 5 or i > 50 else f"x{i}" for i, w in enumerate(text)]  # shares 89 of 109 shingles of two words, 71 of 121 of five
+    near = [f"y{i}" for i in range(94)]
+    rows = [(0, " ".join(text)), (1, " ".join(spread)), (2, " ".join(near)), (3, " ".join(near[:-1] + ["z"])), (4, "p q r"), (5, "p q r"), (6, "p q s")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    kept = {r["doc_id"] for r in corpus_pipeline.near_duplicates(spark, docs, "").collect()}
+    assert kept == {0, 1, 2, 4, 6}
+    assert {r["doc_id"] for r in minhash_dedup.keep_one(docs).collect()} == {0, 2, 4, 6}
+
+
 def test_sketches_merge_and_estimate():
     a, b = minhash_dedup.shingles(" ".join(f"x{i}" for i in range(900))), minhash_dedup.shingles(" ".join(f"x{i}" for i in range(100, 1000)))
     ra, rb = minhash_dedup.registers(a), minhash_dedup.registers(b)
