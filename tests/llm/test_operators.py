@@ -193,3 +193,34 @@ def test_lm_base_scores(spark, odd):
     base = sorted(round(sum(math.log10((k + 0.5) / (n + 0.5 * (v + 1))) for k in [*(c[w] for w in (t or "").lower().split()), len(train)]), 6) for _, t in ODD)
     assert sorted(round(r["base_score"], 6) for r in got) == base and {r["train_tokens"] for r in got} == {n}
     assert all(r["score"] < 0 for r in got)
+
+
+def test_lm_trains_on_every_window(spark, monkeypatch):
+    """Windows and steps grow with the training rows, and words met late in the corpus are learned."""
+    pytest.importorskip("public_tokenizers")
+    import math
+
+    import public_tokenizers
+
+    tokenizer = public_tokenizers.path("word_bpe_49k.json")
+    monkeypatch.setattr(lm_scoring, "START_DOCS", 5)
+    for many in (40, 120):
+        docs = spark.createDataFrame([(i, "the cat sat on the mat and then the dog ran off again " * 3) for i in range(many)] + [(None, "no id"), (None, "")], "doc_id long, text string")
+        words = lm_scoring.word_counts(docs)
+        total = words.agg(F.sum("c")).first()[0] + docs.count()
+        below = math.log10(total + 0.5 * (words.count() + 2))
+        e = lm_scoring.Encoder.at(tokenizer)
+        sizes = [sum(len(x) // 4 for x in e.encode_words([lm_scoring.words_of(r["text"])])[0]) + 1 for r in docs.collect()]
+        for shares in ({}, {b"the": math.log10(6 * many + 0.5) - below}):
+            shares = shares | {None: math.log10(docs.count() + 0.5) - below}
+            _, weight, windows = lm_scoring.fit(docs, words, tokenizer, docs.count(), below, shares)
+            assert windows == sum(-(-n // lm_scoring.STRIDE) for n in sizes) and 0.5 < weight <= 0.98
+
+
+def test_lm_mixture_weight():
+    r = np.random.default_rng(0)
+    d = np.rint(r.normal(0.3, 1.0, 5000) / lm_scoring.BIN).astype(int)
+    w = 0.5
+    for _ in range(20):
+        w = (w * 10 ** (d * lm_scoring.BIN) / (w * 10 ** (d * lm_scoring.BIN) + 1 - w)).mean()
+    assert abs(lm_scoring.em_weight(dict(zip(*np.unique(d, return_counts=True)))) - w) < 1e-9
