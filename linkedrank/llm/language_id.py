@@ -5,9 +5,9 @@ byte trigrams of the whole text, predicts that bit. Decoding picks the codeword
 loss summed over the bits, each bit weighted by how well its classifier does on training rows
 kept aside; a close runner-up flags the text as ambiguous.
 
-Training reads a bounded sample: at most SAMPLE rows in all, equally many of each of the
-LANGUAGES_MOST most frequent languages, chosen by hash of the id among rows that may be learned
-from. Prediction covers every text from end to end.
+Every language of the training fold is learned. Training reads a sample: SAMPLE rows in all, equally
+many of each language, but up to LEAST_EACH of each however many languages there are, chosen by
+hash of the id among rows that may be learned from. Prediction covers every text from end to end.
 
 Edge cases: null texts and texts without a letter are ``und`` with score 0; without a learned
 language everything is ``und``; one learned language is the answer for every text with a
@@ -26,7 +26,7 @@ from linkedrank.sources import read_table, staged
 
 DIM = 4096
 SAMPLE = 3200
-LANGUAGES_MOST = 160
+LEAST_EACH = 20
 STEPS, RATE = 80, 8.0
 CLOSE = 0.2  # least lead of the best language's probability over the second's
 
@@ -53,6 +53,8 @@ def codewords(k: int) -> np.ndarray:
     rng, best, score = np.random.default_rng(5), None, -1
     for _ in range(50):
         c = np.where(rng.random((k, max(15, int(np.ceil(10 * np.log2(k)))))) < 0.5, -1.0, 1.0)
+        if k > 1000:  # random codes this long are far apart; all pairs would not fit
+            return c
         d = (c.shape[1] - c @ c.T) / 2 + np.eye(k) * c.shape[1]
         if d.min() > score:
             best, score = c, d.min()
@@ -65,7 +67,8 @@ class LanguageModel:
         self.codes = codewords(len(self.names))
         if not self.names:
             return
-        label = np.array([self.names.index(v) for v in languages])
+        place = {v: i for i, v in enumerate(self.names)}
+        label = np.array([place[v] for v in languages])
         target = ((self.codes[label] + 1) / 2).astype(np.float32)
         n = len(label) - len(label) // 5  # the rest is kept aside; slices are views, not copies
         self.w, self.b = self._descend(x[:n], target[:n])
@@ -88,7 +91,8 @@ class LanguageModel:
 
     def decode(self, x) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Index of the nearest codeword, its probability, and whether the second is close."""
-        loss = np.logaddexp(0, -self.margins(x)[:, None, :] * self.codes[None]) @ self.weight
+        m = self.margins(x)
+        loss = (np.logaddexp(0, -m) * self.weight) @ (self.codes.T > 0) + (np.logaddexp(0, m) * self.weight) @ (self.codes.T < 0)
         p = np.exp(loss.min(axis=1, keepdims=True) - loss)
         p /= p.sum(axis=1, keepdims=True)
         order = np.sort(p, axis=1)
@@ -102,14 +106,15 @@ def held_out(doc_id: Column) -> Column:
 
 def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> LanguageModel:
     rows = docs.select(docs[id_col].alias("id"), docs[lang_col].cast("string").alias("lang")).where(F.col("lang").isNotNull() & F.col("id").isNotNull()).where(~held_out(F.col("id")))
-    top = rows.groupBy("lang").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "lang").limit(LANGUAGES_MOST)
-    each = max(1, SAMPLE // max(1, min(LANGUAGES_MOST, top.count())))
+    top = rows.groupBy("lang").agg(F.count("*").alias("n"))
+    many = max(1, top.count())
+    each = max(LEAST_EACH, SAMPLE // many)
     # A hash below this share leaves about twice as many rows as are ranked, whatever the size of a language.
     share = (F.lit(2.0 * each + 64) / F.col("n")) * 2.0**64 - 2.0**63
     near = rows.join(F.broadcast(top), "lang").withColumn("h", F.xxhash64("id")).where(F.col("h") <= share).drop("n")
     w = Window.partitionBy("lang").orderBy("h", "id")
     ids = near.withColumn("r", F.row_number().over(w)).where(F.col("r") <= each)
-    ids = staged(ids.select("id", "lang").distinct(), "language-sample")  # at most SAMPLE + LANGUAGES_MOST rows
+    ids = staged(ids.select("id", "lang").distinct(), "language-sample")  # at most each * many rows
     picked = docs.select(docs[id_col].alias("id"), docs[lang_col].cast("string").alias("lang"), docs[text_col].alias("text")).join(F.broadcast(ids), ["id", "lang"], "left_semi")
 
     def run(batches):
@@ -122,7 +127,7 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_co
             yield pd.DataFrame({"id": [i for i, t in zip(b["id"], b["text"]) if has_letter(t)], "lang": lang, "at": at, "x": [v[i] for v, i in zip(x, at)]})
 
     got = picked.mapInPandas(run, f"id {docs.schema[id_col].dataType.simpleString()}, lang string, at array<int>, x array<float>")
-    got = got.toPandas().sort_values(["id", "lang"], kind="stable", ignore_index=True).head(2 * SAMPLE)
+    got = got.toPandas().sort_values(["id", "lang"], kind="stable", ignore_index=True).head(2 * each * many)
     order = np.random.default_rng(1).permutation(len(got))
     languages = list(got["lang"].iloc[order])
     x = np.zeros((len(got), DIM), np.float32)

@@ -224,3 +224,14 @@ def test_lm_mixture_weight():
     for _ in range(20):
         w = (w * 10 ** (d * lm_scoring.BIN) / (w * 10 ** (d * lm_scoring.BIN) + 1 - w)).mean()
     assert abs(lm_scoring.em_weight(dict(zip(*np.unique(d, return_counts=True)))) - w) < 1e-9
+
+
+def test_language_id_learns_every_language(spark):
+    names = [f"l{i:03d}" for i in range(165)]
+    rows = [(k * 10 + j, f"{n}q{n}z {n}x", n) for k, n in enumerate(names) for j in range(8)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    model = language_id.fit(docs)
+    assert model.names == names and len({tuple(c) for c in model.codes}) == len(names)
+    x = np.stack([language_id.features(t) for _, t, _ in rows[:80]])
+    loss = np.logaddexp(0, -model.margins(x)[:, None, :] * model.codes[None]) @ model.weight
+    assert (model.decode(x)[0] == loss.argmin(axis=1)).mean() > 0.95
