@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from linkedrank.plans.catalog import LINE_ID
 from linkedrank.queries import _oracles, _queries
 from linkedrank.sources import TABLES, read_table
 
@@ -31,7 +32,15 @@ PORTABLE = {
     "answers_common": "SELECT c_nationkey AS k FROM {customer} INTERSECT SELECT s_nationkey AS k FROM {supplier}",
     "clean_pages": "SELECT page_id, length(regexp_replace(html, '<[^>]*>', ' '{g})) AS n FROM {pages}",
     "events_by_day": "SELECT CAST(CAST(ts AS DATE) AS STRING) AS day, event_type, count(*) AS n FROM {events} GROUP BY CAST(CAST(ts AS DATE) AS STRING), event_type",
-    "recursive_partners": "WITH RECURSIVE r(k, depth) AS (SELECT CAST(1 AS BIGINT), 0 UNION ALL SELECT k + 1, depth + 1 FROM r WHERE depth < 3) SELECT k, depth FROM r",
+    "recursive_partners": (  # partners of a batch of 20 changed parts, down to depth M/2 + 1 at M = 6
+        f"WITH RECURSIVE l AS (SELECT {LINE_ID} AS id, l_partkey, l_orderkey FROM {{lineitem}}), e(rel, k, to_rel, to_k) AS ("
+        "SELECT 'part', CAST(l_partkey AS STRING), 'lineitem', id FROM l "
+        "UNION ALL SELECT 'lineitem', id, 'orders', CAST(l_orderkey AS STRING) FROM l "
+        "UNION ALL SELECT 'orders', CAST(o_orderkey AS STRING), 'customer', CAST(o_custkey AS STRING) FROM {orders} "
+        "UNION ALL SELECT 'customer', CAST(c_custkey AS STRING), 'nation', CAST(c_nationkey AS STRING) FROM {customer}), "
+        "r(source, rel, k, depth) AS (SELECT p_partkey, 'part', CAST(p_partkey AS STRING), 0 FROM {part} WHERE p_partkey BETWEEN 1 AND 20 "
+        "UNION ALL SELECT r.source, e.to_rel, e.to_k, r.depth + 1 FROM r JOIN e ON e.rel = r.rel AND e.k = r.k WHERE r.depth < 4) "
+        "SELECT source, rel, k, depth FROM r"),
 }
 
 
