@@ -176,3 +176,29 @@ def test_window_counts_stream_like_batch(spark, sf, tmp_path):
         got = {tuple(r) for r in spark.read.schema(s.schema).parquet(out).collect()}
         whole = {tuple(r) for r in f(e).collect()}
         assert got and got <= whole  # windows the watermark has not passed yet stay open
+
+
+def test_change_workloads_join_and_change_three_relations(spark):
+    from linkedrank.operators import experiments as x
+    from linkedrank.plans import networks
+    from linkedrank.plans.catalog import TRADE
+
+    nets = networks.generate(TRADE, ["part", "customer"], x.CHANGED_QUERY.max_size)
+    assert any({n[0] for n in net.nodes} >= {"part", "customer", *x.CHANGED} for net in nets)
+    assert x.CHANGED_QUERY.k == 100 and x.BUCKETS == 7 and set(x.CHANGED) == {"part", "orders", "lineitem"}
+    base = spark.range(1, 1001).withColumnRenamed("id", "key")
+    for frame in (base, base.selectExpr("concat(key, '-1') AS key")):
+        come = [x.change_batch(frame, ("insert",), b, x.BUCKETS).count() for b in range(x.BUCKETS)]
+        assert all(come) and sum(come) == frame.where(x.numbered(frame, f"NOT ({x.FIRST})")).count()
+        assert 0 < x.change_batch(frame, ("insert", "delete"), 0, x.BUCKETS).where("op = 'D'").count() < 1000
+
+
+def test_recursive_partners_follow_links(spark, sf):
+    from linkedrank.operators.toolbox import PORTABLE, _run
+    from linkedrank.plans.catalog import LINE_ID
+
+    read = lambda t: spark.read.parquet(f"{sf()}/{t}.parquet")
+    got = {(r["rel"], r["depth"]): r["n"] for r in _run(PORTABLE["recursive_partners"])(spark, sf()).groupBy("rel", "depth").count().withColumnRenamed("count", "n").collect()}
+    lines = spark.sql(f"SELECT {LINE_ID} AS id, l_orderkey, l_partkey FROM {{lineitem}}", lineitem=read("lineitem")).where("l_partkey BETWEEN 1 AND 20")
+    assert (lines := lines.count()) > 20
+    assert got == {("part", 0): 20, ("lineitem", 1): lines, ("orders", 2): lines, ("customer", 3): lines, ("nation", 4): lines}
