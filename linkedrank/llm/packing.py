@@ -19,14 +19,16 @@ full pieces with one shorter last piece; extra columns are ignored.
 from __future__ import annotations
 
 import gc
+import json
 import re
 import zlib
-from array import array
 from bisect import bisect_left, insort
-from itertools import chain
+from itertools import repeat
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -35,44 +37,25 @@ from linkedrank.sources import read_table, staged
 
 CAPACITY = 4096
 END_ID = 1
-CACHE_MOST = 300_000
-GROUP_CHARS = 4_000_000  # of text that is split into words at a time
+HELD_MOST = 400_000  # words, and atoms, that a worker remembers before it starts anew
+GROUP_BYTES = 6_000_000  # of text that is split into words at a time
 PIECE_SCHEMA = "piece int, start long, length long, ids_crc32 long"
 _encoders: dict = {}
 
+# Of plain words in lower case, the tokenizer's own split into letters, single digits and signs; blanks part words.
+_ATOMS = re.compile(r" |'s|'t|'re|'ve|'m|'ll|'d|[a-z\xdf-\xf6\xf8-\xff]+|[0-9]|[^ a-z0-9\xdf-\xf6\xf8-\xff]+")
 
-class _Remembered(dict):
-    """A bounded memory of two generations: what is used again survives when the younger is full."""
 
-    def __init__(self):
-        super().__init__()
-        self.older: dict = {}
-
-    def lacking(self, keys: set) -> list:
-        """Keys in neither generation; keys of the older one move to the younger."""
-        out, older = [], self.older
-        for k in keys:
-            if k not in self:
-                if k in older:
-                    self[k] = older[k]
-                else:
-                    out.append(k)
-        return out
-
-    def turn(self) -> None:
-        if len(self) > CACHE_MOST:
-            self.older = dict(self)
-            self.clear()
-
-    def forget(self) -> None:
-        self.clear()
-        self.older = {}
-
-
-# Parts of which lower case and composed form are plain: ASCII signs and Latin-1 letters. Of
-# their lower case, the tokenizer's own split into letters, single digits and signs.
-_PLAIN = re.compile(r"[!-~\xc0-\xd6\xd8-\xf6\xf8-\xff]+")
-_ATOMS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z\xdf-\xf6\xf8-\xff]+|[0-9]|[^a-z0-9\xdf-\xf6\xf8-\xff]+")
+def _plain(joined: str, many: int) -> np.ndarray:
+    """Which of the words, joined by blanks, are plain: of ASCII signs and Latin-1 letters only, of which
+    lower case and composed form are plain too, and without the start of a control string."""
+    u = np.frombuffer(joined.encode(), np.uint8)
+    before = np.concatenate([[np.uint8(32)], u[:-1]])
+    letter = (u >= 0x80) & (u <= 0xBF) & (before == 0xC3) & (u != 0x97) & (u != 0xB7)
+    bad = ~((u >= 32) & (u < 127) | (u == 0xC3) | letter) | ((u == 124) & (before == 60))
+    out = np.ones(many, bool)
+    out[np.cumsum(u == 32)[bad]] = False
+    return out
 
 
 def _byte_letters() -> str:
@@ -86,10 +69,98 @@ def _byte_letters() -> str:
 _LETTERS = _byte_letters()
 
 
+class Spellings:
+    """Keys by number, and the ids of each number in one row of ids."""
+
+    def __init__(self):
+        self.number: dict = {}
+        self.ids, self.sizes, self.starts = np.empty(0, np.uint32), np.empty(0, np.int64), np.empty(0, np.int64)
+
+    def __len__(self) -> int:
+        return len(self.number)
+
+    def find(self, keys: list) -> np.ndarray:
+        """Numbers of the keys, -1 where unknown."""
+        return np.fromiter(map(self.number.get, keys, repeat(-1)), np.int64, len(keys))
+
+    def add(self, keys: list, ids: np.ndarray, sizes: np.ndarray) -> None:
+        self.starts = np.concatenate([self.starts, len(self.ids) + np.cumsum(sizes) - sizes])
+        self.sizes = np.concatenate([self.sizes, sizes])
+        self.ids = np.concatenate([self.ids, ids])
+        self.number.update(zip(keys, range(len(self.number), len(self.number) + len(keys))))
+
+    def spelled(self, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of numbered keys in one row, and the ids of each."""
+        sizes = self.sizes[at]
+        stops = np.cumsum(sizes)
+        return self.ids[np.repeat(self.starts[at] - stops + sizes, sizes) + np.arange(stops[-1] if len(stops) else 0)], sizes
+
+
+def segment_sums(values: np.ndarray, many: np.ndarray) -> np.ndarray:
+    """Sums of consecutive runs of ``values``; run k holds many[k] of them, none too."""
+    total = np.concatenate([np.zeros(1, values.dtype), np.cumsum(values)])
+    stops = np.cumsum(many)
+    return total[stops] - total[stops - many]
+
+
+class Merges:
+    """The tokenizer's merges, applied to many atoms at a time: atoms of one length are a matrix, and
+    each round merges the leftmost pair of lowest rank in every row that still has one."""
+
+    LONGEST, NONE = 48, 1 << 30
+
+    def __init__(self, model: dict):
+        vocab, self.size = model["vocab"], len(model["vocab"])
+        pairs = [m if isinstance(m, list) else m.split(" ") for m in model["merges"]]
+        keys = np.array([vocab[a] * self.size + vocab[b] for a, b in pairs], np.int64)
+        order = np.argsort(keys)
+        self.keys, self.ranks = np.append(keys[order], 1 << 62), np.append(order, self.NONE).astype(np.int64)
+        self.into = np.array([vocab[a + b] for a, b in pairs] + [0], np.int64)  # by rank
+        self.first = np.array([[vocab[c + end] for c in _LETTERS] for end in ("", "</w>")], np.int64)
+
+    def _rank(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+        key = left * self.size + right
+        at = np.searchsorted(self.keys, key)
+        return np.where(self.keys[at] == key, self.ranks[at], self.NONE)
+
+    def apply(self, coded: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of all atoms (UTF-8, none empty or longer than LONGEST) in one row, and the ids of each."""
+        lengths = np.fromiter(map(len, coded), np.int64, len(coded))
+        flat, starts = np.frombuffer(b"".join(coded), np.uint8), np.cumsum(lengths) - lengths
+        sizes, done = np.zeros(len(coded), np.int64), []
+        for length in np.unique(lengths).tolist():
+            atom = np.flatnonzero(lengths == length)
+            ids = flat[starts[atom][:, None] + np.arange(length)]
+            ids = np.concatenate([self.first[0][ids[:, :-1]], self.first[1][ids[:, -1:]]], axis=1)
+            rank = self._rank(ids[:, :-1], ids[:, 1:])
+            while ids.shape[1] > 1:
+                at = rank.argmin(axis=1)
+                low = rank[np.arange(len(at)), at]
+                stop = low == self.NONE
+                if stop.any():
+                    done.append((atom[stop], ids[stop]))
+                    atom, ids, rank, at, low = atom[~stop], ids[~stop], rank[~stop], at[~stop], low[~stop]
+                rows, n = np.arange(len(at)), ids.shape[1]
+                ids = ids[rows[:, None], np.arange(n - 1) + (np.arange(n - 1) > at[:, None])]
+                ids[rows, at] = self.into[low]
+                rank = rank[rows[:, None], np.arange(n - 2) + (np.arange(n - 2) >= at[:, None])]
+                for shift in (-1, 0):  # the merged id's pairs with its neighbours
+                    near = at + shift
+                    ok = np.flatnonzero((near >= 0) & (near < n - 2))
+                    rank[ok, near[ok]] = self._rank(ids[ok, near[ok]], ids[ok, near[ok] + 1])
+            done.append((atom, ids))
+        for atom, ids in done:
+            sizes[atom] = ids.shape[1]
+        out, begin = np.empty(int(sizes.sum()), np.uint32), np.cumsum(sizes) - sizes
+        for atom, ids in done:
+            out[begin[atom][:, None] + np.arange(ids.shape[1])] = ids
+        return out, sizes
+
+
 class Encoder:
-    """Token ids of whole texts; the tokenizer never merges over blanks, so parts between blanks
-    are encoded once and remembered. Plain parts are put together from the letters and
-    signs they hold, which recur far more often than the parts do."""
+    """Token ids of words; the tokenizer never merges over blanks, so words are encoded once and
+    remembered by number. Plain words are put together from the letters and signs they hold (atoms),
+    which recur far more often than the words do."""
 
     def __init__(self, path: str):
         import os
@@ -97,7 +168,8 @@ class Encoder:
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.known, self.atoms = Tokenizer.from_file(path), _Remembered(), _Remembered()
+        self.tokenizer, self.words, self.atoms = Tokenizer.from_file(path), Spellings(), Spellings()
+        self.merges = Merges(json.loads(self.tokenizer.to_str())["model"])
 
     @classmethod
     def at(cls, path: str) -> Encoder:
@@ -105,79 +177,127 @@ class Encoder:
             _encoders[path] = cls(path)
         return _encoders[path]
 
-    def encode_texts(self, texts: list) -> list[bytes]:
-        """Ids of each text as little-endian unsigned 32-bit, without special ids (null: none)."""
-        return [b"".join(w) for w in self.encode_words([t.replace("\n", " ").split(" ") if t else [] for t in texts])]
-
-    def encode_words(self, lists: list) -> list[list[bytes]]:
-        """Ids of each word of each list; words (text, or UTF-8 bytes) hold no blanks."""
-        known = self.known
-        known.turn()
-        self.atoms.turn()
-        collecting = gc.isenabled()
-        gc.disable()  # nothing here makes cycles, and collections would walk all short-lived lists
-        try:
-            new = known.lacking(set(chain.from_iterable(lists)))
-            if new:
-                self._learn(new)
-            return [[known[w] for w in words] for words in lists]
-        finally:
-            if collecting:
-                gc.enable()
-
-    def _learn(self, new: list) -> None:
-        known, atoms, whole, split = self.known, self.atoms, [], []
-        for w in new:
-            text = w.decode("utf-8", "replace") if isinstance(w, bytes) else w
-            if _PLAIN.fullmatch(text) and "<|" not in text:
-                split.append((w, _ATOMS.findall(text.lower())))
-            else:
-                whole.append((w, text))
-        model = self.tokenizer.model
-        for k in atoms.lacking(set(chain.from_iterable(parts for _, parts in split))):
-            atoms[k] = array("I", [t.id for t in model.tokenize(k.encode().decode("latin-1").translate(_LETTERS))]).tobytes()
-        if whole:
-            for (w, _), e in zip(whole, self.tokenizer.encode_batch_fast([t for _, t in whole], add_special_tokens=False)):
-                known[w] = array("I", e.ids).tobytes()
-        for w, parts in split:
-            known[w] = atoms[parts[0]] if len(parts) == 1 else b"".join([atoms[p] for p in parts])
-
-
-def groups(texts: list, most: int = GROUP_CHARS):
-    """(start, end) of runs of texts of about ``most`` characters, at least one text each."""
-    start = chars = 0
-    for k, t in enumerate(texts):
-        chars += len(t) if t else 0
-        if chars >= most:
-            yield start, k + 1
-            start, chars = k + 1, 0
-    if start < len(texts):
-        yield start, len(texts)
+    def numbers(self, words: list[str]) -> np.ndarray:
+        """Numbers of distinct words without blanks; they hold until the next call."""
+        if len(self.words) > HELD_MOST:
+            self.words = Spellings()
+        at = self.words.find(words)
+        missing = np.flatnonzero(at < 0)
+        if len(missing):
+            collecting = gc.isenabled()
+            gc.disable()  # nothing here makes cycles, and collections would walk all short-lived lists
+            try:
+                at[missing] = self._learn([words[k] for k in missing])
+            finally:
+                if collecting:
+                    gc.enable()
+        return at
+
+    def spell(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of the words in one row, and the ids of each; nothing is remembered of the words."""
+        joined, sizes = " ".join(words), np.zeros(len(words), np.int64)
+        plain = _plain(joined, len(words))
+        parts = _ATOMS.findall((joined if plain.all() else " ".join([w for w, p in zip(words, plain) if p])).lower())
+        if len(self.atoms) > HELD_MOST:
+            self.atoms = Spellings()
+        at = self.atoms.find(parts)
+        missing = np.flatnonzero(at < 0).tolist()
+        if missing:
+            lacking = [parts[k] for k in missing]
+            new = set(lacking)
+            if " " in new:
+                self.atoms.add([" "], np.empty(0, np.uint32), np.zeros(1, np.int64))
+            new.discard(" ")
+            coded = [k.encode() for k in new]
+            short = [(k, c) for k, c in zip(new, coded) if len(c) <= Merges.LONGEST]
+            self.atoms.add([k for k, _ in short], *self.merges.apply([c for _, c in short]))
+            for k, c in zip(new, coded):
+                if len(c) > Merges.LONGEST:
+                    ids = [t.id for t in self.tokenizer.model.tokenize(c.decode("latin-1").translate(_LETTERS))]
+                    self.atoms.add([k], np.array(ids, np.uint32), np.array([len(ids)]))
+            at[missing] = self.atoms.find(lacking)
+        ids, each = self.atoms.spelled(at)
+        if plain.any():
+            word = np.cumsum(at == self.atoms.number.get(" ", -1))  # a blank has no ids
+            sizes[plain] = np.bincount(word, each, int(plain.sum())).astype(np.int64)
+        if not plain.all():
+            coded = [e.ids for e in self.tokenizer.encode_batch_fast([w for w, p in zip(words, plain) if not p], add_special_tokens=False)]
+            sizes[~plain] = [len(c) for c in coded]
+            whole, own = np.empty(int(sizes.sum()), np.uint32), np.repeat(plain, sizes)
+            whole[own] = ids
+            whole[~own] = [i for c in coded for i in c]
+            ids = whole
+        return ids, sizes
+
+    def _learn(self, new: list[str]) -> np.ndarray:
+        first = len(self.words)
+        self.words.add(new, *self.spell(new))
+        return np.arange(first, len(self.words))
+
+    def split(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """Numbers of the words of all texts in one row, and the words of each text."""
+        lists = pc.ascii_split_whitespace(texts)
+        words = lists.flatten().dictionary_encode()
+        at = self.numbers(words.dictionary.to_numpy(zero_copy_only=False).tolist())
+        return at[words.indices.to_numpy(zero_copy_only=False)] if len(words) else np.empty(0, np.int64), pc.list_value_length(lists).to_numpy(zero_copy_only=False).astype(np.int64)
+
+
+def text_column(batch: pa.RecordBatch, name: str) -> pa.Array:
+    """A column of texts with null as the empty text."""
+    return pc.fill_null(batch.column(name).cast(pa.large_string()), "")
+
+
+def groups(texts: pa.Array, most: int = GROUP_BYTES):
+    """(start, end) of runs of texts of about ``most`` bytes, at least one text each."""
+    total = np.cumsum(pc.binary_length(texts).to_numpy(zero_copy_only=False))
+    start = 0
+    while start < len(texts):
+        end = max(start + 1, int(np.searchsorted(total, (total[start - 1] if start else 0) + most, "right")))
+        yield start, end
+        start = end
 
 
 def pieces(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str = "text",
-           capacity: int = CAPACITY, end_id: int = END_ID, with_ids: bool = False) -> DataFrame:
-    """Pieces of at most ``capacity`` ids; ``task`` and ``nth`` number equal lengths within a task."""
-    id_type = docs.schema[id_col].dataType.simpleString()
-    end = np.array([end_id], dtype="<u4").tobytes()
+           capacity: int = CAPACITY, end_id: int = END_ID, with_ids: bool = False, keep: tuple[str, ...] = ()) -> DataFrame:
+    """Pieces of at most ``capacity`` ids; ``task`` and ``nth`` number equal lengths within a task.
+
+    keep: further columns of ``docs`` that the pieces carry.
+    """
+    d = docs.select(docs[id_col].alias("doc_id"), docs[text_col].cast("string").alias("text"), *[docs[c] for c in keep])
+    carried = "".join(f", `{f.name}` {f.dataType.simpleString()}" for f in d.schema.fields if f.name in keep)
+    names = ["piece", "start", "length", "ids_crc32", "task", "nth"]
 
     def cut(batches):
         encoder, seen, task = Encoder.at(tokenizer), np.zeros(capacity + 1, dtype=np.int64), TaskContext.get().partitionId()
         for batch in batches:
-            rows, texts = [], batch["text"].tolist()
-            coded = chain.from_iterable(encoder.encode_texts(texts[i:j]) for i, j in groups(texts))
-            for doc, ids in zip(batch["doc_id"], coded):
-                ids += end
-                total = len(ids) // 4
-                for k, start in enumerate(range(0, total, capacity)):
-                    part = ids[4 * start : 4 * (start + capacity)]
-                    n = len(part) // 4
-                    rows.append((doc, k, start, n, zlib.crc32(part), task, seen[n]) + ((np.frombuffer(part, "<u4").astype(np.int64),) if with_ids else ()))
+            texts = text_column(batch, "text")
+            for first, last in groups(texts):
+                at, many = encoder.split(texts.slice(first, last - first))
+                ids, sizes = encoder.words.spelled(at)
+                stops = np.cumsum(segment_sums(sizes, many))
+                ids = np.insert(ids, stops, end_id).astype("<u4", copy=False)
+                stops += np.arange(1, len(stops) + 1)
+                totals = np.diff(stops, prepend=0)
+                per = -(-totals // capacity)
+                doc = np.repeat(np.arange(len(totals)), per)
+                piece = np.arange(len(doc)) - np.repeat(np.cumsum(per) - per, per)
+                start = piece * capacity
+                length = np.minimum(capacity, totals[doc] - start)
+                begin = (stops - totals)[doc] + start
+                view, crc, nth = memoryview(ids).cast("B"), [], []
+                for b, n in zip(begin.tolist(), length.tolist()):
+                    crc.append(zlib.crc32(view[4 * b : 4 * (b + n)]))
+                    nth.append(int(seen[n]))
                     seen[n] += 1
-            yield pd.DataFrame(rows, columns=["doc_id", "piece", "start", "length", "ids_crc32", "task", "nth"] + ["ids"] * with_ids).astype({"doc_id": batch["doc_id"].dtype if len(rows) else object})
+                out = [pa.array(piece, pa.int32()), pa.array(start), pa.array(length), pa.array(crc, pa.int64()), pa.array(np.full(len(doc), task, np.int32)), pa.array(nth, pa.int64())]
+                if with_ids:
+                    out.append(pa.array([ids[b : b + n].astype(np.int64) for b, n in zip(begin, length)], pa.list_(pa.int64())))
+                rows = pa.array(first + doc)
+                yield pa.RecordBatch.from_arrays([batch.column("doc_id").take(rows), *out, *[batch.column(c).take(rows) for c in keep]],
+                                                 names=["doc_id", *names, *["ids"] * with_ids, *keep])
 
-    d = docs.select(docs[id_col].alias("doc_id"), docs[text_col].alias("text"))
-    return d.mapInPandas(cut, f"doc_id {id_type}, {PIECE_SCHEMA}, task int, nth long" + ", ids array<long>" * with_ids)
+    id_type = docs.schema[id_col].dataType.simpleString()
+    return d.mapInArrow(cut, f"doc_id {id_type}, {PIECE_SCHEMA}, task int, nth long" + ", ids array<long>" * with_ids + carried)
 
 
 class Layout:
