@@ -169,6 +169,7 @@ class Encoder:
         from tokenizers import Tokenizer
 
         self.tokenizer, self.words, self.atoms = Tokenizer.from_file(path), Spellings(), Spellings()
+        self.size = self.tokenizer.get_vocab_size()
         self.merges = Merges(json.loads(self.tokenizer.to_str())["model"])
 
     @classmethod

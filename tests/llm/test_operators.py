@@ -2,12 +2,14 @@
 
 import hashlib
 import random
+import re
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from linkedrank.llm import chat_format, components, embedding_dedup, language_id, lm_scoring, minhash_dedup, mixing, quality_classifier, quality_rules, url_filter
+from linkedrank.llm import chat_format, components, embedding_dedup, language_id, lm_scoring, minhash_dedup, mixing, packing, quality_classifier, quality_rules, url_filter
 
 ODD = [(None, "x y"), (1, None), (2, ""), (3, " \n\t "), (4, "one"), (5, "a b " * 3000), (5, "a b " * 3000), (6, "A  B\nc"), (7, "a b c")]
 
@@ -158,24 +160,107 @@ def test_quality_classifier(spark, sf, odd):
     assert quality_classifier.judged(odd, quality_classifier.fit(odd, labels.limit(0))).count() == len(ODD)
 
 
-def test_lm_gradients_and_windows():
-    counts = np.random.default_rng(0).integers(1, 50, 601).astype(float)
-    m = lm_scoring.Attention(lm_scoring.Vocabulary(counts))
-    texts = [np.r_[np.arange(n) % 600, 600] for n in (0, 5, 15, 16, 40)]
-    lp = m.token_scores(texts)
-    assert len(lp) == sum(map(len, texts))
-    one = np.concatenate([m.token_scores([t]) for t in texts])
-    assert np.allclose(lp, one, atol=1e-4)
-    x, goal, _ = m.windows(texts)
-    g, loss = m.gradients(x, goal)
-    k, eps = (2, 3), 1e-2
-    m.p["w3"][k] += eps
-    up = m.gradients(x, goal)[1]
-    m.p["w3"][k] -= 2 * eps
-    assert abs((up - m.gradients(x, goal)[1]) / (2 * eps) - g["w3"][k]) < 2e-3
-    total = np.zeros(lm_scoring.CLASSES)
-    np.add.at(total, m.vocabulary.out, np.exp(m.vocabulary.within))
-    assert np.allclose(total[total > 0], 1, atol=1e-3)
+@pytest.fixture(scope="module")
+def tokenizer():
+    return pytest.importorskip("public_tokenizers").path("word_bpe_49k.json")
+
+
+def lm_texts(tokenizer, texts, model):
+    return lm_scoring.Reader(tokenizer).texts(pa.array(texts, pa.large_string()), model)
+
+
+def test_lm_gradients_and_windows(tokenizer):
+    m = lm_scoring.Attention(packing.Encoder.at(tokenizer).size)
+    texts = ["", "one", " The cat sat on | the mat. ", "chat noir " * 40, "x\x1cy \u200b z"]
+    t = lm_texts(tokenizer, texts, m)
+    tables = lm_scoring.Tables(m, np.full(lm_scoring.STATES, 1 / lm_scoring.STATES), {})
+    tables.follow(packing.Encoder.at(tokenizer).words)
+    many = lm_scoring.gains(m, t, tables.tilt, m.prepared())
+    one = []
+    for x in texts:
+        u = lm_texts(tokenizer, [x], m)
+        one.append(lm_scoring.gains(m, u, tables.tilt, m.prepared()))
+    assert np.allclose(many, np.concatenate(one), atol=1e-4) and len(many) == sum(len(x.split(" ")) - x.split(" ").count("") + 1 for x in texts)
+    some = t.sizes > 0
+    x, rows = t.flat[t.starts[:, None] + np.arange(lm_scoring.LENGTH)], t.row[some]
+    ids = np.concatenate([t.ids[b : b + n] for b, n in zip(np.cumsum(t.sizes) - t.sizes, t.sizes) if n])
+    _, g = m.gradients(x, rows, ids, t.sizes[some])
+    for name, k in (("w3", (2, 3)), ("own", (m.into[ids[0]], 1)), ("emb", (m.into[ids[3]], 2)), ("wq", (1, 2)), ("wv", (3, 4)), ("pos", (11, 2)), ("w1", (2, 5)), ("wk", (0, 1)), ("w2", (4, 4))):
+        for v in m.p.values():
+            v.flags.writeable = True
+        was, eps, got = m.p[name][k], 2e-2, []
+        for step in (eps, -eps):
+            m.p[name][k] = was + step
+            got.append(m.gradients(x, rows, ids, t.sizes[some])[0])
+        m.p[name][k] = was
+        assert abs((got[1] - got[0]) / (2 * eps) - g[name][k]) < 3e-3, name
+
+
+def test_lm_trains_on_windows_of_every_text(tokenizer):
+    m = lm_scoring.Attention(packing.Encoder.at(tokenizer).size)
+    r = np.random.default_rng(0)
+    t = lm_texts(tokenizer, ["word " * int(n) for n in r.integers(0, 900, 60)], m)
+    chosen = lm_scoring.trained_windows(t, r.integers(0, 1 << 40, 60))
+    per = np.diff(np.append(t.first, len(t.starts)))
+    got = np.bincount(np.searchsorted(t.first, chosen, "right") - 1, minlength=60)
+    assert (got >= 1).all() and (got >= per // lm_scoring.SHARE).all() and (got <= -(-per // lm_scoring.SHARE)).all()
+    assert len(set(chosen.tolist())) == len(chosen)
+    before = m.flat()
+    assert lm_scoring.train(m, t, chosen, 0.01, r) == len(chosen) and (m.flat() != before).any()
+
+
+def plain_score(f, e, text):
+    """log10 probability of a text, word by word, in plain Python."""
+    import math
+
+    p, m = {k: v.astype(float) for k, v in f.model.p.items()}, f.model
+    words, ids, total = [w for w in re.split("[\x20\x09-\x0d]+", re.sub("[A-Z]", lambda x: x[0].lower(), text or "")) if w], [], 0.0
+    known = {r["word"]: r["c"] for r in f.words.collect()}
+    spelled = [e.tokenizer.encode(w, add_special_tokens=False).ids for w in words] + [[m.end]]
+    for w, own in zip([*words, None], spelled):
+        c = f.ends if w is None else known.get(w, 0)
+        share = (c + 0.5) / (f.tokens + 0.5 * (len(known) + 2))
+        if own:
+            start = len(ids) // lm_scoring.STRIDE * lm_scoring.STRIDE  # of the window
+            seen = [lm_scoring.INPUTS - 2, *m.into[ids]]
+            rows = [(k - start + lm_scoring.OVERLAP - 1, p["emb"][i]) for k, i in enumerate(seen) if k - start + lm_scoring.OVERLAP - 1 >= 0]
+            at = [r + p["pos"][j] for j, r in rows]
+            pads = lm_scoring.OVERLAP - 1 + len(ids) - start + 1 - len(at)
+            at = [p["emb"][lm_scoring.INPUTS - 1] + p["pos"][j] for j in range(pads)] + at
+            q = at[-1] @ p["wq"]
+            a = np.exp([q @ (x @ p["wk"]) / math.sqrt(lm_scoring.KEYS) for x in at])
+            c_ = sum(w_ * (x @ p["wv"]) for w_, x in zip(a / a.sum(), at))
+            h = np.tanh(at[-1] @ p["w1"] + c_ @ p["w2"] + p["b1"])
+            z = np.exp(h @ p["w3"] + p["b3"])
+            u = np.exp(sum(p["own"][m.into[i]] for i in own))
+            share *= (z / z.sum() * (u / u.sum()) / f.pi).sum()
+        total += math.log10(share)
+        ids += own
+    return total
+
+
+def test_lm_scores_equal_plain_python_and_sum_to_one(spark, sf, odd, tokenizer, monkeypatch):
+    monkeypatch.setattr(lm_scoring, "WORDS_MOST", 50)
+    docs = spark.read.parquet(f"{sf('sf0.001')}/documents.parquet").select("doc_id", "text")
+    f = lm_scoring.fit(docs.where(~lm_scoring.held_out(F.col("doc_id"))), tokenizer)
+    short = docs.where("length(text) < 1500").unionByName(odd.select("doc_id", "text").where("doc_id is null or doc_id <> 5"))
+    got = sorted((r["score"], r["doc_id"] or -1) for r in lm_scoring.scored(short, tokenizer, fitted=f).collect())
+    e = packing.Encoder(tokenizer)
+    want = sorted((plain_score(f, e, r["text"]), r["doc_id"] or -1) for r in short.collect())
+    assert len(got) == len(want) and np.allclose([g[0] for g in got], [w[0] for w in want], rtol=1e-4, atol=1e-3)
+    words = f.words.toPandas()
+    ids, sizes = e.spell(words["word"].tolist())
+    tilt = lm_scoring.softmax(f.model.own(ids, sizes)) / f.pi
+    tilt[sizes == 0] = 1
+    end = lm_scoring.softmax(f.model.own(np.array([f.model.end]), np.array([1])))[0] / f.pi
+    mass = 10**-f.below * ((words["c"].to_numpy() + 0.5) @ tilt + (f.ends + 0.5) * end + 0.5)  # by state; the unseen word has mean shares
+    assert np.allclose(mass, 1, atol=1e-3)
+
+
+def test_lm_context_raises_held_out_scores(spark, sf, tokenizer):
+    got = lm_scoring.scored(spark.read.parquet(f"{sf('sf0.01')}/documents.parquet"), tokenizer).where("held_out").toPandas()
+    assert (got["score"] > got["base_score"]).mean() > 0.9 and got["context_gain"].sum() > 0.05 * -got["base_score"].sum()
+    assert np.allclose(got["score"] - got["base_score"], got["context_gain"])
 
 
 def test_lm_base_scores(spark, odd):
@@ -193,37 +278,8 @@ def test_lm_base_scores(spark, odd):
     base = sorted(round(sum(math.log10((k + 0.5) / (n + 0.5 * (v + 1))) for k in [*(c[w] for w in (t or "").lower().split()), len(train)]), 6) for _, t in ODD)
     assert sorted(round(r["base_score"], 6) for r in got) == base and {r["train_tokens"] for r in got} == {n}
     assert all(r["score"] < 0 for r in got)
-
-
-def test_lm_trains_on_every_window(spark, monkeypatch):
-    """Windows and steps grow with the training rows, and words met late in the corpus are learned."""
-    pytest.importorskip("public_tokenizers")
-    import math
-
-    import public_tokenizers
-
-    tokenizer = public_tokenizers.path("word_bpe_49k.json")
-    monkeypatch.setattr(lm_scoring, "START_DOCS", 5)
-    for many in (40, 120):
-        docs = spark.createDataFrame([(i, "the cat sat on the mat and then the dog ran off again " * 3) for i in range(many)] + [(None, "no id"), (None, "")], "doc_id long, text string")
-        words = lm_scoring.word_counts(docs)
-        total = words.agg(F.sum("c")).first()[0] + docs.count()
-        below = math.log10(total + 0.5 * (words.count() + 2))
-        e = lm_scoring.Encoder.at(tokenizer)
-        sizes = [sum(len(x) // 4 for x in e.encode_words([lm_scoring.words_of(r["text"])])[0]) + 1 for r in docs.collect()]
-        for shares in ({}, {b"the": math.log10(6 * many + 0.5) - below}):
-            shares = shares | {None: math.log10(docs.count() + 0.5) - below}
-            _, weight, windows = lm_scoring.fit(docs, words, tokenizer, docs.count(), below, shares)
-            assert windows == sum(-(-n // lm_scoring.STRIDE) for n in sizes) and 0.5 < weight <= 0.98
-
-
-def test_lm_mixture_weight():
-    r = np.random.default_rng(0)
-    d = np.rint(r.normal(0.3, 1.0, 5000) / lm_scoring.BIN).astype(int)
-    w = 0.5
-    for _ in range(20):
-        w = (w * 10 ** (d * lm_scoring.BIN) / (w * 10 ** (d * lm_scoring.BIN) + 1 - w)).mean()
-    assert abs(lm_scoring.em_weight(dict(zip(*np.unique(d, return_counts=True)))) - w) < 1e-9
+    none = lm_scoring.scored(odd.where("doc_id = 7 and false"), public_tokenizers.path("word_bpe_49k.json"))
+    assert none.count() == 0
 
 
 def test_language_id_learns_every_language(spark):
