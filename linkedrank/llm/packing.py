@@ -37,8 +37,8 @@ from linkedrank.sources import read_table, staged
 
 CAPACITY = 4096
 END_ID = 1
-HELD_MOST = 400_000  # words, and atoms, that a worker remembers before it starts anew
-GROUP_BYTES = 6_000_000  # of text that is split into words at a time
+HELD_MOST = 250_000  # words, and atoms, that a worker remembers before it starts anew
+GROUP_BYTES = 3_000_000  # of text that is split into words at a time
 PIECE_SCHEMA = "piece int, start long, length long, ids_crc32 long"
 _encoders: dict = {}
 
