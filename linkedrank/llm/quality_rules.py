@@ -1,9 +1,12 @@
 """Operator 4 (native): weak supervision over quality rules.
 
-Each rule looks at a few counts of a document and votes good, bad, or abstains.
-Expectation-maximisation over the table of vote patterns (at most 3^rules rows,
-whatever the corpus holds) estimates how often each rule votes well on good and on
-bad documents; the posterior probability of "good" is the verdict.
+Each rule looks at a few counts of a document and votes good, bad, or abstains. A document is
+good or one of a few kinds of junk; a kind is named by the rules that are expected to agree on it.
+Expectation-maximisation over the table of vote patterns (at most 3^rules rows, whatever the corpus
+holds) estimates the share of each kind and how often each rule votes bad on it; the posterior
+probability of "good" is the verdict. So a bad vote that no other rule backs, and that falls on documents good
+otherwise, is taken for a habit of good documents; votes that agree make junk. Start values
+weigh as PSEUDO documents each, whatever the corpus holds, so the data overrule them.
 
 Everything on the executors is a Column expression. The repeated-window count works
 within a row on arrays of 64-bit hashes: no explode and no shuffle of words. Two
@@ -12,7 +15,7 @@ of 20,000 words; nothing else is approximate.
 
 Edge cases: a null or empty text has no words and all counts 0, so it fails the base
 rule; repeated rows get equal verdicts; an empty table gives an empty result and the
-prior parameters; input columns besides id and text are ignored (``scored``) or passed
+start values; input columns besides id and text are ignored (``scored``) or passed
 through untouched (``keep_good``), whatever their names.
 """
 
@@ -31,47 +34,58 @@ WINDOW = 8
 COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
 EXTRA = ("n_lines", "n_distinct", "n_upper", "n_shouts")
 
-# One rule per entry: (name, SQL test for a bad vote, SQL test for a good vote);
+# One rule per entry: (name, SQL test for a bad vote, SQL test for a good vote, kind of junk);
 # neither: abstain. The texts are valid in Spark SQL and in DuckDB alike.
 RULES = (
-    ("symbols", "20 * n_symbols > n_words", "n_symbols = 0"),
-    ("dup_lines", "n_lines >= 4 AND 10 * n_dup_lines > 3 * n_lines", "n_lines >= 4 AND 20 * n_dup_lines <= n_lines"),
-    ("repeats", "100 * n_repeat_words > 30 * n_words", "n_words >= 20 AND 20 * n_repeat_words <= n_words"),
-    ("variety", "n_words >= 40 AND 5 * n_distinct < n_words", "2 * n_distinct > n_words"),
-    ("capitals", "10 * n_upper > 4 * word_chars", "5 * n_upper <= word_chars"),
-    ("word_length", "2 * word_chars < 5 * n_words OR word_chars > 12 * n_words", "word_chars >= 3 * n_words AND word_chars <= 10 * n_words"),
-    ("length", "n_words < 20", "n_words >= 50"),
-    ("shouts", "5 * n_shouts > n_words", "10 * n_shouts <= n_words"),
+    ("symbols", "20 * n_symbols > n_words", "n_symbols = 0", "signs"),
+    ("symbol_share", "10 * n_symbols > word_chars", "100 * n_symbols <= word_chars", "signs"),
+    ("dup_lines", "n_lines >= 4 AND 10 * n_dup_lines > 3 * n_lines", "n_lines >= 4 AND 20 * n_dup_lines <= n_lines", "repetition"),
+    ("repeats", "100 * n_repeat_words > 30 * n_words", "n_words >= 20 AND 20 * n_repeat_words <= n_words", "repetition"),
+    ("variety", "n_words >= 40 AND 5 * n_distinct < n_words", "2 * n_distinct > n_words", "repetition"),
+    ("vocabulary", "n_words >= 40 AND n_distinct * n_distinct < 9 * n_words", "n_distinct * n_distinct > 16 * n_words", "repetition"),
+    ("capitals", "10 * n_upper > 4 * word_chars", "5 * n_upper <= word_chars", "shape"),
+    ("word_length", "2 * word_chars < 5 * n_words OR word_chars > 12 * n_words", "word_chars >= 3 * n_words AND word_chars <= 10 * n_words", "shape"),
+    ("length", "n_words < 20", "n_words >= 50", "shape"),
+    ("shouts", "5 * n_shouts > n_words", "10 * n_shouts <= n_words", "shape"),
 )
+JUNK = ("signs", "repetition", "shape")
 BASE_FAILED = "n_words < 20 OR 100 * n_repeat_words > 30 * n_words"
 ROUNDS = 12
-# Start values, which are also the means of Beta priors that weigh so many times the data.
-# Kinds of junk hardly share rules (symbols here, shouting there). With flat priors, EM takes
-# the kind whose rules agree for "bad" and counts the other kinds as habits of good
-# documents; a rule that fires on a good document is therefore held to be rare.
-PRIOR_GOOD, GOOD_RIGHT, BAD_RIGHT = 0.8, 0.997, 0.3
-SMOOTH, GOOD_WEIGHT, BAD_WEIGHT = 1.0, 50.0, 1.0
+# Start values: shares of good documents and of each kind of junk, and how often a rule votes bad
+# on good documents, on the kind it belongs to, and on the others.
+START_GOOD, START_JUNK = 0.91, 0.03
+BAD_ON_GOOD, BAD_ON_OWN, BAD_ON_OTHER = 0.01, 0.7, 0.05
+PSEUDO = 20.0
+
+
+def _start_rate(kind: int, i: int) -> float:
+    return BAD_ON_GOOD if kind == 0 else BAD_ON_OWN if RULES[i][3] == JUNK[kind - 1] else BAD_ON_OTHER
+
+
+def _start_share(kind: int) -> float:
+    return START_JUNK if kind else START_GOOD
 
 
 @dataclass(frozen=True)
 class RuleModel:
-    """Prior of "good"; P(votes good | good, votes) and P(votes bad | bad, votes) per rule."""
+    """Shares of good documents (first) and of each kind of junk, and P(rule i votes bad | kind, it votes)."""
+
+    share: tuple[float, ...]
+    bad: tuple[tuple[float, ...], ...]
 
-    prior: float
-    good_right: tuple[float, ...]
-    bad_right: tuple[float, ...]
+    def accuracy(self) -> dict[str, tuple[float, float]]:
+        """Per rule: how often its votes are right on good documents, and on its own kind of junk."""
+        return {name: (1 - self.bad[0][i], self.bad[1 + JUNK.index(kind)][i]) for i, (name, _, _, kind) in enumerate(RULES)}
 
-    def log_odds_sql(self, vote) -> str:
-        """SQL of the log odds of "good"; vote(i) is the SQL of rule i's vote (1, 0, null)."""
-        terms = [repr(math.log(self.prior / (1 - self.prior)))]
-        for i, (g, b) in enumerate(zip(self.good_right, self.bad_right)):
-            up, down = math.log(g / (1 - b)), math.log((1 - g) / b)
-            terms.append(f"CASE {vote(i)} WHEN 1 THEN {up!r}D WHEN 0 THEN {down!r}D ELSE 0D END")
-        terms[0] += "D"
-        return " + ".join(f"({t})" for t in terms)
+    def odds_sql(self, kind: int, vote) -> str:
+        """SQL of the log odds of a kind of junk against good; vote(i) is the SQL of rule i's vote (1, 0, null)."""
+        terms = [f"({math.log(self.share[kind] / self.share[0])!r}D)"]
+        for i, (b, g) in enumerate(zip(self.bad[kind], self.bad[0])):
+            terms.append(f"(CASE {vote(i)} WHEN 1 THEN {math.log((1 - b) / (1 - g))!r}D WHEN 0 THEN {math.log(b / g)!r}D ELSE 0D END)")
+        return " + ".join(terms)
 
 
-START = RuleModel(PRIOR_GOOD, (GOOD_RIGHT,) * len(RULES), (BAD_RIGHT,) * len(RULES))
+START = RuleModel(tuple(_start_share(k) for k in range(len(JUNK) + 1)), tuple(tuple(_start_rate(k, i) for i in range(len(RULES))) for k in range(len(JUNK) + 1)))
 
 
 def _repeat_words(df: DataFrame) -> DataFrame:
@@ -131,43 +145,47 @@ def counts(docs: DataFrame, carry: dict[str, Column], text: Column) -> DataFrame
 
 def votes_sql() -> str:
     """SQL of the vote pattern: one character per rule, 1 good, 0 bad, - abstains."""
-    return " || ".join(f"(CASE WHEN {bad} THEN '0' WHEN {good} THEN '1' ELSE '-' END)" for _, bad, good in RULES)
+    return " || ".join(f"(CASE WHEN {bad} THEN '0' WHEN {good} THEN '1' ELSE '-' END)" for _, bad, good, _ in RULES)
 
 
 def _vote(i: int) -> str:
     return f"(CASE substr(votes, {i + 1}, 1) WHEN '1' THEN 1 WHEN '0' THEN 0 END)"
 
 
+def _with_shares(patterns: DataFrame, model: RuleModel) -> DataFrame:
+    """Add ``q0`` (posterior of good) and ``q1``.. (of each kind of junk)."""
+    kinds = range(1, len(JUNK) + 1)
+    for k in kinds:
+        patterns = patterns.withColumn(f"o{k}", F.expr(f"exp({model.odds_sql(k, _vote)})"))
+    patterns = patterns.withColumn("q0", 1 / sum((F.col(f"o{k}") for k in kinds), F.lit(1.0)))
+    return patterns.select("*", *[(F.col(f"o{k}") * F.col("q0")).alias(f"q{k}") for k in kinds]).drop(*[f"o{k}" for k in kinds])
+
+
 def fit(voted: DataFrame, rounds: int = ROUNDS) -> RuleModel:
     """EM over the vote patterns of documents that pass the base rule; a round is one small aggregate."""
     patterns = staged(voted.where(~F.expr(BASE_FAILED)).groupBy("votes").agg(F.count("*").alias("n")), "rule-patterns")
-    model = START
+    model, kinds = START, range(len(JUNK) + 1)
     for _ in range(rounds):
-        p = patterns.withColumn("good", F.expr(f"1D / (1D + exp(-({model.log_odds_sql(_vote)})))"))
-        sums = [F.sum("n").alias("all"), F.sum(F.col("n") * F.col("good")).alias("g")]
+        part = lambda k: F.col("n") * F.col(f"q{k}")
+        sums = [F.sum("n").alias("all"), *[F.sum(part(k)).alias(f"s{k}") for k in kinds]]
         for i in range(len(RULES)):
             v = F.expr(_vote(i))
-            for k, (vote, part) in enumerate(((1, F.col("good")), (0, F.col("good")), (1, 1 - F.col("good")), (0, 1 - F.col("good")))):
-                sums.append(F.sum(F.when(v == vote, F.col("n") * part).otherwise(0.0)).alias(f"s{i}_{k}"))
-        row = p.agg(*sums).first()
+            sums += [F.sum(F.when(v == vote, part(k)).otherwise(0.0)).alias(f"s{k}_{i}_{vote}") for k in kinds for vote in (0, 1)]
+        row = _with_shares(patterns, model).agg(*sums).first()
         if not row["all"]:
             return START
-        def share(hit, miss, first, weight=0.0):
-            own = SMOOTH + weight * (hit + miss)
-            return min(0.999, max(0.001, (hit + own * first) / (hit + miss + own)))
-
         model = RuleModel(
-            share(row["g"], row["all"] - row["g"], PRIOR_GOOD),
-            tuple(share(row[f"s{i}_0"], row[f"s{i}_1"], GOOD_RIGHT, GOOD_WEIGHT) for i in range(len(RULES))),
-            tuple(share(row[f"s{i}_3"], row[f"s{i}_2"], BAD_RIGHT, BAD_WEIGHT) for i in range(len(RULES))),
+            tuple((row[f"s{k}"] + PSEUDO * _start_share(k)) / (row["all"] + PSEUDO) for k in kinds),
+            tuple(tuple((row[f"s{k}_{i}_0"] + PSEUDO * _start_rate(k, i)) / (row[f"s{k}_{i}_0"] + row[f"s{k}_{i}_1"] + PSEUDO) for i in range(len(RULES))) for k in kinds),
         )
     return model
 
 
 def judged(voted: DataFrame, model: RuleModel, threshold: float = 0.5) -> DataFrame:
     """Add ``p_good``, ``base_failed`` and ``kept``."""
+    odds = " + ".join(f"exp({model.odds_sql(k, _vote)})" for k in range(1, len(JUNK) + 1))
     return (
-        voted.withColumn("p_good", F.expr(f"1D / (1D + exp(-({model.log_odds_sql(_vote)})))"))
+        voted.withColumn("p_good", F.expr(f"1D / (1D + {odds})"))
         .withColumn("base_failed", F.expr(BASE_FAILED))
         .withColumn("kept", ~F.col("base_failed") & (F.col("p_good") >= threshold))
     )
@@ -218,29 +236,28 @@ voted AS (SELECT *, {votes_sql()} AS votes FROM feat)"""
 
 def oracle_sql() -> str:
     """The whole operator in DuckDB SQL, EM rounds unrolled."""
-    n = len(RULES)
+    n, kinds = len(RULES), range(len(JUNK) + 1)
     ctes = [oracle_features_sql(), f"pat AS (SELECT votes, count(*) AS n FROM voted WHERE NOT ({BASE_FAILED}) GROUP BY votes)"]
-    ctes.append("m0 AS (SELECT " + ", ".join([f"{PRIOR_GOOD}::DOUBLE AS p"] + [f"{GOOD_RIGHT}::DOUBLE AS g{i}, {BAD_RIGHT}::DOUBLE AS b{i}" for i in range(n)]) + ")")
-
-    def good() -> str:
-        odds = " + ".join(["ln(p / (1 - p))"] + [
-            f"(CASE substr(votes, {i + 1}, 1) WHEN '1' THEN ln(g{i} / (1 - b{i})) WHEN '0' THEN ln((1 - g{i}) / b{i}) ELSE 0 END)" for i in range(n)])
-        return f"1 / (1 + exp(-({odds})))"
+    first = [f"{_start_share(k)}::DOUBLE AS w{k}" for k in kinds] + [f"{_start_rate(k, i)}::DOUBLE AS b{k}_{i}" for k in kinds for i in range(n)]
+    ctes.append(f"m0 AS (SELECT {', '.join(first)})")
 
-    def share(hit: str, miss: str, first: float, weight: float = 0.0) -> str:
-        own = f"({SMOOTH} + {weight} * ({hit} + {miss}))"
-        return f"least(0.999, greatest(0.001, ({hit} + {own} * {first}) / ({hit} + {miss} + {own})))"
+    def odds(k: int) -> str:
+        votes = [f"(CASE substr(votes, {i + 1}, 1) WHEN '1' THEN ln((1 - b{k}_{i}) / (1 - b0_{i})) WHEN '0' THEN ln(b{k}_{i} / b0_{i}) ELSE 0 END)" for i in range(n)]
+        return f"exp({' + '.join([f'ln(w{k} / w0)', *votes])})"
 
+    good = f"1 / (1 + {' + '.join(odds(k) for k in kinds if k)})"
     for r in range(ROUNDS):
-        tot = lambda part, i, v: f"sum(CASE WHEN substr(votes, {i + 1}, 1) = '{v}' THEN n * {part} ELSE 0 END)"
-        cols = [share("sum(n * q)", "sum(n * (1 - q))", PRIOR_GOOD) + " AS p"]
-        for i in range(n):
-            cols.append(share(tot("q", i, 1), tot("q", i, 0), GOOD_RIGHT, GOOD_WEIGHT) + f" AS g{i}")
-            cols.append(share(tot("(1 - q)", i, 0), tot("(1 - q)", i, 1), BAD_RIGHT, BAD_WEIGHT) + f" AS b{i}")
-        ctes.append(f"e{r} AS (SELECT votes, n, {good()} AS q FROM pat, m{r})")
+        cols = [f"(sum(n * q{k}) + {PSEUDO * _start_share(k)}) / (sum(n) + {PSEUDO}) AS w{k}" for k in kinds]
+        for k in kinds:
+            for i in range(n):
+                hit, miss = (f"sum(CASE WHEN substr(votes, {i + 1}, 1) = '{v}' THEN n * q{k} ELSE 0 END)" for v in (0, 1))
+                cols.append(f"({hit} + {PSEUDO * _start_rate(k, i)}) / ({hit} + {miss} + {PSEUDO}) AS b{k}_{i}")
+        ctes.append(f"o{r} AS (SELECT votes, n, {', '.join(f'{odds(k)} AS o{k}' for k in kinds if k)} FROM pat, m{r})")
+        total = " + ".join(["1", *[f"o{k}" for k in kinds if k]])
+        ctes.append(f"e{r} AS (SELECT votes, n, {', '.join((f'o{k}' if k else '1') + f' / ({total}) AS q{k}' for k in kinds)} FROM o{r})")
         ctes.append(f"m{r + 1} AS (SELECT {', '.join(cols)} FROM e{r})")
     return (
         "WITH " + ",\n".join(ctes)
         + f"\nSELECT doc_id, {', '.join(COUNTS)}, base_failed, NOT base_failed AND q >= 0.5 AS kept, votes, round(q, 6) AS p_good"
-        + f"\nFROM (SELECT *, ({BASE_FAILED}) AS base_failed, {good()} AS q FROM voted, m{ROUNDS})"
+        + f"\nFROM (SELECT *, ({BASE_FAILED}) AS base_failed, {good} AS q FROM voted, m{ROUNDS})"
     )

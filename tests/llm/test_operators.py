@@ -291,3 +291,21 @@ def test_language_id_learns_every_language(spark):
     x = np.stack([language_id.features(t) for _, t, _ in rows[:80]])
     loss = np.logaddexp(0, -model.margins(x)[:, None, :] * model.codes[None]) @ model.weight
     assert (model.decode(x)[0] == loss.argmin(axis=1)).mean() > 0.95
+
+
+def test_rules_that_conflict_are_weighed_by_em(spark):
+    """A habit of good documents is no junk, votes that agree are; filtering on any bad vote would take both."""
+    names = [r[0] for r in quality_rules.RULES]
+
+    def votes(*bad):
+        return "".join("0" if n in bad else "1" for n in names)
+
+    planted = {votes(): 3000, votes("dup_lines"): 500, votes("capitals"): 200, votes("symbols", "symbol_share"): 250, votes("variety", "vocabulary"): 120, votes("symbols", "symbol_share", "dup_lines"): 40}
+    rows = [(k, v, 100, 0) for k, v in enumerate(v for v, n in planted.items() for _ in range(n))]
+    voted = spark.createDataFrame(rows, "doc_id long, votes string, n_words long, n_repeat_words long")
+    model = quality_rules.fit(voted)
+    kept = {r["votes"]: r["kept"] for r in quality_rules.judged(voted, model).select("votes", "kept").distinct().collect()}
+    assert kept == {v: v in (votes(), votes("dup_lines"), votes("capitals")) for v in planted}
+    right = model.accuracy()
+    assert abs(1 - right["dup_lines"][0] - 500 / 3700) < 0.02 and right["symbols"][1] > 0.9
+    assert sum(not k for k in kept.values()) < sum("0" in v for v in kept)
