@@ -1,27 +1,39 @@
 """Keeping the best k trees current under inserts and deletes.
 
-A batch is netted per row, applied to the snapshot, and its deletes and inserts are turned
-into tree changes: trees with a deleted member go; for every network and every node with
-inserted rows, new trees are joined from "inserted here, current before, unchanged after", so no
-tree is built twice. Ceilings come from bounds frozen at registration; a live statistic above
-its bound widens that margin and re-evaluates. Too few trees at the threshold: more slack and
-a resume; too many: the threshold rises and what lies under it is dropped.
+Relations are a base and small changed parts: keys that are gone and rows that came. A batch is netted per
+row and touches those parts only; texts of inserted rows alone are cut into words. Found trees carry the counts
+of their members, so they are rescored by projection. Deletes take found trees away; inserts are joined outward from
+the inserted rows, along partners that are fetched once per path and batch (``PartnerCache``).
+
+``mark`` is the read mark: every tree whose ceiling reaches it is found. Ceilings come from bounds frozen per relation
+and word. A live statistic above its bound widens that one margin; no ceiling grows by more than the ratio of the new
+bound to the old one, so the mark rises by that ratio instead of reading anything again. Where the mark lies
+above the k-th score, reading goes on from the mark (catch-up; resume, with more slack, if fewer than
+k trees reach the threshold). Too many trees: the threshold and the mark rise, which un-reads rows, and the
+trees below them are dropped (retreat).
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field, replace
+import json
+from dataclasses import asdict, dataclass, field, replace
+from functools import reduce
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from linkedrank.functions import scoring
 from linkedrank.functions.scoring import Margins, Stats
-from linkedrank.operators import evaluate
-from linkedrank.operators.evaluate import Prepared, StandingQuery
+from linkedrank.operators import evaluate, shared
+from linkedrank.operators.evaluate import Bound, Prepared, StandingQuery
+from linkedrank.operators.partners import PartnerCache
+from linkedrank.operators.shared import SlotPlan
 from linkedrank.plans import families, networks
 from linkedrank.plans.catalog import LinkedSchema
-from linkedrank.sources import staged
+from linkedrank.sources import reread, staged, together
+
+COUNTERS = ("batches", "changes", "df_widened", "avdl_widened", "catch_ups", "resumes", "retreats", "selections", "joins", "compactions")
+COMPACT = 0.2  # changed rows over base rows at which a relation is written anew
 
 
 @dataclass(frozen=True)
@@ -30,25 +42,99 @@ class MaintainConfig:
     slack_step: int = 2
     slack_cap: int = 20
     retreat: bool = True
+    cache: bool = True
     margins: Margins = Margins()
 
 
+@dataclass(frozen=True)
+class Layered:
+    """A relation: base rows without those whose keys are gone, and rows that came."""
+
+    base: DataFrame
+    gone: DataFrame | None = None
+    come: DataFrame | None = None
+    base_n: int = 0
+    changed: int = 0
+
+    def rows(self) -> DataFrame:
+        out = self.base if self.gone is None else self.base.join(F.broadcast(self.gone) if self.changed < 1_000_000 else self.gone, "key", "left_anti").select(self.base.columns)
+        return out if self.come is None else out.unionByName(self.come)
+
+    def after(self, deleted: DataFrame, inserted: DataFrame, n: int) -> Layered:
+        """deleted: staged keys; inserted: staged rows; n: how many both are."""
+        gone = deleted if self.gone is None else staged(self.gone.unionByName(deleted).distinct(), "gone")
+        come = inserted
+        if self.come is not None:
+            come = staged(self.come.join(deleted, "key", "left_anti").select(self.come.columns).unionByName(inserted), "come")
+        out = replace(self, gone=gone, come=come, changed=self.changed + n)
+        return out if out.changed <= COMPACT * max(self.base_n, 5000) else Layered(staged(out.rows(), "base"), base_n=self.base_n + n)
+
+
 @dataclass
 class State:
     schema: LinkedSchema
     query: StandingQuery
     config: MaintainConfig
+    texts: dict[str, Layered]  # rows as they are given, of relations that changed
+    counted: dict[str, Layered]  # key, links, dl, tf_0..; keys and links alone where there is no text
     live: dict[str, Stats]
-    bounds: dict[str, tuple[Stats, Margins]]
-    prep: Prepared
+    bounds: dict[str, Bound]
+    best: dict[str, float]
     found: DataFrame
     theta: float
+    mark: float
     slack: int
-    counters: dict[str, int] = field(default_factory=lambda: dict.fromkeys(("batches", "df_widened", "avdl_widened", "resumes", "retreats", "rescored"), 0))
+    counters: dict[str, int] = field(default_factory=lambda: dict.fromkeys(COUNTERS, 0))
 
     def top(self) -> DataFrame:
         return evaluate.top(self.found, self.query.k)
 
+    @property
+    def prep(self) -> Prepared:
+        """The query over the current rows; all of it is projection over counts."""
+        words, matched, free = list(self.query.words), {}, {}
+        for rel, spec in self.schema.relations.items():
+            rows = self.counted[rel].rows()
+            if not spec.has_text:
+                free[rel] = rows
+                continue
+            free[rel] = rows.where(~scoring.any_word(words)).select("key", *self.schema.link_columns(rel))
+            if any(self.live[rel].df.values()):
+                matched[rel] = evaluate.scored_rows(rows, words, self.live[rel], self.bounds[rel])
+        return Prepared(self.schema, self.query, self.live, matched, free, self.best, networks.generate(self.schema, list(matched), self.query.max_size))
+
+    def save(self, path: str) -> None:
+        """Write what a restart needs as one small file; all tables are staged ones already."""
+        spark = self.found.sparkSession
+
+        def layer(x: Layered):
+            at = lambda d: None if d is None else [getattr(d, "staged_path", None), d.schema.json()]
+            return {"base": at(x.base), "gone": at(x.gone), "come": at(x.come), "base_n": x.base_n, "changed": x.changed}
+
+        out = {"texts": {r: layer(x) for r, x in self.texts.items()}, "counted": {r: layer(x) for r, x in self.counted.items()}, "live": {r: asdict(x) for r, x in self.live.items()},
+               "bounds": {r: asdict(x) for r, x in self.bounds.items()}, "best": self.best, "found": [self.found.staged_path, self.found.schema.json()],
+               "theta": self.theta, "mark": self.mark, "slack": self.slack, "counters": self.counters}
+        spark.createDataFrame([(json.dumps(out),)], "state string").coalesce(1).write.mode("overwrite").text(path)
+
+
+def load(spark: SparkSession, path: str, schema: LinkedSchema, query: StandingQuery, config: MaintainConfig) -> State:
+    """A saved state; schema, query and config are those it was registered with."""
+    from pyspark.sql.types import StructType
+
+    d = json.loads(spark.read.text(path, wholetext=True).first()[0])
+
+    def table(x, given):
+        return None if x is None else given if x[0] is None else reread(spark, x[0], StructType.fromJson(json.loads(x[1])))
+
+    def layer(x, given=None):
+        return Layered(table(x["base"], given), table(x["gone"], None), table(x["come"], None), x["base_n"], x["changed"])
+
+    texts = {r: layer(x, schema.frames[r]) for r, x in d["texts"].items()}
+    return State(schema.bound(schema.frames | {r: x.rows() for r, x in texts.items()}), query, config, texts,
+                 {r: layer(x, schema.frames[r].select("key", *schema.link_columns(r))) for r, x in d["counted"].items()},
+                 {r: Stats(**x) for r, x in d["live"].items()}, {r: Bound(**x) for r, x in d["bounds"].items()}, d["best"], table(d["found"], None),
+                 d["theta"], d["mark"], d["slack"], d["counters"])
+
 
 def split_updates(changes: DataFrame) -> DataFrame:
     """An update is a delete followed by an insert of the same row."""
@@ -71,140 +157,250 @@ def _shift(old: Stats, gone: Stats, come: Stats) -> Stats:
     return Stats(n, total / n if n else 0.0, {w: old.df[w] - gone.df[w] + come.df[w] for w in old.df})
 
 
-def violations(live: dict[str, Stats], bounds: dict[str, tuple[Stats, Margins]]) -> list[tuple[str, str]]:
+def violations(live: dict[str, Stats], bounds: dict[str, Bound]) -> list[tuple[str, str]]:
     """(relation, word) with idf above its bound, (relation, "") with mean length above it."""
     out = []
     for rel, s in live.items():
-        frozen, m = bounds[rel]
-        out += [(rel, w) for w, df in s.df.items() if df and s.idf(w) > frozen.idf(w, m.df) + 1e-12]
-        if s.avdl > frozen.avdl * (1 + m.avdl) + 1e-12:
+        b = bounds[rel]
+        out += [(rel, w) for w, df in s.df.items() if df and s.idf(w) > b.idf[w] + 1e-12]
+        if s.avdl > b.avdl + 1e-12:
             out.append((rel, ""))
     return out
 
 
-def _prepare(schema: LinkedSchema, query: StandingQuery, live: dict[str, Stats], bounds, old: Prepared | None, changed: set[str]) -> Prepared:
-    """Scores from live statistics, ceilings from frozen bounds; unchanged relations are reused."""
-    words, matched, free, best = list(query.words), {}, {}, {}
-    for rel, spec in schema.relations.items():
-        links = schema.link_columns(rel)
-        if old and rel not in changed:
-            free[rel] = old.free[rel]
-            if rel in old.matched:
-                matched[rel], best[rel] = old.matched[rel], old.best[rel]
-            continue
-        frame = schema.frames[rel]
-        if not spec.has_text:
-            free[rel] = frame.select("key", *links)
-            continue
-        counted = scoring.with_counts(frame, words)
-        free[rel] = counted.where(~scoring.any_word(words)).select("key", *links)
-        if any(live[rel].df.values()):
-            frozen, m = bounds[rel]
-            c = scoring.row_scores(counted.where(scoring.any_word(words)), words, live[rel])
-            matched[rel] = staged(scoring.row_ceilings(c, words, frozen, m).select("key", *links, "row_score", "row_ceiling"), f"matched-{rel}")
-            best[rel] = matched[rel].agg(F.max("row_ceiling")).first()[0]
-    return Prepared(schema, query, live, matched, free, best, networks.generate(schema, list(matched), query.max_size))
+def widened(bound: Bound, live: Stats, word: str, margins: Margins) -> tuple[Bound, float]:
+    """The bound with one margin widened and taken from live statistics, and how much a ceiling can grow by it."""
+    if not word:
+        m = bound.avdl_margin + margins.avdl_step
+        new = replace(bound, avdl=live.avdl * (1 + m), avdl_margin=m)
+        return new, max(1.0, new.avdl / bound.avdl) if bound.avdl else float("inf")
+    m = max(bound.df_margin[word], min(margins.df_cap, bound.df_margin[word] + margins.df_step))
+    new = replace(bound, idf=bound.idf | {word: live.idf(word, m)}, df_margin=bound.df_margin | {word: m})
+    return new, max(1.0, new.idf[word] / bound.idf[word]) if bound.idf[word] else float("inf")
 
 
 def register(schema: LinkedSchema, query: StandingQuery, config: MaintainConfig = MaintainConfig()) -> State:
     words = list(query.words)
-    live = {r: scoring.statistics(scoring.with_counts(schema.frames[r], words), words) for r, s in schema.relations.items() if s.has_text}
-    bounds = {r: (s, config.margins) for r, s in live.items()}
-    prep = _prepare(schema, query, live, bounds, None, set())
+
+    def one(rel):
+        links = schema.link_columns(rel)
+        if not schema.relations[rel].has_text:
+            rows = schema.frames[rel].select("key", *links)
+            return Layered(rows, base_n=rows.count()), None
+        rows = staged(evaluate.counted_rows(schema.frames[rel], links, words), f"counted-{rel}")
+        live = scoring.statistics(rows, words)
+        return Layered(rows, base_n=live.n), live
+
+    got = dict(zip(schema.relations, together([lambda r=r: one(r) for r in schema.relations])))
+    live = {r: s for r, (_, s) in got.items() if s}
+    state = State(schema, query, config, {}, {r: x for r, (x, _) in got.items()}, live, {r: Bound.of(s, config.margins) for r, s in live.items()}, {}, None, 0.0, float("inf"), config.slack)
+    prep = state.prep
+    names = list(prep.matched)
+    state.best = prep.best = dict(zip(names, together([lambda r=r: prep.matched[r].agg(F.max("row_ceiling")).first()[0] for r in names])))
     a = evaluate.banded(prep, query.k, config.slack)
-    return State(schema, query, config, live, bounds, prep, staged(a.found, "found"), a.theta, config.slack)
-
-
-def rescore(found: DataFrame, prep: Prepared) -> DataFrame:
-    """Scores and ceilings of found trees from the current rows of their members."""
-    rows = None
-    for rel, m in prep.matched.items():
-        one = m.select(F.lit(rel).alias("rel"), F.col("key").cast("string").alias("key"), "row_score", "row_ceiling")
-        rows = one if rows is None else rows.unionByName(one)
-    if rows is None:
-        return found.limit(0)
-    m = found.select("tree_key", F.explode("members").alias("m")).select("tree_key", "m.*").where("matched")
-    new = m.join(rows, ["rel", "key"]).groupBy("tree_key").agg(F.sum("row_score").alias("s"), F.sum("row_ceiling").alias("c"))
-    return found.drop("score", "ceiling").join(new, "tree_key").select(
-        "network", "size", "tree_key", (F.col("s") / F.col("size")).alias("score"), (F.col("c") / F.col("size")).alias("ceiling"), "members")
-
-
-def delta_trees(prep: Prepared, before: Prepared, come: dict[str, DataFrame], low: float) -> DataFrame:
-    """Trees with at least one inserted row; networks that are new altogether come whole."""
-    words, known = list(prep.query.words), {n.code for n in before.networks}
-    keys = {rel: d.select(F.col("key").alias("_new")) for rel, d in come.items()}
-    inserted, kept = {}, {}
-    for rel, k in keys.items():
-        for m, frames in ((True, prep.matched), (False, prep.free)):
-            if rel in frames:
-                inserted[rel, m] = frames[rel].join(k, frames[rel]["key"] == k["_new"], "left_semi")
-                kept[rel, m] = frames[rel].join(k, frames[rel]["key"] == k["_new"], "left_anti")
-    out = evaluate.trees(prep, [n for n in prep.networks if n.code not in known], evaluate.network_cut(prep, low))
-    del words
-    for net in prep.networks:
-        if net.code not in known or families.potential(net, prep.best) < low - 1e-9:
-            continue
-        cut = evaluate.network_cut(prep, low)
-
-        def rows(i, part):
-            node = net.nodes[i]
-            f = part.get(node) if part is not None else None
-            f = (prep.matched if node[1] else prep.free)[node[0]] if f is None else f
-            return f.where(F.col("row_ceiling") >= cut(net, i)) if node[1] else f
-
-        for i in range(net.size):
-            if net.nodes[i] in inserted:
-                out = out.unionByName(evaluate.join_network(net, [rows(j, None if j < i else inserted if j == i else kept) for j in range(net.size)]))
+    state.found = a.found if hasattr(a.found, "staged_path") else staged(a.found, "found")
+    state.theta, state.mark = a.theta, a.mark
+    return state
+
+
+def rescore(found: DataFrame, state: State) -> DataFrame:
+    """Scores and ceilings of found trees from their members' counts and the current statistics and bounds."""
+    words = list(state.query.words)
+
+    def total(idf, avdl):
+        def one(m):
+            out = F.lit(0.0)
+            for rel in state.live:
+                length = F.lit(1 - scoring.S) + m["dl"] * F.lit(scoring.S) / F.lit(avdl(rel) or 1.0)
+                s = F.lit(0.0)
+                for i, w in enumerate(words):
+                    tf = m["tf"][i]
+                    s = s + F.when(tf > 0, (1 + F.log(1 + F.log(F.greatest(tf, F.lit(1))))) / length * idf(rel, w)).otherwise(0.0)
+                out = F.when(m["matched"] & (m["rel"] == rel), s).otherwise(out)
+            return out
+
+        return F.aggregate("members", F.lit(0.0), lambda a, m: a + one(m)) / F.col("size")
+
+    return found.select(
+        "network", "size", "tree_key", total(lambda r, w: state.live[r].idf(w), lambda r: state.live[r].avdl).alias("score"),
+        total(lambda r, w: state.bounds[r].idf[w], lambda r: state.bounds[r].avdl).alias("ceiling"), "members")
+
+
+def expire(found: DataFrame, gone: dict[str, DataFrame]) -> DataFrame:
+    """Found trees without those that have a deleted member."""
+    dead = reduce(DataFrame.unionByName, [d.select(F.lit(rel).alias("rel"), F.col("key").cast("string").alias("key")) for rel, d in gone.items()])
+    hit = found.select("tree_key", F.explode("members").alias("m")).select("tree_key", "m.rel", "m.key").join(dead, ["rel", "key"], "left_semi")
+    return found.join(hit.select("tree_key").distinct(), "tree_key", "left_anti").select(found.columns)
+
+
+def walk(net, i: int) -> list[tuple[int, int, tuple[str, ...]]]:
+    """(node, node before it, path from i) of all nodes but i, nearest first."""
+    out, todo = [], [(i, -1, ())]
+    while todo:
+        at, parent, path = todo.pop(0)
+        if parent >= 0:
+            out.append((at, parent, path))
+        todo += [(j, at, (*path, label)) for j, label in net.adjacent(at) if j != parent]
     return out
 
 
-def apply(state: State, changes: dict[str, DataFrame]) -> tuple[State, DataFrame]:
-    """The state after a batch (relation -> changes), and the difference of the answers."""
-    words, cfg, before = list(state.query.words), state.config, state.top()
-    frames, live, come, gone, changed = dict(state.schema.frames), dict(state.live), {}, {}, set()
-    for rel, c in changes.items():
-        deleted, inserted = net_effect(c)
-        old = frames[rel]
-        frames[rel] = staged(old.join(deleted, "key", "left_anti").unionByName(inserted.select(*old.columns)), f"rows-{rel}")
-        if state.schema.relations[rel].has_text:
-            count = lambda d: scoring.statistics(scoring.with_counts(d, words), words)
-            live[rel] = _shift(live[rel], count(old.join(deleted, "key", "left_semi")), count(inserted))
-        gone[rel], come[rel] = deleted, inserted
-        changed.add(rel)
-    counters, bounds = dict(state.counters), dict(state.bounds)
+def delta_trees(prep: Prepared, come: dict[str, DataFrame], peak: dict[tuple[str, bool], float], low: float, cache: bool = True) -> tuple[DataFrame, PartnerCache]:
+    """Trees with an inserted row whose ceiling can reach ``low``, and the partners that were fetched for them.
+
+    come: rows inserted per relation (key); peak: best ceiling of inserted rows by (relation, matched), absent where there are none. At node
+    i the inserted rows, at nodes before it any rows, at nodes after it rows that are not new: so no tree is built twice.
+    """
+    flag = {rel: d.select("key").withColumn("is_new", F.lit(True)) for rel, d in come.items()}
+
+    def rows(rel):
+        r = shared.all_rows(prep, rel, {True, False})
+        if rel not in flag:
+            return r.withColumn("is_new", F.lit(False))
+        return r.join(F.broadcast(flag[rel]), "key", "left").withColumn("is_new", F.coalesce("is_new", F.lit(False)))
+
+    terms, least = [], {}
+    for net in prep.networks:
+        for i, node in enumerate(net.nodes):
+            if node not in peak or (shared.rest(net, i, prep.best) + peak[node]) / net.size < low - 1e-9:
+                continue
+            steps = walk(net, i)
+            terms.append((net, i, steps))
+            for j, _, path in steps:
+                rel, m = net.nodes[j]
+                cut = shared.network_cut(net, j, prep.best, low) if m else None
+                least.setdefault((node[0], path), {}).setdefault(m, []).append(cut)
+
+    start = {rel: rows(rel).where("is_new") for rel in come}
+    caches: dict[str, PartnerCache] = {}
+
+    def worth(rel):
+        def test(path):
+            use = least.get((rel, path))
+            if use is None:
+                return None
+            out = F.lit(False)
+            if False in use:
+                out = out | ~F.col("matched")
+            if True in use:
+                out = out | (F.col("matched") & (F.col("row_ceiling") >= min(use[True])))
+            return out
+
+        return test
+
+    out = []
+    for net, i, steps in terms:
+        rel, m = net.nodes[i]
+        c = caches.setdefault(rel, PartnerCache(prep.schema, cache, rows, worth(rel)))
+        cut = lambda j: (F.col("row_ceiling") >= shared.network_cut(net, j, prep.best, low)) if net.nodes[j][1] else F.lit(True)  # noqa: B023, E731
+        first = start[rel].where(F.col("matched") == F.lit(m)).where(cut(i))
+        tree, placed = first.select(*[F.col(x).alias(f"n{i}_{x}") for x in first.columns]), {i}
+        columns = {i: first.columns}
+        for j, parent, path in steps:
+            e = c.edges(rel, start[rel], path).where((F.col("matched") == F.lit(net.nodes[j][1])) & cut(j))
+            if j > i:
+                e = e.where(~F.col("is_new"))
+            part = e.select(F.col("source").alias(f"n{j}_source"), *[F.col(x).alias(f"n{j}_{x}") for x in e.columns if x != "source"])
+            same = [F.col(f"n{x}_key") != F.col(f"n{j}_key") for x in placed if net.nodes[x][0] == net.nodes[j][0]]
+            tree = tree.join(part, reduce(lambda a, b: a & b, same, F.col(f"n{parent}_key") == F.col(f"n{j}_source")))
+            placed.add(j)
+            columns[j] = e.columns
+        out.append(evaluate.as_trees(net, tree, [columns[j] for j in range(net.size)]))
+    total = PartnerCache(prep.schema, cache)
+    for rel, c in caches.items():
+        total.selections, total.joins = total.selections + c.selections, total.joins + c.joins
+        total.known |= {(rel, *k): d for k, d in c.known.items()}
+    return (reduce(DataFrame.unionByName, out) if out else evaluate.nothing(prep)), total
+
+
+def netted(changes: dict[str, DataFrame]) -> dict[str, tuple[DataFrame, DataFrame]]:
+    """Net effect of each relation's changes; several queries can share it."""
+    names = list(changes)
+    return dict(zip(names, together([lambda r=r: net_effect(changes[r]) for r in names])))
+
+
+def apply(state: State, changes: dict[str, DataFrame], net: dict | None = None) -> tuple[State, DataFrame]:
+    """The state after a batch (relation -> changes), and the difference of the answers. net: ``netted(changes)`` if known."""
+    query, cfg, words, before = state.query, state.config, list(state.query.words), state.top()
+    net = net or netted(changes)
+    texts, counted, live, counters = dict(state.texts), dict(state.counted), dict(state.live), dict(state.counters)
     counters["batches"] += 1
-    broken = violations(live, bounds)
-    for rel, w in broken:
-        m = bounds[rel][1]
-        bounds[rel] = (live[rel], m.wider_df() if w else m.wider_avdl())
+
+    def one(rel):
+        deleted, inserted = net[rel]
+        links, text = state.schema.link_columns(rel), state.schema.relations[rel].has_text
+        raw = texts.get(rel) or Layered(state.schema.frames[rel], base_n=counted[rel].base_n)
+        come = evaluate.counted_rows(inserted, links, words) if text else inserted.select("key", *links)
+        old = counted[rel].rows().join(F.broadcast(deleted) if counted[rel].changed < 1_000_000 else deleted, "key", "left_semi")
+        size = lambda d, sign: d.select(F.lit(sign).alias("sign"), *([F.col("dl"), *[F.col(f"tf_{i}") for i in range(len(words))]] if text else []))
+        both = size(old, -1).unionByName(size(come, 1))
+        df = [F.sum((F.col(f"tf_{i}") > 0).cast("long")).alias(f"df_{i}") for i in range(len(words))]
+        hit = scoring.any_word(words) if text else F.lit(False)
+        aggs = [F.count("*").alias("n"), F.sum(hit.cast("long")).alias("hit"), *([F.avg("dl").alias("avdl"), *df] if text else [])]
+        got = {r["sign"]: r for r in both.groupBy("sign").agg(*aggs).collect()}
+        stats = [Stats(r["n"], r["avdl"] or 0.0, {w: r[f"df_{i}"] or 0 for i, w in enumerate(words)}) if r and text else Stats(0, 0.0, dict.fromkeys(words, 0)) for r in (got.get(-1), got.get(1))]
+        n = sum(r["n"] for r in got.values())
+        new = got.get(1)
+        return raw.after(deleted, inserted.select(raw.base.columns), n), counted[rel].after(deleted, come, n), stats, (new["n"] if new else 0, new["hit"] if new else 0), n
+
+    done = dict(zip(net, together([lambda r=r: one(r) for r in net])))
+    for rel, (raw, rows, (gone, come), _, n) in done.items():
+        texts[rel], counted[rel] = raw, rows
+        counters["changes"] += n
+        counters["compactions"] += rows.gone is None
+        if state.schema.relations[rel].has_text:
+            live[rel] = _shift(live[rel], gone, come)
+    bounds, best, mark, grown = dict(state.bounds), dict(state.best), state.mark, 1.0
+    for rel, w in violations(live, bounds):
+        bounds[rel], ratio = widened(bounds[rel], live[rel], w, cfg.margins)
         counters["df_widened" if w else "avdl_widened"] += 1
-        changed.add(rel)
-    schema = state.schema.bound(frames)
-    prep = _prepare(schema, state.query, live, bounds, state.prep, changed)
-    slack, theta, k = state.slack, state.theta, state.query.k
-    found = None
-    if not broken:
-        found = state.found
-        dead = None
-        for rel, d in gone.items():
-            one = d.select(F.lit(rel).alias("rel"), F.col("key").cast("string").alias("key"))
-            dead = one if dead is None else dead.unionByName(one)
-        hit = found.select("tree_key", F.explode("members").alias("m")).select("tree_key", "m.rel", "m.key").join(dead, ["rel", "key"], "left_semi")
-        found = rescore(found.join(hit.select("tree_key").distinct(), "tree_key", "left_anti"), prep)
-        found = staged(found.unionByName(delta_trees(prep, state.prep, come, theta)), "found")
-        counters["rescored"] += 1
-        enough = found.where(F.col("score") >= theta).count()
-        if enough < k and theta > 0:  # resume
-            slack, found = min(cfg.slack_cap, slack + cfg.slack_step), None
-            counters["resumes"] += 1
-        elif enough > k + slack and cfg.retreat:
-            theta = max(theta, evaluate.kth(found, k + slack))
+        if rel in best:
+            best[rel] *= ratio
+        grown *= ratio
+    mark *= grown
+    frames = state.schema.frames | {rel: texts[rel].rows() for rel in net}
+    after = replace(state, schema=state.schema.bound(frames), texts=texts, counted=counted, live=live, bounds=bounds, best=best, counters=counters)
+
+    peak: dict[tuple[str, bool], float] = {}
+    for rel, (_, _, _, (n, hits), _) in done.items():
+        if n - hits:
+            peak[rel, False] = 0.0
+        if hits:
+            c = evaluate.scored_rows(evaluate.counted_rows(net[rel][1], state.schema.link_columns(rel), words), words, live[rel], bounds[rel])
+            peak[rel, True] = c.agg(F.max("row_ceiling")).first()[0]
+            best[rel] = max(best.get(rel, 0.0), peak[rel, True])
+    prep, k, slack = after.prep, query.k, state.slack
+    for rel in [r for r, b in best.items() if b == float("inf")]:  # a bound of 0 became positive
+        best[rel] = prep.matched[rel].agg(F.max("row_ceiling")).first()[0] if rel in prep.matched else 0.0
+    found = expire(state.found, {rel: d for rel, (d, _) in net.items()})
+    found = rescore(found, after)
+    cache = None
+    if peak:
+        more, cache = delta_trees(prep, {rel: i for rel, (_, i) in net.items()}, peak, mark, cfg.cache)
+        found = found.unionByName(more)
+        counters["selections"] += cache.selections
+        counters["joins"] += cache.joins
+    found = staged(found, "found")
+    if cache is not None:
+        cache.expire()
+    theta, least = state.theta, k + slack
+    scores = [r[0] for r in found.select("score").orderBy(F.desc("score")).limit(least + 1).collect()]
+    kth = scores[k - 1] if len(scores) >= k else 0.0
+    if mark > kth and mark > 0:
+        short = len([x for x in scores if x >= theta]) < k
+        if short:
+            slack = min(cfg.slack_cap, slack + cfg.slack_step)
+        counters["resumes" if short else "catch_ups"] += 1
+        a = evaluate.read_on(prep, SlotPlan.of(prep.networks, prep.best, query.ratio), found, mark, k + slack)
+        found, theta, mark = a.found, a.theta, a.mark
+    elif len(scores) > least and scores[least] >= theta and cfg.retreat:
+        raised = scores[least - 1]
+        if raised > theta:
+            theta, mark = raised, max(mark, raised)
             found = staged(found.where(F.col("ceiling") >= theta), "found")
             counters["retreats"] += 1
-    if found is None:
-        a = evaluate.banded(prep, k, slack)
-        found, theta = staged(a.found, "found"), a.theta
-    after = replace(state, schema=schema, live=live, bounds=bounds, prep=prep, found=found, theta=theta, slack=slack, counters=counters)
+    else:
+        theta = min(theta, scores[least - 1] if len(scores) >= least else kth)
+    after = replace(after, found=found, theta=theta, mark=mark, slack=slack)
     return after, diff(before, after.top())
 
 
@@ -216,19 +412,29 @@ def diff(old: DataFrame, new: DataFrame) -> DataFrame:
     return o.join(n, "tree_key", "full").withColumn("what", what).where((F.col("what") != "moved") | (F.col("old_score") != F.col("new_score")))
 
 
-def first_violation(changes: DataFrame, stats: Stats, words: list[str], margins: Margins, buckets: int = 64) -> DataFrame:
+def first_violation(changes: DataFrame, stats: Stats, words: list[str], margins: Margins, fan: int = 1024) -> DataFrame:
     """(word, seq) of the first change after which a word's live idf exceeds its bound.
 
-    changes: (seq, n, df_0, ...) with signed steps. Running sums go over two levels, buckets of
-    seq and rows within a bucket, so that no task holds the whole log.
+    changes: (seq, n, df_0, ...) with signed steps. Running sums go over levels of ``fan`` buckets each, so that
+    no task holds more than ``fan`` rows of the log; equal seqs count in one step.
     """
     cols = ["n", *[f"df_{i}" for i in range(len(words))]]
-    c = changes.withColumn("b", F.floor(F.col("seq") / F.lit(buckets)))
-    sums = c.groupBy("b").agg(*[F.sum(x).alias(x) for x in cols])
-    w = Window.orderBy("b").rowsBetween(Window.unboundedPreceding, -1)
-    offsets = sums.select("b", *[F.coalesce(F.sum(x).over(w), F.lit(0)).alias(f"before_{x}") for x in cols])
-    own = Window.partitionBy("b").orderBy("seq").rowsBetween(Window.unboundedPreceding, 0)
-    r = c.select("b", "seq", *[F.sum(x).over(own).alias(x) for x in cols]).join(offsets, "b")
+    c = changes.groupBy("seq").agg(*[F.sum(x).alias(x) for x in cols])
+    span = c.agg(F.min("seq").alias("low"), F.max("seq").alias("high")).first()
+    low, r = span["low"] or 0, staged(c, "log")
+    widths = [fan]
+    while widths[-1] < (span["high"] or 0) - low + 1:
+        widths.append(widths[-1] * fan)
+    sums = r.withColumn("at", F.col("seq") - F.lit(low))
+    running = sums.select("seq", *[F.lit(0).cast("long").alias(f"before_{x}") for x in cols])
+    for width in widths:  # sums before the own bucket of the level below, inside the bucket of this level
+        part = width // fan
+        level = sums.groupBy(F.floor(F.col("at") / width).alias("up"), F.floor(F.col("at") / part).alias("b")).agg(*[F.sum(x).alias(x) for x in cols])
+        w = Window.partitionBy("up").orderBy("b").rowsBetween(Window.unboundedPreceding, -1)
+        offset = level.select("b", *[F.coalesce(F.sum(x).over(w), F.lit(0)).alias(f"o_{x}") for x in cols])
+        running = running.withColumn("b", F.floor((F.col("seq") - F.lit(low)) / part)).join(offset, "b").select(
+            "seq", *[(F.col(f"before_{x}") + F.col(f"o_{x}")).alias(f"before_{x}") for x in cols])
+    r = r.join(running, "seq")
     out = None
     for i, word in enumerate(words):
         n, df = F.col("n") + F.col("before_n") + stats.n, F.col(f"df_{i}") + F.col(f"before_df_{i}") + stats.df[word]

@@ -68,8 +68,8 @@ def counters(spark, sf_dir):
     for retreat in (True, False):
         s, _ = maintain.apply(maintain.register(start, Q_SMOKE, maintain.MaintainConfig(retreat=retreat)), {"part": _inserts(full, "part")})
         s, _ = maintain.apply(s, {"customer": _deletes(full, "customer", "true")})
-        rows.append((retreat, s.slack, s.theta, s.found.count(), *[int(s.counters[c]) for c in ("df_widened", "avdl_widened", "resumes", "retreats")]))
-    return spark.createDataFrame(rows, "retreat boolean, slack int, theta double, found long, df_widened int, avdl_widened int, resumes int, retreats int")
+        rows.append((retreat, s.slack, s.theta, s.found.count(), *[int(s.counters[c]) for c in ("df_widened", "avdl_widened", "catch_ups", "resumes", "retreats")]))
+    return spark.createDataFrame(rows, "retreat boolean, slack int, theta double, found long, df_widened int, avdl_widened int, catch_ups int, resumes int, retreats int")
 
 
 _LOG = f"SELECT key AS seq, CASE WHEN {GONE} THEN 'D' ELSE 'I' END AS op, key FROM ({{rows}})"
@@ -155,9 +155,10 @@ def margin_violations(spark, sf_dir):
     full, start = _start(spark, sf_dir, ["part"])
     words, m = list(Q_SMOKE.words), Q_SMOKE.margins
     frozen, live = (scoring.statistics(scoring.with_counts(s.frames["part"], words), words) for s in (start, full))
-    broken = set(maintain.violations({"part": live}, {"part": (frozen, m)}))
-    rows = [(w, round(live.idf(w), 6), round(frozen.idf(w, m.df), 6), ("part", w) in broken) for w in words]
-    rows.append(("", round(live.avdl, 6), round(frozen.avdl * (1 + m.avdl), 6), ("part", "") in broken))
+    bound = evaluate.Bound.of(frozen, m)
+    broken = set(maintain.violations({"part": live}, {"part": bound}))
+    rows = [(w, round(live.idf(w), 6), round(bound.idf[w], 6), ("part", w) in broken) for w in words]
+    rows.append(("", round(live.avdl, 6), round(bound.avdl, 6), ("part", "") in broken))
     return spark.createDataFrame(rows, "word string, live double, bound double, violated boolean")
 
 

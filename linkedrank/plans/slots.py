@@ -18,6 +18,16 @@ class Slot:
     depth: int = 1
 
 
+def places(net: Network, family: int) -> dict[int, tuple[int, str]]:
+    """The slot of each node."""
+    out, todo = {}, [(net.center(), -1)]
+    while todo:
+        i, parent = todo.pop()
+        out[i] = (family, net.rooted(i, parent)[0])
+        todo += [(j, i) for j, _ in net.adjacent(i) if j != parent]
+    return out
+
+
 def build(networks: list[Network], families: dict[str, int] | None = None) -> dict[tuple[int, str], Slot]:
     """Slots by (family, subtree code); networks are rooted at their centre."""
     graph: dict[tuple[int, str], Slot] = {}

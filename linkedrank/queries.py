@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import functions as F
 
 from linkedrank.functions import scoring
-from linkedrank.operators import evaluate, oracles
+from linkedrank.operators import evaluate, oracles, shared
 from linkedrank.operators.evaluate import StandingQuery, prepare
 from linkedrank.plans import families, networks
 from linkedrank.plans.catalog import LIBRARY, TRADE
@@ -219,8 +219,9 @@ def measure_early_stop(spark, sf_dir):
     p, rows = _trade(spark, sf_dir, Q_THREE), []
     for ratio in (0.0, 0.6, 1.0):
         a = evaluate.banded(p, ratio=ratio)
-        rows.append((ratio, len(p.networks), len(a.bands), a.bands[-1][1] if a.bands else 0, a.theta))
-    return spark.createDataFrame(rows, "ratio double, networks int, bands int, found long, theta double")
+        read = shared.read_ratio(p, shared.SlotPlan.of(p.networks, p.best, ratio), a.mark)
+        rows.append((ratio, len(p.networks), len(a.bands), a.bands[-1][1] if a.bands else 0, a.theta, a.mark, read))
+    return spark.createDataFrame(rows, "ratio double, networks int, bands int, found long, theta double, mark double, read_ratio double")
 
 
 def queries() -> dict:

@@ -1,6 +1,6 @@
 """Table readers and staged intermediate tables."""
 
 from linkedrank.sources.tables import TABLES, read_table
-from linkedrank.sources.staging import shared_folder, staged
+from linkedrank.sources.staging import drop_staged, reread, shared_folder, staged, staging, together
 
-__all__ = ["TABLES", "read_table", "shared_folder", "staged"]
+__all__ = ["TABLES", "drop_staged", "read_table", "reread", "shared_folder", "staged", "staging", "together"]

@@ -9,28 +9,60 @@ from linkedrank.operators import maintain
 from linkedrank.sources import shared_folder
 
 
+def _saved(spark: SparkSession, folder: str) -> dict[str, int]:
+    """Last batch id of each saved query."""
+    path = spark._jvm.org.apache.hadoop.fs.Path(folder)
+    fs, out = path.getFileSystem(spark._jsc.hadoopConfiguration()), {}
+    if fs.exists(path):
+        for q in fs.listStatus(path):
+            ids = [int(b.getPath().getName()) for b in fs.listStatus(q.getPath()) if fs.exists(spark._jvm.org.apache.hadoop.fs.Path(b.getPath(), "_SUCCESS"))]
+            if ids:
+                out[q.getPath().getName()] = max(ids)
+    return out
+
+
 def run_standing(spark: SparkSession, states: dict[str, maintain.State], folder: str, schema: str, relation: str, checkpoint: str | None = None) -> dict[str, maintain.State]:
     """Apply all change files of one relation (seq, op, key, text, links) to several queries.
 
-    Each micro-batch is netted once and applied to every query; reports are kept per batch id,
-    so a batch that is replayed replaces its own report. Late changes take part by their seq.
+    Each micro-batch is netted once, for all queries. A query's state is saved under its batch id once the batch is
+    done, next to the stream's own checkpoint; after a restart each query goes on from its last saved state
+    and skips batches that it has seen, so a replayed batch is applied once. Reports of the answers' differences are
+    written under the same id. Late changes take part by their seq.
     """
-    done: dict[int, dict[str, DataFrame]] = {}
+    where = checkpoint or f"{shared_folder(spark)}/stream-{relation}-{'-'.join(sorted(states))}"
+    saved = _saved(spark, f"{where}/states")
+    for name, batch_id in saved.items():
+        if name in states:
+            s = states[name]
+            states[name] = maintain.load(spark, f"{where}/states/{name}/{batch_id}", s.schema, s.query, s.config)
 
     def handle(batch: DataFrame, batch_id: int) -> None:
-        if batch_id in done or batch.isEmpty():
+        todo = [n for n in states if saved.get(n, -1) < batch_id]
+        if not todo or batch.isEmpty():
             return
-        done[batch_id] = {}
-        for name, state in states.items():
-            states[name], done[batch_id][name] = maintain.apply(state, {relation: batch})
+        net = maintain.netted({relation: batch})
+        for name in todo:
+            states[name], report = maintain.apply(states[name], {relation: batch}, net)
+            report.write.mode("overwrite").parquet(f"{where}/reports/{name}/{batch_id}")
+            states[name].save(f"{where}/states/{name}/{batch_id}")
+            saved[name] = batch_id
 
-    where = checkpoint or f"{shared_folder(spark)}/stream-{id(states)}"
     q = (spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(folder)
-         .writeStream.foreachBatch(handle).option("checkpointLocation", where).trigger(availableNow=True).start())
+         .writeStream.foreachBatch(handle).option("checkpointLocation", f"{where}/stream").trigger(availableNow=True).start())
     q.awaitTermination()
     return states
 
 
+def report_sink(spark: SparkSession, where: str, name: str) -> DataFrame:
+    """All reports that ``run_standing`` wrote for a query, with their batch ids."""
+    return spark.read.parquet(f"{where}/reports/{name}/*").withColumn("batch", F.element_at(F.split(F.col("_metadata.file_path"), "/"), -2).cast("long"))
+
+
+def first_changes(changes: DataFrame, late: str = "2 days") -> DataFrame:
+    """A stream of changes without repeated ones: a (key, seq) counts once within the watermark."""
+    return changes.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late).dropDuplicatesWithinWatermark(["key", "seq"])
+
+
 def change_counts(events: DataFrame, width: str = "1 day", slide: str | None = None, late: str = "2 days") -> DataFrame:
     """Changes per window and type; ``ts`` is cast, since watermarks refuse zone-less timestamps."""
     e = events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late)
