@@ -261,10 +261,11 @@ def frontiers(prep: Prepared, nets: list[Network]) -> tuple[list[tuple[float, in
     return [(b * step, bins[b]) for b in sorted(bins, reverse=True)], step
 
 
-def read_on(prep: Prepared, plan: SlotPlan, found: DataFrame | None, mark: float, least: int, band0: int = 64, growth: int = 2) -> Answer:
+def read_on(prep: Prepared, plan: SlotPlan, found: DataFrame | None, mark: float, least: int, band0: int = 64, growth: int = 2, headroom: float = 0.0) -> Answer:
     """Lower the frontier from ``mark`` band by band until ``least`` trees score at it or above, or all is read.
 
-    Every band reads so many more rows, doubles the next one, and joins only trees with a row that it read.
+    Every band reads so many more rows, doubles the next one, and joins only trees with a row that it read. No band reads
+    below the threshold so far, less ``headroom`` of it, which spares a later fall of scores another reading.
     """
     levels, _ = frontiers(prep, plan.networks)
     levels = [(low, n) for low, n in levels if low < mark]
@@ -272,12 +273,12 @@ def read_on(prep: Prepared, plan: SlotPlan, found: DataFrame | None, mark: float
     if found is not None:
         theta = kth(found, least)
     for at, (bound, n) in enumerate(levels):
-        if found is not None and theta >= mark:
+        if found is not None and theta * (1 - headroom) >= mark:
             break
         read += n
-        if read < goal and at < len(levels) - 1 and bound > theta:
+        if read < goal and at < len(levels) - 1 and bound > theta * (1 - headroom):
             continue
-        low = 0.0 if at == len(levels) - 1 else max(bound, theta)
+        low = 0.0 if at == len(levels) - 1 else max(bound, theta * (1 - headroom))
         live = [n for n in plan.networks if families.potential(n, prep.best) >= low - 1e-9]
         done = shared.reduce_slots(prep, plan, low, live)
         more = shared_trees(prep, plan, done, live, mark, plan.cuts(prep.best, low, live))
@@ -290,11 +291,11 @@ def read_on(prep: Prepared, plan: SlotPlan, found: DataFrame | None, mark: float
     return Answer(found, found, theta, bands, mark)
 
 
-def banded(prep: Prepared, k: int | None = None, slack: int | None = None, ratio: float | None = None, seed: int = 0, band0: int = 64, growth: int = 2) -> Answer:
+def banded(prep: Prepared, k: int | None = None, slack: int | None = None, ratio: float | None = None, seed: int = 0, band0: int = 64, growth: int = 2, headroom: float = 0.0) -> Answer:
     """Best-first in bands: lower the frontier until the (k + slack)-th score is above it."""
     k, slack = k or prep.query.k, prep.query.slack if slack is None else slack
     plan = SlotPlan.of(prep.networks, prep.best, prep.query.ratio if ratio is None else ratio, seed)
-    a = read_on(prep, plan, None, float("inf"), k + slack, band0, growth)
+    a = read_on(prep, plan, None, float("inf"), k + slack, band0, growth, headroom)
     a.top = top(a.found, k)
     return a
 

@@ -33,7 +33,8 @@ from linkedrank.plans.catalog import LinkedSchema
 from linkedrank.sources import reread, staged, together
 
 COUNTERS = ("batches", "changes", "df_widened", "avdl_widened", "catch_ups", "resumes", "retreats", "selections", "joins", "compactions")
-COMPACT = 0.2  # changed rows over base rows at which a relation is written anew
+HEADROOM = 0.02  # of the threshold: how far below it trees are kept found, so that small falls of scores need no reading
+LAYERS, COMPACT = 8, 0.2  # batches after which the changed parts are put together; changed rows over base rows at which a relation is written anew
 
 
 @dataclass(frozen=True)
@@ -55,19 +56,30 @@ class Layered:
     come: DataFrame | None = None
     base_n: int = 0
     changed: int = 0
+    layers: int = 0
 
     def rows(self) -> DataFrame:
         out = self.base if self.gone is None else self.base.join(F.broadcast(self.gone) if self.changed < 1_000_000 else self.gone, "key", "left_anti").select(self.base.columns)
         return out if self.come is None else out.unionByName(self.come)
 
-    def after(self, deleted: DataFrame, inserted: DataFrame, n: int) -> Layered:
-        """deleted: staged keys; inserted: staged rows; n: how many both are."""
-        gone = deleted if self.gone is None else staged(self.gone.unionByName(deleted).distinct(), "gone")
-        come = inserted
-        if self.come is not None:
-            come = staged(self.come.join(deleted, "key", "left_anti").select(self.come.columns).unionByName(inserted), "come")
-        out = replace(self, gone=gone, come=come, changed=self.changed + n)
-        return out if out.changed <= COMPACT * max(self.base_n, 5000) else Layered(staged(out.rows(), "base"), base_n=self.base_n + n)
+    def after(self, deleted: DataFrame, inserted: DataFrame, less: int, more: int) -> Layered:
+        """deleted: staged keys, less: how many rows they name; inserted: staged rows, more: how many."""
+        gone, come = self.gone, self.come
+        if less:
+            gone = deleted if gone is None else gone.unionByName(deleted)
+            come = come if come is None else come.join(deleted, "key", "left_anti").select(come.columns)
+        if more:
+            come = inserted if come is None else come.unionByName(inserted)
+        n = less + more
+        out = replace(self, gone=gone, come=come, changed=self.changed + n, layers=self.layers + (n > 0))
+        if out.layers > LAYERS:
+            out = out.settled()
+        return out if out.changed <= COMPACT * max(self.base_n, 5000) else Layered(staged(out.rows(), "base"), base_n=self.base_n + more - less)
+
+    def settled(self) -> Layered:
+        """The same rows with the changed parts staged as one table each."""
+        keep = lambda d, tag: d if d is None or hasattr(d, "staged_path") else staged(d, tag)
+        return replace(self, gone=keep(self.gone, "gone"), come=keep(self.come, "come"), layers=0)
 
 
 @dataclass
@@ -111,7 +123,7 @@ class State:
             at = lambda d: None if d is None else [getattr(d, "staged_path", None), d.schema.json()]
             return {"base": at(x.base), "gone": at(x.gone), "come": at(x.come), "base_n": x.base_n, "changed": x.changed}
 
-        out = {"texts": {r: layer(x) for r, x in self.texts.items()}, "counted": {r: layer(x) for r, x in self.counted.items()}, "live": {r: asdict(x) for r, x in self.live.items()},
+        out = {"texts": {r: layer(x.settled()) for r, x in self.texts.items()}, "counted": {r: layer(x.settled()) for r, x in self.counted.items()}, "live": {r: asdict(x) for r, x in self.live.items()},
                "bounds": {r: asdict(x) for r, x in self.bounds.items()}, "best": self.best, "found": [self.found.staged_path, self.found.schema.json()],
                "theta": self.theta, "mark": self.mark, "slack": self.slack, "counters": self.counters}
         spark.createDataFrame([(json.dumps(out),)], "state string").coalesce(1).write.mode("overwrite").text(path)
@@ -197,7 +209,7 @@ def register(schema: LinkedSchema, query: StandingQuery, config: MaintainConfig
     prep = state.prep
     names = list(prep.matched)
     state.best = prep.best = dict(zip(names, together([lambda r=r: prep.matched[r].agg(F.max("row_ceiling")).first()[0] for r in names])))
-    a = evaluate.banded(prep, query.k, config.slack)
+    a = evaluate.banded(prep, query.k, config.slack, headroom=HEADROOM)
     state.found = a.found if hasattr(a.found, "staged_path") else staged(a.found, "found")
     state.theta, state.mark = a.theta, a.mark
     return state
@@ -338,15 +350,15 @@ def apply(state: State, changes: dict[str, DataFrame], net: dict | None = None)
         aggs = [F.count("*").alias("n"), F.sum(hit.cast("long")).alias("hit"), *([F.avg("dl").alias("avdl"), *df] if text else [])]
         got = {r["sign"]: r for r in both.groupBy("sign").agg(*aggs).collect()}
         stats = [Stats(r["n"], r["avdl"] or 0.0, {w: r[f"df_{i}"] or 0 for i, w in enumerate(words)}) if r and text else Stats(0, 0.0, dict.fromkeys(words, 0)) for r in (got.get(-1), got.get(1))]
-        n = sum(r["n"] for r in got.values())
-        new = got.get(1)
-        return raw.after(deleted, inserted.select(raw.base.columns), n), counted[rel].after(deleted, come, n), stats, (new["n"] if new else 0, new["hit"] if new else 0), n
+        less, more = (got[sign]["n"] if sign in got else 0 for sign in (-1, 1))
+        hits = got[1]["hit"] if 1 in got else 0
+        return raw.after(deleted, inserted.select(raw.base.columns), less, more), counted[rel].after(deleted, come, less, more), stats, (more, hits), less + more
 
     done = dict(zip(net, together([lambda r=r: one(r) for r in net])))
     for rel, (raw, rows, (gone, come), _, n) in done.items():
         texts[rel], counted[rel] = raw, rows
         counters["changes"] += n
-        counters["compactions"] += rows.gone is None
+        counters["compactions"] += n > 0 and rows.changed == 0
         if state.schema.relations[rel].has_text:
             live[rel] = _shift(live[rel], gone, come)
     bounds, best, mark, grown = dict(state.bounds), dict(state.best), state.mark, 1.0
@@ -371,8 +383,8 @@ def apply(state: State, changes: dict[str, DataFrame], net: dict | None = None)
     prep, k, slack = after.prep, query.k, state.slack
     for rel in [r for r, b in best.items() if b == float("inf")]:  # a bound of 0 became positive
         best[rel] = prep.matched[rel].agg(F.max("row_ceiling")).first()[0] if rel in prep.matched else 0.0
-    found = expire(state.found, {rel: d for rel, (d, _) in net.items()})
-    found = rescore(found, after)
+    gone = {rel: net[rel][0] for rel, (_, _, _, (more, _), n) in done.items() if n > more}
+    found = rescore(expire(state.found, gone) if gone else state.found, after)
     cache = None
     if peak:
         more, cache = delta_trees(prep, {rel: i for rel, (_, i) in net.items()}, peak, mark, cfg.cache)
@@ -390,13 +402,13 @@ def apply(state: State, changes: dict[str, DataFrame], net: dict | None = None)
         if short:
             slack = min(cfg.slack_cap, slack + cfg.slack_step)
         counters["resumes" if short else "catch_ups"] += 1
-        a = evaluate.read_on(prep, SlotPlan.of(prep.networks, prep.best, query.ratio), found, mark, k + slack)
+        a = evaluate.read_on(prep, SlotPlan.of(prep.networks, prep.best, query.ratio), found, mark, k + slack, headroom=HEADROOM)
         found, theta, mark = a.found, a.theta, a.mark
     elif len(scores) > least and scores[least] >= theta and cfg.retreat:
         raised = scores[least - 1]
         if raised > theta:
-            theta, mark = raised, max(mark, raised)
-            found = staged(found.where(F.col("ceiling") >= theta), "found")
+            theta, mark = raised, max(mark, raised * (1 - HEADROOM))
+            found = staged(found.where(F.col("ceiling") >= mark), "found")
             counters["retreats"] += 1
     else:
         theta = min(theta, scores[least - 1] if len(scores) >= least else kth)
