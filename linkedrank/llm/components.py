@@ -40,3 +40,19 @@ def components(edges: DataFrame) -> DataFrame:
         r = parent.select(F.col("x").alias("root"), "p")
         roots = staged(roots.join(r, "root", "left").select("node", F.coalesce("p", "root").alias("root")), "roots")
     return roots
+
+
+def with_class(rows: DataFrame, info: DataFrame) -> DataFrame:
+    """``rows`` left-joined with ``info`` (one row per ``cls``).
+
+    Rows without a class pass by the join. Classes with over a 10,000th of all rows (and over 1,000), of which there are
+    under 10,000, are broadcast, so that no task gets all rows of a large class.
+    """
+    cls, more = F.col("cls"), [f for f in info.schema.fields if f.name != "cls"]
+    classed = rows.where(cls.isNotNull())
+    many = classed.groupBy("cls").agg(F.count("*").alias("n")).where(F.col("n") > max(1000, rows.count() // 10_000)).select("cls")
+    many = F.broadcast(staged(many, "many"))
+    none = rows.where(cls.isNull()).select("*", *[F.lit(None).cast(f.dataType).alias(f.name) for f in more])
+    large = classed.join(F.broadcast(info.join(many, "cls", "left_semi")), "cls")
+    rest = classed.join(many, "cls", "left_anti").join(info, "cls", "left")
+    return none.unionByName(large).unionByName(rest)

@@ -30,7 +30,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from linkedrank.llm.components import components
+from linkedrank.llm.components import components, with_class
 from linkedrank.sources import read_table, staged
 
 THRESHOLD, RECALL, SURE, BLOCK = 0.95, 0.9995, 4.5, 1024
@@ -167,7 +167,7 @@ def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vector_col: str
     of = named.join(named.groupBy("root").agg(F.min("rep").alias("component")), "root").select("cls", "component")
     info = classes.select("cls", "rep", "size").join(counts, "cls", "left").join(of, "cls", "left")
     info = info.select("cls", (F.col("size") - 1 + F.coalesce("others", F.lit(0))).cast("long").alias("n_links"), F.coalesce("component", "rep").alias("component"))
-    out = rows.select("id", "cls").join(info, "cls", "left")
+    out = with_class(rows.select("id", "cls"), staged(info, "info"))
     return out.select(F.col("id").alias(id_col), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"),
                       F.coalesce("component", "id").alias("component_id")).withColumn("kept", F.coalesce(F.col(id_col) == F.col("component_id"), F.lit(True)))
 

@@ -31,7 +31,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from linkedrank.llm.components import components
+from linkedrank.llm.components import components, with_class
 from linkedrank.sources import read_table, staged
 
 WIDTH = 2  # words of a shingle in op6
@@ -312,7 +312,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     of = named.join(least, "root").select(F.col("node").alias("cls"), "component_id")
     of = ids.join(of, "cls", "left").select("cls", F.coalesce("component_id", "rep").alias("component_id"))
     lonely = (F.col("n") == 0) | F.col("id").isNull()
-    out = all_docs.select("id", F.col("n").alias("n_shingles"), F.when(~lonely, F.col("cls")).alias("cls"), lonely.alias("lonely")).join(of, "cls", "left")
+    out = with_class(all_docs.select("id", F.col("n").alias("n_shingles"), F.when(~lonely, F.col("cls")).alias("cls"), lonely.alias("lonely")), staged(of, "of"))
     return out.select(F.col("id").alias(id_col), "n_shingles", F.when(F.col("lonely"), F.col("id")).otherwise(F.col("component_id")).alias("component_id")).withColumn(
         "kept", F.coalesce(F.col(id_col) == F.col("component_id"), F.lit(True)))
 

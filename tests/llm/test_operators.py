@@ -309,3 +309,51 @@ def test_rules_that_conflict_are_weighed_by_em(spark):
     right = model.accuracy()
     assert abs(1 - right["dup_lines"][0] - 500 / 3700) < 0.02 and right["symbols"][1] > 0.9
     assert sum(not k for k in kept.values()) < sum("0" in v for v in kept)
+
+
+def test_embedding_links_are_found_at_the_threshold(spark):
+    """Planted pairs just above the threshold among unrelated vectors, a large class of copies and invalid vectors."""
+    r = np.random.default_rng(5)
+    base = r.standard_normal((4000, 32))
+    base /= np.linalg.norm(base, axis=1, keepdims=True)
+    side = r.standard_normal((300, 32))
+    side -= (side * base[:300]).sum(axis=1, keepdims=True) * base[:300]
+    side /= np.linalg.norm(side, axis=1, keepdims=True)
+    cos = r.uniform(0.95, 0.97, 300)[:, None]
+    near = cos * base[:300] + np.sqrt(1 - cos**2) * side
+    x = np.concatenate([base, near, np.repeat(base[-1:], 1500, axis=0)])
+    rows = [(i, v.tolist()) for i, v in enumerate(x)] + [(10_000 + i, None) for i in range(40)]
+    got = embedding_dedup.near_duplicates(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).toPandas().set_index("vec_id")
+    unit = x / np.linalg.norm(x, axis=1, keepdims=True)
+    links = np.array([((unit @ u) >= embedding_dedup.THRESHOLD).sum() - 1 for u in unit])
+    found = got.loc[range(len(x)), "n_links"].to_numpy()
+    assert (found <= links).all() and found.sum() >= 0.99 * links.sum()
+    planted = links[4000:4300] > 0
+    recall = (found[4000:4300][planted] > 0).mean()
+    print("recall of planted links", recall)
+    assert recall >= 0.99 and (found[4300:] == links[4300:]).all() and (got.loc[4300:5799, "component_id"] == 3999).all()
+    assert (got.loc[10_000:, "n_links"] == 0).all() and got.loc[10_000:, "kept"].all() and len(got) == len(rows)
+
+
+def test_pipeline_stages(spark, sf, tmp_path, tokenizer):
+    """Every stage on odd rows: nulls, empty texts, repeated rows, a clashing column, no rows at all."""
+    pipeline = pytest.importorskip("corpus_pipeline")
+    docs = spark.read.parquet(f"{sf()}/documents.parquet")
+    odd = spark.createDataFrame([(None, "x y", None, None, None), (-1, None, "en", "s", 0), (-2, "", "en", None, 0), (-3, "the cat and the dog " * 30, "en", "s", 600), (-3, "the cat and the dog " * 30, "en", "s", 600)],
+                                docs.schema)
+    docs = docs.unionByName(odd)
+    for name, stage in pipeline.STAGES:
+        before = docs.toPandas()
+        path = str(tmp_path / name)
+        stage(spark, docs, sf()).write.parquet(path)
+        nothing = stage(spark, docs.limit(0), sf())
+        assert nothing.count() == 0, name
+        out = spark.read.parquet(path)
+        if name != "best_fit_packing":
+            assert out.columns == docs.columns, name
+            assert set(out.toPandas()["text"].dropna()) <= set(before["text"].dropna()), name
+        docs = out
+    got, ids = docs.toPandas(), before["doc_id"].value_counts()
+    assert (got.groupby("sequence_id")["length"].sum() <= packing.CAPACITY).all()
+    assert got[got["piece"] == 0]["doc_id"].value_counts().sort_index().equals(ids.sort_index())
+    assert got["position"].nunique() == len(before)
