@@ -76,6 +76,13 @@ class Spellings:
         self.number: dict = {}
         self.ids, self.sizes, self.starts = np.empty(0, np.uint32), np.empty(0, np.int64), np.empty(0, np.int64)
 
+    @classmethod
+    def of(cls, ids: np.ndarray, sizes: np.ndarray) -> Spellings:
+        """Spellings of numbers alone, without keys."""
+        out = cls()
+        out.ids, out.sizes, out.starts = ids, sizes, np.cumsum(sizes) - sizes
+        return out
+
     def __len__(self) -> int:
         return len(self.number)
 

@@ -173,13 +173,12 @@ def test_lm_gradients_and_windows(tokenizer):
     m = lm_scoring.Attention(packing.Encoder.at(tokenizer).size)
     texts = ["", "one", " The cat sat on | the mat. ", "chat noir " * 40, "x\x1cy \u200b z"]
     t = lm_texts(tokenizer, texts, m)
-    tables = lm_scoring.Tables(m, np.full(lm_scoring.STATES, 1 / lm_scoring.STATES), {})
-    tables.follow(packing.Encoder.at(tokenizer).words)
-    many = lm_scoring.gains(m, t, tables.tilt, m.prepared())
+    pi = np.full(lm_scoring.STATES, 1 / lm_scoring.STATES)
+    many = lm_scoring.gains(m, t, lm_scoring.tilts(m, pi, packing.Encoder.at(tokenizer).words), m.prepared())
     one = []
     for x in texts:
         u = lm_texts(tokenizer, [x], m)
-        one.append(lm_scoring.gains(m, u, tables.tilt, m.prepared()))
+        one.append(lm_scoring.gains(m, u, lm_scoring.tilts(m, pi, packing.Encoder.at(tokenizer).words), m.prepared()))
     assert np.allclose(many, np.concatenate(one), atol=1e-4) and len(many) == sum(len(x.split(" ")) - x.split(" ").count("") + 1 for x in texts)
     some = t.sizes > 0
     x, rows = t.flat[t.starts[:, None] + np.arange(lm_scoring.LENGTH)], t.row[some]
