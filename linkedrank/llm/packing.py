@@ -216,13 +216,15 @@ class Encoder:
             if " " in new:
                 self.atoms.add([" "], np.empty(0, np.uint32), np.zeros(1, np.int64))
             new.discard(" ")
-            coded = [k.encode() for k in new]
-            short = [(k, c) for k, c in zip(new, coded) if len(c) <= Merges.LONGEST]
-            self.atoms.add([k for k, _ in short], *self.merges.apply([c for _, c in short]))
-            for k, c in zip(new, coded):
-                if len(c) > Merges.LONGEST:
-                    ids = [t.id for t in self.tokenizer.model.tokenize(c.decode("latin-1").translate(_LETTERS))]
-                    self.atoms.add([k], np.array(ids, np.uint32), np.array([len(ids)]))
+            short, long = list(new), []
+            coded = " ".join(short).encode().split(b" ") if short else []  # no other atom holds a blank
+            if coded and max(map(len, coded)) > Merges.LONGEST:
+                long = [(k, c) for k, c in zip(short, coded) if len(c) > Merges.LONGEST]
+                short, coded = [k for k, c in zip(short, coded) if len(c) <= Merges.LONGEST], [c for c in coded if len(c) <= Merges.LONGEST]
+            self.atoms.add(short, *self.merges.apply(coded))
+            for k, c in long:
+                ids = [t.id for t in self.tokenizer.model.tokenize(c.decode("latin-1").translate(_LETTERS))]
+                self.atoms.add([k], np.array(ids, np.uint32), np.array([len(ids)]))
             at[missing] = self.atoms.find(lacking)
         ids, each = self.atoms.spelled(at)
         if plain.any():
