@@ -356,3 +356,15 @@ def test_pipeline_stages(spark, sf, tmp_path, tokenizer):
     assert (got.groupby("sequence_id")["length"].sum() <= packing.CAPACITY).all()
     assert got[got["piece"] == 0]["doc_id"].value_counts().sort_index().equals(ids.sort_index())
     assert got["position"].nunique() == len(before)
+
+
+def test_rules_are_fitted_by_one_aggregate(spark):
+    """The rounds run on the counts of the patterns: no Spark job a round, whose plans fill the driver."""
+    voted = spark.createDataFrame([(k, "1" * len(quality_rules.RULES), 100, 0) for k in range(50)], "doc_id long, votes string, n_words long, n_repeat_words long")
+    spark.sparkContext.setJobGroup("em", "em")
+    try:
+        quality_rules.fit(voted)
+        jobs = spark.sparkContext.statusTracker().getJobIdsForGroup("em")
+    finally:
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    assert 0 < len(jobs) < quality_rules.ROUNDS
