@@ -368,3 +368,41 @@ def test_rules_are_fitted_by_one_aggregate(spark):
     finally:
         spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
     assert 0 < len(jobs) < quality_rules.ROUNDS
+
+
+def test_embedding_bins_and_tables(spark):
+    """One call compares all buckets of a bin, small, large and in blocks; tables stay few as vectors grow, without loss of recall."""
+    import pandas as pd
+
+    r = np.random.default_rng(8)
+    centers = r.standard_normal((60, 24))
+    x = np.concatenate([centers[k] + r.standard_normal((n, 24)) * 0.2 for k, n in enumerate([70, 33, 32] + [3] * 57)])
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    most, digits, tables = 12, 1, 30
+    own, rows = embedding_dedup.keys(x, most, digits, tables), []
+    for t in range(tables):
+        for k in np.unique(own[:, t]):
+            at = np.flatnonzero(own[:, t] == k)
+            two = np.arange(len(at)) % 2 if len(at) > 40 else at * 0  # blocks
+            for i, j in ((0, 0), (0, 1), (1, 1)) if two.any() else ((0, 0),):
+                rows += [(t << 32 | int(k), i, j, int(b), int(v), 1 + v % 3, 24, x[v].tobytes(), own[v].tobytes()) for v, b in zip(at, two) if b in (i, j)]
+    got = embedding_dedup._compared(pd.DataFrame(rows, columns=["bucket", "i", "j", "mine", "no", "size", "dim", "raw", "keys"]), 0.95)
+    near = (x @ x.T >= 0.95) & (own[:, None] == own[None]).any(axis=2)
+    np.fill_diagonal(near, False)
+    counts = got[got["b"].isna()]
+    want = near @ (1 + np.arange(len(x)) % 3)
+    assert dict(zip(counts["a"], counts["w"])) == {k: w for k, w in enumerate(want) if w}
+    edges = got[got["b"].notna()].astype({"b": "int64"})
+    reach = np.linalg.matrix_power((near | np.eye(len(x), dtype=bool)).astype(float), 64) > 0
+    roots = [int(np.flatnonzero(k)[0]) for k in reach]
+    assert sorted(zip(edges["a"], edges["b"])) == [(k, v) for k, v in enumerate(roots) if k != v]
+
+    most, digits, tables = embedding_dedup.plan(15_000_000, 64)
+    assert tables < 80  # 118 with keys of sign bits
+    a = r.standard_normal((400, 64))
+    a /= np.linalg.norm(a, axis=1, keepdims=True)
+    b = r.standard_normal((400, 64))
+    b -= (a * b).sum(axis=1, keepdims=True) * a
+    b = 0.95 * a + np.sqrt(1 - 0.95**2) * b / np.linalg.norm(b, axis=1, keepdims=True)
+    assert (embedding_dedup.keys(a, most, digits, tables) == embedding_dedup.keys(b, most, digits, tables)).any(axis=1).mean() >= 0.99
+    assert embedding_dedup.near_duplicates(spark.createDataFrame([], "vec_id long, embedding array<double>")).count() == 0
