@@ -9,8 +9,8 @@ after any context. (As in the baseline, each unseen word gets the mass of that o
 then decide its states.) The gain over the corpus share is thus what the context tells.
 
 What is gathered: word counts over every training document, pi over every distinct word, and the weights
-by numpy gradient steps on windows of every training document: of a document's windows each SHARE-th is
-trained on, at a place given by a hash, and at least one. START_STEPS steps on START_DOCS documents in one
+by numpy gradient steps on all windows of every training document, each once (SHARE = 1; a larger SHARE would train on
+each SHARE-th of a document, at a place given by a hash). START_STEPS steps on START_DOCS documents in one
 task give all tasks the same start, then ROUNDS passes over disjoint parts of the training documents
 follow; each task goes on from the common weights over its windows, and the weights of
 the tasks are averaged by their windows. Steps and counts thus grow with the rows. Subword ids share
@@ -52,7 +52,7 @@ from linkedrank.sources import read_table, staged
 STRIDE, OVERLAP = 24, 12
 LENGTH = STRIDE + OVERLAP - 1
 WIDTH, KEYS, HIDDEN, STATES, INPUTS = 16, 8, 16, 16, 4096
-SHARE, ROUNDS, START_DOCS, START_STEPS = 8, 2, 400, 150
+SHARE, ROUNDS, START_DOCS, START_STEPS = 1, 2, 400, 150
 START_BYTES = 8_000_000
 BATCH, CHUNK, START_RATE, ROUND_RATE = 256, 256, 0.02, 0.01
 WORDS_MOST, AVERAGERS = 300_000, 8
@@ -61,9 +61,10 @@ END = None  # stands among words for the end of a text
 
 
 def softmax(z: np.ndarray) -> np.ndarray:
-    z = z - z.max(axis=-1, keepdims=True)
-    np.exp(z, out=z)
-    z /= z.sum(axis=-1, keepdims=True)
+    if z.size and not (z.min() > -60 and z.max() < 60):  # else exponents are safe as they are
+        z = z - z.max(axis=-1, keepdims=True)
+    z = np.exp(z)
+    z /= (z @ np.ones(z.shape[-1], z.dtype))[..., None]
     return z
 
 
@@ -172,38 +173,56 @@ class Attention:
 
     def gradients(self, x, rows, ids, sizes) -> tuple[float, dict]:
         p, two = self.p, lambda t: t.reshape(-1, t.shape[-1])
-        e = p["emb"][x] + p["pos"]
-        eq, scale = e[:, OVERLAP - 1 :], np.float32(1 / math.sqrt(KEYS))
-        q, k, v = eq @ p["wq"] * scale, e @ p["wk"], e @ p["wv"]
-        a = np.exp(np.clip(q @ k.transpose(0, 2, 1), -60, 60)) * self.seen
-        a /= a.sum(axis=2, keepdims=True)
-        c = a @ v
-        late, seen = two(eq)[rows], two(c)[rows]
+        many, scale = len(x), np.float32(1 / math.sqrt(KEYS))
+        e = p["emb"].take(x, axis=0)
+        e += p["pos"]
+        eq, e = two(e[:, OVERLAP - 1 :]), two(e)  # products with weights are taken of all windows at once
+        q, k = eq @ (p["wq"] * scale), e @ p["wk"]
+        v = np.ones((len(e), WIDTH + 1), np.float32)  # the column of ones gives the attention's sums
+        np.matmul(e, p["wv"], out=v[:, :WIDTH])
+        far = math.sqrt(np.einsum("ij,ij->i", q, q).max() * np.einsum("ij,ij->i", k, k).max()) > 60
+        q, k, v = (t.reshape(many, -1, t.shape[1]) for t in (q, k, v))
+        a = q @ k.transpose(0, 2, 1)
+        if far:
+            np.clip(a, -60, 60, out=a)
+        np.exp(a, out=a)
+        a *= self.seen
+        c = two(a @ v)[rows]
+        total = c[:, WIDTH:]
+        late, seen = eq[rows], c[:, :WIDTH] / total
         h = np.tanh(late @ p["w1"] + seen @ p["w2"] + p["b1"])
         g, r = softmax(h @ p["w3"] + p["b3"]), softmax(self.own(ids, sizes))
         pi, n = r.mean(axis=0), np.float32(len(rows))
         post = g * r / pi
-        gain = post.sum(axis=1, keepdims=True)
+        gain = (post @ np.ones(STATES, np.float32))[:, None]
         post /= gain
         dz, pull = (g - post) / n, post.mean(axis=0) / pi
         du = (r - post + r * (pull - (r @ pull)[:, None])) / n
         dh = (dz @ p["w3"].T) * (1 - h * h)
         out = {"w3": h.T @ dz, "b3": dz.sum(axis=0), "w1": late.T @ dh, "w2": seen.T @ dh, "b1": dh.sum(axis=0)}
-        dc, deq = np.zeros_like(two(c)), np.zeros_like(two(c))
-        dc[rows], deq[rows] = dh @ p["w2"].T, dh @ p["w1"].T
-        dc, deq = dc.reshape(c.shape), deq.reshape(c.shape)
-        da, dv = dc @ v.transpose(0, 2, 1), a.transpose(0, 2, 1) @ dc
-        ds = a * (da - (da * a).sum(axis=2, keepdims=True))
-        dq, dk = ds @ k * scale, ds.transpose(0, 2, 1) @ q
-        out |= {"wq": two(eq).T @ two(dq), "wk": two(e).T @ two(dk), "wv": two(e).T @ two(dv)}
-        de = dk @ p["wk"].T + dv @ p["wv"].T
-        de[:, OVERLAP - 1 :] += deq + dq @ p["wq"].T
+        # the last column takes the mean of the values' pull off, as the shares of an attention sum to one
+        dc, deq = np.zeros((len(eq), WIDTH + 1), np.float32), np.zeros_like(eq)
+        back = dh @ p["w2"].T / total
+        dc[rows, :WIDTH], dc[rows, WIDTH], deq[rows] = back, -np.einsum("ij,ij->i", back, seen), dh @ p["w1"].T
+        dc = dc.reshape(many, -1, WIDTH + 1)
+        dv = two(a.transpose(0, 2, 1) @ dc[:, :, :WIDTH])
+        ds = dc @ v.transpose(0, 2, 1)
+        ds *= a
+        dq, dk = two(ds @ k) * scale, two(ds.transpose(0, 2, 1) @ q)  # q is scaled
+        out |= {"wq": eq.T @ dq, "wk": e.T @ dk, "wv": e.T @ dv}
+        de = (dk @ p["wk"].T + dv @ p["wv"].T).reshape(many, LENGTH, WIDTH)
+        deq += dq @ p["wq"].T
+        de[:, OVERLAP - 1 :] += deq.reshape(many, -1, WIDTH)
         out["pos"] = de.sum(axis=0)
-        spread = lambda at, v: np.bincount((at.reshape(-1, 1) * v.shape[1] + np.arange(v.shape[1])).ravel(), v.ravel(), INPUTS * v.shape[1]).reshape(INPUTS, -1).astype(np.float32)
-        out["emb"], out["own"] = spread(x, two(de)), spread(self.into[ids], np.repeat(du, sizes, axis=0))
+        out["emb"], out["own"] = _spread(x.ravel(), two(de)), _spread(self.into[ids], np.repeat(du, sizes, axis=0))
         return float(np.log(gain).mean()), out
 
 
+def _spread(at: np.ndarray, v: np.ndarray) -> np.ndarray:
+    """Sums of the rows of v by their row ``at`` of the weights."""
+    return np.stack([np.bincount(at, column, INPUTS) for column in v.T], axis=1).astype(np.float32)
+
+
 @dataclass
 class Texts:
     """Words of texts by number, ends included, and the query that predicts each."""

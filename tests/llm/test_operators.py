@@ -406,3 +406,15 @@ def test_embedding_bins_and_tables(spark):
     b = 0.95 * a + np.sqrt(1 - 0.95**2) * b / np.linalg.norm(b, axis=1, keepdims=True)
     assert (embedding_dedup.keys(a, most, digits, tables) == embedding_dedup.keys(b, most, digits, tables)).any(axis=1).mean() >= 0.99
     assert embedding_dedup.near_duplicates(spark.createDataFrame([], "vec_id long, embedding array<double>")).count() == 0
+
+
+def test_lm_trains_on_every_window(tokenizer):
+    """No window or position of a training text is left out, whatever its hash."""
+    m = lm_scoring.Attention(packing.Encoder.at(tokenizer).size)
+    r = np.random.default_rng(1)
+    t = lm_texts(tokenizer, ["", "one", *("word " * int(n) for n in r.integers(0, 900, 40))], m)
+    chosen = lm_scoring.trained_windows(t, r.integers(0, 1 << 40, 42))
+    assert sorted(chosen.tolist()) == list(range(len(t.starts)))
+    seen, step = [], m.step
+    m.step = lambda x, rows, ids, sizes, rate: (seen.append(len(rows)), step(x, rows, ids, sizes, rate))
+    assert lm_scoring.train(m, t, chosen, 0.01, r) == len(t.starts) and sum(seen) == (t.sizes > 0).sum()
