@@ -56,6 +56,7 @@ SHARE, ROUNDS, START_DOCS, START_STEPS = 1, 2, 400, 150
 START_BYTES = 8_000_000
 BATCH, CHUNK, START_RATE, ROUND_RATE = 256, 256, 0.02, 0.01
 WORDS_MOST, AVERAGERS = 300_000, 8
+FIRST_IDS, PARTS = 6, 4  # ids of a word that are summed in turn, the others by runs; parts of a batch by words of a window
 RECORD_WORDS, GROUP_WORDS = 150_000, 400_000  # of a record of spelled texts; of records that are read at a time
 END = None  # stands among words for the end of a text
 
@@ -115,10 +116,20 @@ class Attention:
 
     def own(self, ids: np.ndarray, sizes: np.ndarray) -> np.ndarray:
         """Logits of the states of words, from their ids."""
-        out, some = np.zeros((len(sizes), STATES), np.float32), sizes > 0
-        if some.any():
-            out[some] = np.add.reduceat(self.p["own"][self.into[ids]], (np.cumsum(sizes) - sizes)[some])
-        return out
+        order, at = np.argsort(-sizes, kind="stable"), self.into.take(ids)
+        begin, out = (np.cumsum(sizes) - sizes).take(order), np.zeros((len(sizes), STATES), np.float32)
+        left = len(sizes) - np.cumsum(np.bincount(np.minimum(sizes, FIRST_IDS), minlength=FIRST_IDS + 1))  # words of more than so many ids
+        for nth, n in enumerate(left[:FIRST_IDS].tolist()):  # the nth ids of all words at once, as few words have many
+            out[:n] += self.p["own"].take(at.take(begin[:n] + nth), axis=0)
+        n = int(np.count_nonzero(sizes > FIRST_IDS))
+        if n:
+            more = sizes.take(order[:n]) - FIRST_IDS
+            stops = np.cumsum(more)
+            rest = at.take(np.repeat(begin[:n] + FIRST_IDS - stops + more, more) + np.arange(stops[-1]))
+            out[:n] += np.add.reduceat(self.p["own"].take(rest, axis=0), stops - more)
+        back = np.empty(len(order), np.int64)
+        back[order] = np.arange(len(order))
+        return out.take(back, axis=0)
 
     def prepared(self) -> dict:
         """Products of embeddings and positions with the weights, and whether exponents may overflow.
@@ -134,20 +145,26 @@ class Attention:
 
     def masses(self, x: np.ndarray, rows: np.ndarray, w: dict) -> np.ndarray:
         """Shares of the states, up to a factor, at the queries ``rows`` (window times STRIDE plus place) of windows x; w: ``prepared()``."""
-        k, v, late = w["k"].take(x, axis=0), w["v"].take(x, axis=0), x[:, OVERLAP - 1 :]
+        order, place, key, slot, at, seen, parts = padded(rows, len(x))
+        x = x.take(order, axis=0)
+        k, v, late = w["k"].take(x, axis=0), w["v"].take(x, axis=0), x.ravel().take(key)
         k += w["k_at"]
         v += w["v_at"]
-        q = w["q"].take(late, axis=0)
-        q += w["q_at"]
-        a = q @ k.transpose(0, 2, 1)
+        q = w["q"].take(x.ravel().take(at), axis=0)
+        q += w["q_at"].take(seen, axis=0)
+        a, c = np.empty((len(at), LENGTH), np.float32), np.empty((len(at), HIDDEN + 1), np.float32)
+        for i, s, shape in parts:
+            np.matmul(q[s].reshape(shape), k[i].transpose(0, 2, 1), out=a[s].reshape(shape))
         if w["clip"]:
             np.clip(a, -60, 60, out=a)
         np.exp(a, out=a)
-        a *= self.seen  # the causal mask
-        c = (a @ v).reshape(-1, HIDDEN + 1)[rows]
+        a *= self.seen.take(seen, axis=0)  # the causal mask
+        for i, s, shape in parts:
+            np.matmul(a[s].reshape(shape), v[i], out=c[s].reshape(shape))
+        c = c.take(slot, axis=0)
         h = c[:, :HIDDEN] / c[:, HIDDEN:]
-        h += w["h"].take(late.ravel()[rows], axis=0)
-        h += w["h_at"].take(rows % STRIDE, axis=0)
+        h += w["h"].take(late, axis=0)
+        h += w["h_at"].take(place, axis=0)
         np.tanh(h, out=h)
         z = h @ self.p["w3"]
         z += self.p["b3"]
@@ -162,65 +179,123 @@ class Attention:
         """
         gain, g = self.gradients(x, rows, ids, sizes)
         self.t += 1
+        far = math.sqrt(1 - 0.99**self.t)  # moments are kept as plain sums, without the factors 0.1 and 0.01
+        pace, least = rate / (1 - 0.9**self.t) * far, 1e-7 * far
         for k, v in g.items():
             m, s = self.moments[k]
             m *= 0.9
-            m += 0.1 * v
+            m += v
             s *= 0.99
-            s += 0.01 * v * v
-            self.p[k] -= (rate / (1 - 0.9**self.t)) * m / (np.sqrt(s / (1 - 0.99**self.t)) + 1e-8)
+            u = v * v
+            s += u
+            np.sqrt(s, out=u)
+            u += least
+            np.divide(m, u, out=u)
+            u *= pace
+            self.p[k] -= u
         return gain
 
     def gradients(self, x, rows, ids, sizes) -> tuple[float, dict]:
-        p, two = self.p, lambda t: t.reshape(-1, t.shape[-1])
-        many, scale = len(x), np.float32(1 / math.sqrt(KEYS))
+        p, many, n, scale = self.p, len(x), np.float32(len(rows)), np.float32(1 / math.sqrt(KEYS))
+        order, _, key, slot, at, seen, parts = padded(rows, many)
+        slots = len(at)
+        x = x.take(order, axis=0)
         e = p["emb"].take(x, axis=0)
         e += p["pos"]
-        eq, e = two(e[:, OVERLAP - 1 :]), two(e)  # products with weights are taken of all windows at once
-        q, k = eq @ (p["wq"] * scale), e @ p["wk"]
-        v = np.ones((len(e), WIDTH + 1), np.float32)  # the column of ones gives the attention's sums
-        np.matmul(e, p["wv"], out=v[:, :WIDTH])
-        far = math.sqrt(np.einsum("ij,ij->i", q, q).max() * np.einsum("ij,ij->i", k, k).max()) > 60
-        q, k, v = (t.reshape(many, -1, t.shape[1]) for t in (q, k, v))
-        a = q @ k.transpose(0, 2, 1)
-        if far:
+        e = e.reshape(-1, WIDTH)  # products with weights are taken of all windows at once
+        eq = e.take(at, axis=0)
+        q, k = eq @ (p["wq"] * scale), (e @ p["wk"]).reshape(many, LENGTH, KEYS)
+        v = e @ np.concatenate([p["wv"], np.zeros((WIDTH, 1), np.float32)], axis=1)
+        v[:, WIDTH] = 1  # the column of ones gives the attention's sums
+        v = v.reshape(many, LENGTH, WIDTH + 1)
+        a, c = np.empty((slots, LENGTH), np.float32), np.empty((slots, WIDTH + 1), np.float32)
+        for w, s, shape in parts:
+            np.matmul(q[s].reshape(shape), k[w].transpose(0, 2, 1), out=a[s].reshape(shape))
+        if a.max() > 60 or a.min() < -60:
             np.clip(a, -60, 60, out=a)
         np.exp(a, out=a)
-        a *= self.seen
-        c = two(a @ v)[rows]
-        total = c[:, WIDTH:]
-        late, seen = eq[rows], c[:, :WIDTH] / total
-        h = np.tanh(late @ p["w1"] + seen @ p["w2"] + p["b1"])
+        a *= self.seen.take(seen, axis=0)
+        for w, s, shape in parts:
+            np.matmul(a[s].reshape(shape), v[w], out=c[s].reshape(shape))
+        c = c.take(slot, axis=0)
+        total, late = c[:, WIDTH:], eq.take(slot, axis=0)
+        value = c[:, :WIDTH] / total
+        h = late @ p["w1"]
+        h += value @ p["w2"]
+        h += p["b1"]
+        np.tanh(h, out=h)
         g, r = softmax(h @ p["w3"] + p["b3"]), softmax(self.own(ids, sizes))
-        pi, n = r.mean(axis=0), np.float32(len(rows))
-        post = g * r / pi
-        gain = (post @ np.ones(STATES, np.float32))[:, None]
+        ones, states = np.ones(len(rows), np.float32), np.ones(STATES, np.float32)
+        pi = ones @ r / n
+        post = g * r
+        post /= pi
+        gain = (post @ states)[:, None]
         post /= gain
-        dz, pull = (g - post) / n, post.mean(axis=0) / pi
-        du = (r - post + r * (pull - (r @ pull)[:, None])) / n
-        dh = (dz @ p["w3"].T) * (1 - h * h)
-        out = {"w3": h.T @ dz, "b3": dz.sum(axis=0), "w1": late.T @ dh, "w2": seen.T @ dh, "b1": dh.sum(axis=0)}
+        dz, pull = g - post, ones @ post / n / pi
+        dz /= n
+        du = r * (1 + pull - (r @ pull)[:, None])
+        du -= post
+        du /= n
+        dh = h * h
+        np.subtract(1, dh, out=dh)
+        dh *= dz @ p["w3"].T
+        out = {"w3": h.T @ dz, "b3": ones @ dz, "w1": late.T @ dh, "w2": value.T @ dh, "b1": ones @ dh}
         # the last column takes the mean of the values' pull off, as the shares of an attention sum to one
-        dc, deq = np.zeros((len(eq), WIDTH + 1), np.float32), np.zeros_like(eq)
-        back = dh @ p["w2"].T / total
-        dc[rows, :WIDTH], dc[rows, WIDTH], deq[rows] = back, -np.einsum("ij,ij->i", back, seen), dh @ p["w1"].T
-        dc = dc.reshape(many, -1, WIDTH + 1)
-        dv = two(a.transpose(0, 2, 1) @ dc[:, :, :WIDTH])
-        ds = dc @ v.transpose(0, 2, 1)
+        dc, back = np.zeros((slots, WIDTH + 1), np.float32), np.empty((len(rows), WIDTH + 1), np.float32)
+        np.divide(dh @ p["w2"].T, total, out=back[:, :WIDTH])
+        back[:, WIDTH] = -np.einsum("ij,ij->i", back[:, :WIDTH], value)
+        dc[slot] = back
+        ds, dq = np.empty_like(a), np.empty_like(q)
+        dv, dk = (np.zeros((many, LENGTH, m), np.float32) for m in (WIDTH, KEYS))
+        for w, s, shape in parts:
+            np.matmul(a[s].reshape(shape).transpose(0, 2, 1), dc[s].reshape(shape)[:, :, :WIDTH], out=dv[w])
+            np.matmul(dc[s].reshape(shape), v[w].transpose(0, 2, 1), out=ds[s].reshape(shape))
         ds *= a
-        dq, dk = two(ds @ k) * scale, two(ds.transpose(0, 2, 1) @ q)  # q is scaled
+        for w, s, shape in parts:
+            np.matmul(ds[s].reshape(shape), k[w], out=dq[s].reshape(shape))
+            np.matmul(ds[s].reshape(shape).transpose(0, 2, 1), q[s].reshape(shape), out=dk[w])  # q is scaled
+        dq *= scale
+        dk, dv = dk.reshape(-1, KEYS), dv.reshape(-1, WIDTH)
         out |= {"wq": eq.T @ dq, "wk": e.T @ dk, "wv": e.T @ dv}
-        de = (dk @ p["wk"].T + dv @ p["wv"].T).reshape(many, LENGTH, WIDTH)
-        deq += dq @ p["wq"].T
-        de[:, OVERLAP - 1 :] += deq.reshape(many, -1, WIDTH)
-        out["pos"] = de.sum(axis=0)
-        out["emb"], out["own"] = _spread(x.ravel(), two(de)), _spread(self.into[ids], np.repeat(du, sizes, axis=0))
+        de = dk @ p["wk"].T
+        de += dv @ p["wv"].T
+        late = dq.take(slot, axis=0) @ p["wq"].T
+        late += dh @ p["w1"].T
+        de[key] += late
+        out["pos"] = (np.ones(many, np.float32) @ de.reshape(many, -1)).reshape(LENGTH, WIDTH)
+        out["emb"], out["own"] = _spread(x.ravel(), de), _spread(self.into.take(ids), du.take(np.repeat(np.arange(len(sizes)), sizes), axis=0))
         return float(np.log(gain).mean()), out
 
 
+def padded(rows: np.ndarray, many: int) -> tuple:
+    """The layout in which only the queries ``rows``, ascending, of ``many`` windows are computed.
+
+    Windows are ordered by their number of queries, cut into PARTS and padded to one width in each. Returns that order; of each
+    query its place in the window, its position among those of all ordered windows, and its slot; of each slot its position and
+    place (0 where padded); and of each part its windows, its slots and the shape of these.
+    """
+    window, place = np.divmod(rows, STRIDE)
+    count = np.bincount(window, minlength=many)
+    order, to = np.argsort(count, kind="stable"), np.empty(many, np.int64)
+    to[order] = np.arange(many)
+    bounds = [many * i // PARTS for i in range(PARTS + 1)]
+    widths = [int(count[order[hi - 1]]) if hi > lo else 0 for lo, hi in zip(bounds, bounds[1:])]
+    wide = np.repeat(widths, np.diff(bounds))
+    slot = ((np.cumsum(wide) - wide)[to] - np.cumsum(count) + count)[window] + np.arange(len(rows))
+    key = to[window] * LENGTH + place + OVERLAP - 1
+    at, seen = np.zeros(int(wide.sum()), np.int64), np.zeros(int(wide.sum()), np.int64)
+    at[slot], seen[slot] = key, place
+    stops = np.cumsum([0, *(w * (hi - lo) for w, lo, hi in zip(widths, bounds, bounds[1:]))]).tolist()
+    parts = [(slice(lo, hi), slice(i, j), (hi - lo, w, -1)) for lo, hi, i, j, w in zip(bounds, bounds[1:], stops, stops[1:], widths) if i < j]
+    return order, place, key, slot, at, seen, parts
+
+
 def _spread(at: np.ndarray, v: np.ndarray) -> np.ndarray:
     """Sums of the rows of v by their row ``at`` of the weights."""
-    return np.stack([np.bincount(at, column, INPUTS) for column in v.T], axis=1).astype(np.float32)
+    pairs = v.shape[1] // 2  # two columns are added at once, as the parts of a complex number
+    out = np.zeros(INPUTS * pairs, np.complex64)
+    np.add.at(out, np.arange(INPUTS * pairs).reshape(INPUTS, pairs).take(at, axis=0).ravel(), np.ascontiguousarray(v).view(np.complex64).ravel())
+    return out.view(np.float32).reshape(INPUTS, -1)
 
 
 @dataclass

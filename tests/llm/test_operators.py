@@ -418,3 +418,29 @@ def test_lm_trains_on_every_window(tokenizer):
     seen, step = [], m.step
     m.step = lambda x, rows, ids, sizes, rate: (seen.append(len(rows)), step(x, rows, ids, sizes, rate))
     assert lm_scoring.train(m, t, chosen, 0.01, r) == len(t.starts) and sum(seen) == (t.sizes > 0).sum()
+
+
+def test_lm_computes_queries_of_words_only(tokenizer, monkeypatch):
+    """Places inside words predict nothing, so no attention is spent on them (24 queries a window before)."""
+
+    class Counting:
+        cells = 0
+
+        def __getattr__(self, name):
+            return getattr(np, name)
+
+        def exp(self, x, **k):
+            Counting.cells += x.size if x.shape[-1] == lm_scoring.LENGTH else 0
+            return np.exp(x, **k)
+
+    m = lm_scoring.Attention(packing.Encoder.at(tokenizer).size)
+    r = np.random.default_rng(2)
+    t = lm_texts(tokenizer, [" ".join(f"w{k}qzx{k * 7919}" for k in r.integers(1, 1 << 30, 40)) for _ in range(40)], m)
+    monkeypatch.setattr(lm_scoring, "np", Counting())
+    most = 1.5 * len(t.at) * lm_scoring.LENGTH
+    assert most < 0.5 * len(t.starts) * lm_scoring.STRIDE * lm_scoring.LENGTH
+    lm_scoring.train(m, t, np.arange(len(t.starts)), 0.01, r)
+    assert 0 < Counting.cells <= most
+    Counting.cells = 0
+    lm_scoring.gains(m, t, np.ones((len(packing.Encoder.at(tokenizer).words), lm_scoring.STATES), np.float32), m.prepared())
+    assert 0 < Counting.cells <= most
