@@ -204,10 +204,11 @@ class Attention:
         e += p["pos"]
         e = e.reshape(-1, WIDTH)  # products with weights are taken of all windows at once
         eq = e.take(at, axis=0)
-        q, k = eq @ (p["wq"] * scale), (e @ p["wk"]).reshape(many, LENGTH, KEYS)
-        v = e @ np.concatenate([p["wv"], np.zeros((WIDTH, 1), np.float32)], axis=1)
-        v[:, WIDTH] = 1  # the column of ones gives the attention's sums
-        v = v.reshape(many, LENGTH, WIDTH + 1)
+        q, both = eq @ (p["wq"] * scale), np.concatenate([p["wk"], p["wv"]], axis=1)
+        kv = e @ np.concatenate([both, np.zeros((WIDTH, 1), np.float32)], axis=1)
+        kv[:, -1] = 1  # the column of ones gives the attention's sums
+        kv = kv.reshape(many, LENGTH, -1)
+        k, v = kv[:, :, :KEYS], kv[:, :, KEYS:]
         a, c = np.empty((slots, LENGTH), np.float32), np.empty((slots, WIDTH + 1), np.float32)
         for w, s, shape in parts:
             np.matmul(q[s].reshape(shape), k[w].transpose(0, 2, 1), out=a[s].reshape(shape))
@@ -246,7 +247,8 @@ class Attention:
         back[:, WIDTH] = -np.einsum("ij,ij->i", back[:, :WIDTH], value)
         dc[slot] = back
         ds, dq = np.empty_like(a), np.empty_like(q)
-        dv, dk = (np.zeros((many, LENGTH, m), np.float32) for m in (WIDTH, KEYS))
+        back = np.zeros((many, LENGTH, KEYS + WIDTH), np.float32)
+        dk, dv = back[:, :, :KEYS], back[:, :, KEYS:]
         for w, s, shape in parts:
             np.matmul(a[s].reshape(shape).transpose(0, 2, 1), dc[s].reshape(shape)[:, :, :WIDTH], out=dv[w])
             np.matmul(dc[s].reshape(shape), v[w].transpose(0, 2, 1), out=ds[s].reshape(shape))
@@ -255,10 +257,9 @@ class Attention:
             np.matmul(ds[s].reshape(shape), k[w], out=dq[s].reshape(shape))
             np.matmul(ds[s].reshape(shape).transpose(0, 2, 1), q[s].reshape(shape), out=dk[w])  # q is scaled
         dq *= scale
-        dk, dv = dk.reshape(-1, KEYS), dv.reshape(-1, WIDTH)
-        out |= {"wq": eq.T @ dq, "wk": e.T @ dk, "wv": e.T @ dv}
-        de = dk @ p["wk"].T
-        de += dv @ p["wv"].T
+        back = back.reshape(-1, KEYS + WIDTH)
+        into, de = e.T @ back, back @ both.T
+        out |= {"wq": eq.T @ dq, "wk": into[:, :KEYS], "wv": into[:, KEYS:]}
         late = dq.take(slot, axis=0) @ p["wq"].T
         late += dh @ p["w1"].T
         de[key] += late
@@ -371,12 +372,13 @@ def train(model: Attention, t: Texts, chosen: np.ndarray, rate: float, r: np.ran
         count = bounds[part + 1] - bounds[part]
         if not count.sum():
             continue
-        w = words[np.repeat(bounds[part] - np.cumsum(count) + count, count) + np.arange(int(count.sum()))]
-        rows = t.row[w] + np.repeat((np.arange(len(part)) - part) * STRIDE, count)
-        sizes = t.sizes[w]
-        ids = t.ids[np.repeat(begin[w] - np.cumsum(sizes) + sizes, sizes) + np.arange(int(sizes.sum()))]
+        w = words.take(np.repeat(bounds[part] - np.cumsum(count) + count, count) + np.arange(int(count.sum())))
+        rows = t.row.take(w) + np.repeat((np.arange(len(part)) - part) * STRIDE, count)
+        sizes = t.sizes.take(w)
+        stops = np.cumsum(sizes)
+        ids = t.ids.take(np.repeat(begin.take(w) - stops + sizes, sizes) + np.arange(stops[-1]))
         fading = 1 - 0.9 * nth / steps if steps else len(part) / BATCH
-        model.step(t.flat[t.starts[part][:, None] + np.arange(LENGTH)], rows, ids, sizes, rate * min(1.0, (model.t + 1) / 30) * fading)
+        model.step(t.flat.take(t.starts[part][:, None] + np.arange(LENGTH)), rows, ids, sizes, rate * min(1.0, (model.t + 1) / 30) * fading)
         done += len(part)
     return done
 
@@ -387,7 +389,7 @@ def gains(model: Attention, t: Texts, tilt: np.ndarray, w: dict) -> np.ndarray:
     bounds = np.searchsorted(t.row // STRIDE, np.arange(0, len(t.starts) + CHUNK, CHUNK))
     for i, (lo, hi) in enumerate(zip(bounds[:-1], bounds[1:])):
         first = i * CHUNK
-        x = t.flat[t.starts[first : first + CHUNK][:, None] + np.arange(LENGTH)]
+        x = t.flat.take(t.starts[first : first + CHUNK][:, None] + np.arange(LENGTH))
         g = model.masses(x, t.row[lo:hi] - first * STRIDE, w)
         out[lo:hi] = np.einsum("ij,ij->i", g, tilt.take(t.at[lo:hi], axis=0)) / (g @ np.ones(STATES, np.float32))
     return np.log10(out)

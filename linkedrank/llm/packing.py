@@ -114,7 +114,7 @@ class Merges:
     """The tokenizer's merges, applied to many atoms at a time: atoms of one length are a matrix, and
     each round merges the leftmost pair of lowest rank in every row that still has one."""
 
-    LONGEST, NONE = 48, 1 << 30
+    LONGEST, NONE, BITS = 48, 1 << 30, 19
 
     def __init__(self, model: dict):
         vocab, self.size = model["vocab"], len(model["vocab"])
@@ -123,12 +123,23 @@ class Merges:
         order = np.argsort(keys)
         self.keys, self.ranks = np.append(keys[order], 1 << 62), np.append(order, self.NONE).astype(np.int64)
         self.into = np.array([vocab[a + b] for a, b in pairs] + [0], np.int64)  # by rank
+        # most pairs are looked up at a hashed place; those that share one, and what falls there, are searched for
+        place = self._place(self.keys[:-1])
+        self.hashed, shared = np.full(1 << self.BITS, len(self.keys) - 1, np.int32), np.bincount(place, minlength=1 << self.BITS) > 1
+        self.hashed[place] = np.arange(len(self.keys) - 1)
+        self.hashed[shared] = -1
         self.first = np.array([[vocab[c + end] for c in _LETTERS] for end in ("", "</w>")], np.int64)
 
     def _rank(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
         key = left * self.size + right
-        at = np.searchsorted(self.keys, key)
-        return np.where(self.keys[at] == key, self.ranks[at], self.NONE)
+        at = self.hashed.take(self._place(key))
+        shared = np.nonzero(at < 0)
+        if len(shared[0]):
+            at[shared] = np.searchsorted(self.keys, key[shared])
+        return np.where(self.keys.take(at) == key, self.ranks.take(at), self.NONE)
+
+    def _place(self, key: np.ndarray) -> np.ndarray:
+        return (key.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(64 - self.BITS)).view(np.int64)
 
     def apply(self, coded: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all atoms (UTF-8, none empty or longer than LONGEST) in one row, and the ids of each."""

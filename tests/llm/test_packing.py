@@ -97,3 +97,15 @@ def test_encoder_equals_tokenizer_on_odd_texts():
         assert ids.tolist() == 2 * want and packing.segment_sums(sizes, many).tolist() == 2 * [len(want)]
 
     check()
+
+
+def test_merge_ranks_by_hashed_place():
+    """Every merge has its rank and no other pair has one, also where pairs share a place."""
+    m = packing.Encoder.at(path).merges
+    keys = m.keys[:-1]
+    assert (m._rank(keys // m.size, keys % m.size) == m.ranks[:-1]).all()
+    place = m._place(keys)
+    assert 0 < (m.hashed[place] < 0).sum() < 0.2 * len(keys)  # few pairs are still searched for
+    left, right = np.random.default_rng(0).integers(0, m.size, (2, 200_000))
+    known = np.isin(left * m.size + right, keys)
+    assert ((m._rank(left, right) == m.NONE) == ~known).all()
