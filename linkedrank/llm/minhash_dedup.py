@@ -58,6 +58,22 @@ class _Words(dict):
 _words = _Words()
 
 
+def _forgetting(run):
+    """``run`` over a task's batches; then the worker, which later tasks and stages use again, gives the words' memory back."""
+
+    def task(batches):
+        try:
+            yield from run(batches)
+        finally:
+            forget()
+
+    return task
+
+
+def forget() -> None:
+    _words.clear()  # named here, as a nested function would be sent with a copy
+
+
 def _mix(x: np.ndarray) -> np.ndarray:
     x = (x ^ (x >> np.uint64(30))) * _K2
     x = (x ^ (x >> np.uint64(27))) * _K3
@@ -153,7 +169,7 @@ def sketches(docs: DataFrame, id_col: str, text_col: str, width: int = WIDTH) ->
             yield pd.DataFrame({"id": b["id"], "n": ns, "cls": cls, "regs": regs, "bands": bands})
 
     d = docs.select(docs[id_col].alias("id"), docs[text_col].alias("text"))
-    return d.mapInPandas(run, f"id {id_type}, n long, cls binary, regs binary, bands array<long>")
+    return d.mapInPandas(_forgetting(run), f"id {id_type}, n long, cls binary, regs binary, bands array<long>")
 
 
 def _sets(docs: DataFrame, id_col: str, text_col: str, wanted: DataFrame, width: int = WIDTH) -> DataFrame:
@@ -169,7 +185,7 @@ def _sets(docs: DataFrame, id_col: str, text_col: str, wanted: DataFrame, width:
             yield pd.DataFrame({"id": b["id"], "cls": [hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets], "hashes": [s.view(np.int64) for s in sets]})
 
     id_type = docs.schema[id_col].dataType.simpleString()
-    return d.mapInPandas(run, f"id {id_type}, cls binary, hashes array<long>").join(wanted, ["id", "cls"], "left_semi").drop("id").dropDuplicates(["cls"])
+    return d.mapInPandas(_forgetting(run), f"id {id_type}, cls binary, hashes array<long>").join(wanted, ["id", "cls"], "left_semi").drop("id").dropDuplicates(["cls"])
 
 
 def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:

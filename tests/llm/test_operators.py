@@ -444,3 +444,17 @@ def test_lm_computes_queries_of_words_only(tokenizer, monkeypatch):
     Counting.cells = 0
     lm_scoring.gains(m, t, np.ones((len(packing.Encoder.at(tokenizer).words), lm_scoring.STATES), np.float32), m.prepared())
     assert 0 < Counting.cells <= most
+
+
+def test_sketches_leave_no_words_in_workers(spark, sf):
+    """Workers are used again, and kept the words of all their tasks."""
+    import pandas as pd
+
+    docs = spark.read.parquet(f"{sf('sf0.001')}/documents.parquet")
+    assert minhash_dedup.sketches(docs.repartition(8), "doc_id", "text").count() == docs.count()
+
+    def held(batches):
+        for b in batches:
+            yield pd.DataFrame({"n": [len(minhash_dedup._words)]})
+
+    assert spark.range(64).repartition(8).mapInPandas(held, "n long").agg(F.max("n")).collect()[0][0] == 0
