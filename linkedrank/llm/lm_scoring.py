@@ -21,9 +21,10 @@ word, and the end, is scored once. Windows of many texts form one batch, and the
 
 Every text is cut and its words are spelled once (``cut``): records of RECORD_WORDS words or one longer text
 hold the numbers of their words in a dictionary of their own, with its spellings, and training and scoring
-read those. Words with a high count (at most WORDS_MOST of them, picked by powers of two) are looked up in the
-workers; the other words of a text go through a join with the count table, so no vocabulary is
-ever held whole.
+read those. Words are dealt into buckets by a hash of their bytes, and the words that a task has for one bucket are
+one row, so that Spark moves rows by task and bucket, not by word; each bucket's counts are summed on their own. Words with a
+high count (at most WORDS_MOST of them, picked by powers of two) are looked up in the workers; the other words
+of the texts go to their buckets and the answers back to their texts, so no vocabulary is ever held whole.
 
 Edge cases: a null or empty text is the end alone; repeated rows are scored alike and count as often
 as they occur; without training documents contexts tell nothing and score equals base_score; a word
@@ -58,6 +59,7 @@ BATCH, CHUNK, START_RATE, ROUND_RATE = 256, 256, 0.02, 0.01
 WORDS_MOST, AVERAGERS = 300_000, 8
 FIRST_IDS, PARTS = 6, 4  # ids of a word that are summed in turn, the others by runs; parts of a batch by words of a window
 RECORD_WORDS, GROUP_WORDS = 150_000, 400_000  # of a record of spelled texts; of records that are read at a time
+BUCKETS, RARE_MOST = 512, 1_000_000  # of words, at least (else one for each shuffle partition); rare words that a task sends to them at a time
 END = None  # stands among words for the end of a text
 
 
@@ -430,21 +432,69 @@ def _binaries(values: np.ndarray, sizes: np.ndarray) -> pa.Array:
     return pa.Array.from_buffers(pa.large_binary(), len(sizes), [None, pa.py_buffer(stops.astype("<i8")), pa.py_buffer(np.ascontiguousarray(values))]).cast(pa.binary())
 
 
+def _whole(table: pa.Table, name: str, kind: str) -> np.ndarray:
+    """Values of all binaries of a column in one row."""
+    return np.frombuffer(b"".join(table.column(name).to_pylist()), kind)
+
+
+_FACTORS = np.random.default_rng(5).integers(0, 1 << 63, 64, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+
+
+def _flat(words: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """Bytes of all words end to end, and the bytes of each. words: of a large type."""
+    if not len(words):
+        return np.empty(0, np.uint8), np.empty(0, np.int64)
+    stops = np.frombuffer(words.buffers()[1], np.int64)[words.offset : words.offset + len(words) + 1]
+    return np.frombuffer(words.buffers()[2] or b"", np.uint8)[stops[0] : stops[-1]], np.diff(stops)
+
+
+def _words(table: pa.Table) -> pa.Array:
+    """Words of all rows, from ``keys`` and ``key_sizes``."""
+    sizes = _whole(table, "key_sizes", "<i4")
+    stops = np.concatenate([[0], np.cumsum(sizes)]).astype("<i8")
+    return pa.Array.from_buffers(pa.large_binary(), len(sizes), [None, pa.py_buffer(stops), pa.py_buffer(b"".join(table.column("keys").to_pylist()))])
+
+
+def dealt(words: pa.Array, buckets: int) -> tuple[np.ndarray, np.ndarray, dict]:
+    """The order of words (of a large type) by bucket, the words of each bucket that has some, and the columns of these buckets."""
+    flat, sizes = _flat(words)
+    place = np.arange(len(flat)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+    h = segment_sums((flat + np.uint64(1)) * _FACTORS.take(place & 63), sizes)
+    h ^= h >> np.uint64(32)
+    h *= _FACTORS[0]
+    bucket = ((h >> np.uint64(33)) % np.uint64(buckets)).astype(np.int32)
+    order = np.argsort(bucket, kind="stable")
+    many = np.bincount(bucket, minlength=1)
+    some = np.flatnonzero(many)
+    many = many[some]
+    flat, sizes = _flat(words.take(pa.array(order)))
+    return order, many, {"bucket": pa.array(some, pa.int32()), "keys": _binaries(flat, segment_sums(sizes, many)), "key_sizes": _binaries(sizes.astype("<i4"), many)}
+
+
 def _joined(column: pa.Array, first: int, last: int, kind: str) -> list[np.ndarray]:
     return [np.frombuffer(column[k].as_buffer(), kind) for k in range(first, last)]
 
 
+COUNTS = "bucket int, keys binary, key_sizes binary, c binary, id_sizes binary, key_ids binary"
+
+
+def buckets_of(df: DataFrame) -> int:
+    return max(BUCKETS, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+
+
 def cut(docs: DataFrame, tokenizer: str, training: Column) -> DataFrame:
-    """Staged spelled texts. docs: (doc_id, text). Two kinds of rows:
+    """Staged spelled texts. docs: (doc_id, text). Three kinds of rows:
 
-    (word, c, ids): times that a task met a word in training texts (null word: the end), with its ids;
+    (bucket, keys, key_sizes, c, id_sizes, key_ids): words of a bucket, their bytes end to end and the bytes of each, the times that
+    a task met them in training texts, and their ids; (ends): texts of training that it met;
     (part, ...): a record of texts, of training round ``part`` or, with part = ROUNDS, of no training. Its words
     are joined by blanks, which no word holds; the empty word is the end.
     """
     hashed = docs.select("doc_id", "text", F.xxhash64("doc_id", F.length("text")).alias("hash")).select(
         "*", F.when(training, F.pmod("hash", F.lit(ROUNDS))).otherwise(ROUNDS).cast("int").alias("part"))
     id_type = docs.schema["doc_id"].dataType.simpleString()
-    schema = f"word string, c long, ids binary, part int, doc array<{id_type}>, hash binary, many binary, at binary, sizes binary, words binary"
+    schema = f"{COUNTS}, ends long, part int, doc array<{id_type}>, hash binary, many binary, at binary, sizes binary, ids binary, words binary"
+    buckets = buckets_of(docs)
 
     def run(batches):
         reader, counts, names, named = Reader(tokenizer), np.zeros(0, np.int64), [], None
@@ -453,20 +503,25 @@ def cut(docs: DataFrame, tokenizer: str, training: Column) -> DataFrame:
             return pa.RecordBatch.from_arrays([columns.get(k, pa.nulls(n, t)) for k, t in types.items()], names=list(types))
 
         def counted():
-            some = np.flatnonzero(counts)
             words = reader.encoder.words
-            ids, sizes = words.spelled(some)
-            return rows(len(some), word=pa.array([names[k] or None for k in some.tolist()], pa.string()), c=pa.array(counts[some]), ids=_binaries(ids.astype("<u4"), sizes))
+            end = words.number[END]
+            yield rows(1, ends=pa.array(counts[end : end + 1]))
+            counts[end] = 0
+            some = np.flatnonzero(counts)
+            order, many, columns = dealt(pa.array(map(names.__getitem__, some.tolist()), pa.large_string()), buckets)
+            ids, sizes = words.spelled(some[order])
+            yield rows(len(many), **columns, c=_binaries(counts[some[order]].astype("<i8"), many), id_sizes=_binaries(sizes.astype("<i4"), many),
+                       key_ids=_binaries(ids.astype("<u4"), segment_sums(sizes, many)))
 
         types = None
         for b in batches:
-            types = types or {"word": pa.string(), "c": pa.int64(), "ids": pa.binary(), "part": pa.int32(), "doc": pa.list_(b.schema.field("doc_id").type), "hash": pa.binary(),
-                              "many": pa.binary(), "at": pa.binary(), "sizes": pa.binary(), "words": pa.binary()}
+            types = types or {"bucket": pa.int32(), **dict.fromkeys(("keys", "key_sizes", "c", "id_sizes", "key_ids"), pa.binary()), "ends": pa.int64(), "part": pa.int32(),
+                              "doc": pa.list_(b.schema.field("doc_id").type), **dict.fromkeys(("hash", "many", "at", "sizes", "ids", "words"), pa.binary())}
             texts, parts = text_column(b, "text"), b.column("part").to_numpy()
             hashes = b.column("hash").to_numpy()
             for first, last in groups(texts):
                 if reader.full():
-                    yield counted()
+                    yield from counted()
                     counts = counts[:0]
                 at, many = reader.numbers(texts.slice(first, last - first))
                 words, part = reader.encoder.words, parts[first:last]
@@ -501,7 +556,7 @@ def cut(docs: DataFrame, tokenizer: str, training: Column) -> DataFrame:
                 doc = pa.ListArray.from_arrays(pa.array(bounds, pa.int32()), b.column("doc_id").slice(first, last - first).take(pa.array(order)))
                 yield rows(len(out["part"]), part=pa.array(out["part"], pa.int32()), doc=doc, **{k: pa.array(v, pa.binary()) for k, v in out.items() if k != "part"})
         if len(counts):
-            yield counted()
+            yield from counted()
 
     return staged(hashed.mapInArrow(run, schema), "lm-cut")
 
@@ -548,20 +603,65 @@ def learn(cuts: DataFrame, model: Attention) -> Attention:
     return model
 
 
-def mean_shares(model: Attention, words: DataFrame, ends: int) -> np.ndarray:
+def summed_counts(cuts: DataFrame) -> DataFrame:
+    """Staged counts of the distinct words, a row for each bucket."""
+
+    def run(table):
+        words = _words(table).dictionary_encode()
+        at = words.indices.to_numpy()
+        c, one = np.bincount(at, _whole(table, "c", "<i8")), np.empty(len(words.dictionary), np.int64)
+        one[at] = np.arange(len(at))
+        ids, sizes = Spellings.of(_whole(table, "key_ids", "<u4"), _whole(table, "id_sizes", "<i4").astype(np.int64)).spelled(one)
+        flat, lengths = _flat(words.dictionary)
+        columns = [flat, lengths.astype("<i4"), c.astype("<i8"), sizes.astype("<i4"), ids.astype("<u4")]
+        return pa.table([table.column("bucket").slice(0, 1), *(pa.array([v.tobytes()], pa.binary()) for v in columns)], names=table.column_names)
+
+    names = [f.split(" ")[0] for f in COUNTS.split(", ")]
+    return staged(cuts.where("bucket IS NOT NULL").select(*names).groupBy("bucket").applyInArrow(run, COUNTS), "word-counts")
+
+
+def listed(counts: DataFrame, least: int = 0) -> DataFrame:
+    """(word, c) of the words that occur ``least`` times or more."""
+
+    def run(batches):
+        for b in batches:
+            c = _whole(b, "c", "<i8")
+            some = np.flatnonzero(c >= least)
+            yield pa.RecordBatch.from_arrays([_words(b).take(pa.array(some)).cast(pa.binary()).cast(pa.string()), pa.array(c[some])], names=["word", "c"])
+
+    return counts.select("keys", "key_sizes", "c").mapInArrow(run, "word string, c long")
+
+
+def count_steps(counts: DataFrame) -> list:
+    """(step, k, c), the largest step first: k words occur 2^step times or more, but less than twice that, c times in all."""
+
+    def run(batches):
+        for b in batches:
+            c = _whole(b, "c", "<i8")
+            step = np.frexp(c)[1] - 1
+            k, total = np.bincount(step, minlength=1), np.bincount(step, c, 1)
+            some = np.flatnonzero(k)
+            yield pa.RecordBatch.from_arrays([pa.array(some, pa.int32()), pa.array(k[some]), pa.array(total[some].astype(np.int64))], names=["step", "k", "c"])
+
+    rows = counts.select("c").mapInArrow(run, "step int, k long, c long")
+    return rows.groupBy("step").agg(F.sum("k").alias("k"), F.sum("c").alias("c")).orderBy(F.desc("step")).collect()
+
+
+def mean_shares(model: Attention, counts: DataFrame, ends: int) -> np.ndarray:
     """pi: mean shares of the states over the smoothed corpus shares of all words with ids, the end included."""
-    shared = words.sparkSession.sparkContext.broadcast(model)
+    shared = counts.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
         model, total = shared.value, np.zeros(STATES)
         for b in batches:
-            ids, c = b.column("ids"), b.column("c").to_numpy() + 0.5
-            sizes = pc.binary_length(ids).to_numpy(zero_copy_only=False) // 4
-            total += ((sizes > 0) * c) @ softmax(model.own(np.frombuffer(b"".join(ids.to_pylist()), "<u4"), sizes))
+            for k in range(b.num_rows):
+                row = b.slice(k, 1)
+                sizes = _whole(row, "id_sizes", "<i4").astype(np.int64)
+                total += ((sizes > 0) * (_whole(row, "c", "<i8") + 0.5)) @ softmax(model.own(_whole(row, "key_ids", "<u4"), sizes))
         yield pa.RecordBatch.from_arrays([pa.array(range(STATES), pa.int32()), pa.array(total)], names=["state", "mass"])
 
     total = softmax(model.own(np.array([model.end]), np.array([1])))[0] * (ends + 0.5)
-    for state, mass in words.select("c", "ids").mapInArrow(run, "state int, mass double").groupBy("state").agg(F.sum("mass").alias("mass")).collect():
+    for state, mass in counts.select("c", "id_sizes", "key_ids").mapInArrow(run, "state int, mass double").groupBy("state").agg(F.sum("mass").alias("mass")).collect():
         total[state] += mass
     return total / total.sum()
 
@@ -571,6 +671,8 @@ class Fitted:
     model: Attention
     pi: np.ndarray
     words: DataFrame  # (word, c)
+    counts: DataFrame  # ``summed_counts``
+    buckets: int
     ends: int
     tokens: int
     below: float  # log10 of the denominator of the corpus shares
@@ -582,9 +684,8 @@ def fit(training: DataFrame, tokenizer: str, cuts: DataFrame | None = None) -> F
     model = warm_start(training, tokenizer)
     cuts = cuts or cut(training, tokenizer, F.lit(True))
     model = learn(cuts, model)
-    counts = staged(cuts.where("c IS NOT NULL").groupBy("word", "ids").agg(F.sum("c").alias("c")), "word-counts")
-    words, ends = counts.where("word IS NOT NULL"), sum(r["c"] for r in counts.where("word IS NULL").select("c").collect())
-    steps = words.groupBy(F.floor(F.log2("c")).cast("int").alias("step")).agg(F.count("*").alias("k"), F.sum("c").alias("c")).orderBy(F.desc("step")).collect()
+    counts, ends = summed_counts(cuts), cuts.agg(F.sum("ends")).first()[0] or 0
+    steps = count_steps(counts)
     tokens, distinct = sum(r["c"] for r in steps) + ends, sum(r["k"] for r in steps) + (ends > 0)
     cut_step, room = 62, WORDS_MOST
     for r in steps:
@@ -592,9 +693,10 @@ def fit(training: DataFrame, tokenizer: str, cuts: DataFrame | None = None) -> F
             break
         cut_step, room = r["step"], room - r["k"]
     below = math.log10(tokens + 0.5 * (distinct + 1))
-    shares = {w: math.log10(c + 0.5) - below for w, c in words.where(F.col("c") >= 2**cut_step).select("word", "c").collect()}
+    frequent = listed(counts, 2**cut_step).toArrow()
+    shares = dict(zip(frequent.column("word").to_pylist(), (np.log10(frequent.column("c").to_numpy() + 0.5) - below).tolist()))
     shares[""] = math.log10(ends + 0.5) - below
-    return Fitted(model, mean_shares(model, words, ends), words, ends, tokens, below, shares)
+    return Fitted(model, mean_shares(model, counts, ends), listed(counts), counts, buckets_of(training), ends, tokens, below, shares)
 
 
 def tilts(model: Attention, pi: np.ndarray, words: Spellings) -> np.ndarray:
@@ -604,19 +706,57 @@ def tilts(model: Attention, pi: np.ndarray, words: Spellings) -> np.ndarray:
     return out
 
 
+def rare_shares(rare: DataFrame, f: Fitted) -> DataFrame:
+    """(row, more, also): sums of the log shares of the rare words of a row, and how many were met in training.
+
+    rare: (bucket, chunk, keys, key_sizes, at, times), words of the rows chunk + at.
+    """
+    below = f.below
+
+    def answered(rare, counts):
+        if not rare.num_rows:
+            return ANSWERS.empty_table()
+        many, times = pc.binary_length(rare.column("key_sizes")).to_numpy() // 4, _whole(rare, "times", "<i8")
+        known = _words(counts)
+        c = np.append(_whole(counts, "c", "<i8"), 0)[pc.fill_null(pc.index_in(_words(rare), known), len(known)).to_numpy()]
+        columns = [_binaries(times * (np.log10(c + 0.5) - below), many), _binaries(np.where(c > 0, times, 0), many)]
+        return pa.table([rare.column("chunk"), rare.column("at"), *columns], names=["chunk", "at", "more", "also"])
+
+    def summed(table):
+        at = _whole(table, "at", "<i4")
+        more, also = np.bincount(at, _whole(table, "more", "<f8")), np.bincount(at, _whole(table, "also", "<i8"))
+        some = np.flatnonzero(np.bincount(at))
+        return pa.table([pa.array(table.column("chunk")[0].as_py() + some), pa.array(more[some]), pa.array(also[some].astype(np.int64))], names=["row", "more", "also"])
+
+    ANSWERS = pa.schema({"chunk": pa.int64(), "at": pa.binary(), "more": pa.binary(), "also": pa.binary()})
+    answers = rare.groupBy("bucket").cogroup(f.counts.select("bucket", "keys", "key_sizes", "c").groupBy("bucket")).applyInArrow(answered, "chunk long, at binary, more binary, also binary")
+    return answers.groupBy("chunk").applyInArrow(summed, "row long, more double, also long")
+
+
 def scored(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str = "text", fitted: Fitted | None = None) -> DataFrame:
     """Per document: held_out, n_tokens, n_known, train_tokens, base_score, score, context_gain."""
     d = docs.select(docs[id_col].alias("doc_id"), docs[text_col].cast("string").alias("text"))
     cuts = cut(d, tokenizer, ~held_out(F.col("doc_id")))
     f = fitted or fit(d.where(~held_out(F.col("doc_id"))), tokenizer, cuts)
-    ends, words, below = f.ends, f.words, f.below
+    ends, buckets = f.ends, f.buckets
     shared = d.sparkSession.sparkContext.broadcast((f.model, f.pi, list(f.shares), np.array([*f.shares.values(), math.nan])))
 
     def run(batches):
         model, pi, frequent, shares = shared.value
         w, task, nth = model.prepared(), TaskContext.get().partitionId(), 0
         frequent = pa.array(frequent, pa.large_string())
+        kept, chunk = [], nth  # rare words since row ``chunk``: (words, row from there, times)
+
+        def sent():
+            words, at, times = (pa.concat_arrays(k) if isinstance(k[0], pa.Array) else np.concatenate(k) for k in zip(*kept))
+            order, many, columns = dealt(words, buckets)
+            columns |= {"chunk": pa.array(np.full(len(many), (task << 40) + chunk)), "at": _binaries(at[order].astype("<i4"), many), "times": _binaries(times[order].astype("<i8"), many)}
+            return pa.RecordBatch.from_arrays([columns.get(k, pa.nulls(len(many), t)) for k, t in types.items()], names=list(types))
+
+        types = None
         for b in batches:
+            types = types or {"row": pa.int64(), "doc_id": b.schema.field("doc").type.value_type, "n_tokens": pa.int64(), "n_known": pa.int64(), "base": pa.float64(), "gain": pa.float64(),
+                              "chunk": pa.int64(), "bucket": pa.int32(), **dict.fromkeys(("keys", "key_sizes", "at", "times"), pa.binary())}
             names = pc.split_pattern(b.column("words").cast(pa.large_binary()).cast(pa.large_string()), " ")
             logs = shares[pc.fill_null(pc.index_in(names.values, frequent), len(frequent)).to_numpy()]  # by word of all records
             for t, own, first, last in records(b, model):
@@ -624,25 +764,25 @@ def scored(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: st
                 u, n = logs[here:to][t.at], len(t.many)
                 known = ~np.isnan(u)
                 gain = gains(model, t, tilts(model, pi, own), w) if ends else np.zeros(len(u))
-                row = (task << 40) + np.arange(nth, nth + n)
-                nth += n
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(row), b.column("doc").slice(first, last - first).flatten(), pa.array(t.many), pa.array(segment_sums(known.astype(np.int64), t.many) - (ends == 0)),
-                     pa.array(segment_sums(np.where(known, u, 0.0), t.many)), pa.array(segment_sums(gain, t.many)), pa.nulls(n, pa.string())], names=NAMES)
+                columns = {"row": pa.array((task << 40) + np.arange(nth, nth + n)), "doc_id": b.column("doc").slice(first, last - first).flatten(), "n_tokens": pa.array(t.many),
+                           "n_known": pa.array(segment_sums(known.astype(np.int64), t.many) - (ends == 0)), "base": pa.array(segment_sums(np.where(known, u, 0.0), t.many)), "gain": pa.array(segment_sums(gain, t.many))}
+                yield pa.RecordBatch.from_arrays([columns.get(k, pa.nulls(n, kind)) for k, kind in types.items()], names=list(types))
                 rare = np.flatnonzero(~known)
                 if len(rare):
                     key, times = np.unique(np.repeat(np.arange(n), t.many)[rare] << 32 | t.at[rare], return_counts=True)
-                    none, zero = pa.nulls(len(key), b.schema.field("doc").type.value_type), pa.array(np.zeros(len(key)))
-                    yield pa.RecordBatch.from_arrays([pa.array(row[key >> 32]), none, pa.array(times), pa.array(times * 0), zero, zero, names.values.take(pa.array(here + (key & 0xFFFFFFFF))).cast(pa.string())], names=NAMES)
+                    kept.append((names.values.take(pa.array(here + (key & 0xFFFFFFFF))), nth - chunk + (key >> 32), times))
+                nth += n
+                if sum(len(k[1]) for k in kept) > RARE_MOST:
+                    yield sent()
+                    kept, chunk = [], nth
+        if kept:
+            yield sent()
 
-    NAMES = ["row", "doc_id", "n_tokens", "n_known", "base", "gain", "word"]
     id_type = docs.schema[id_col].dataType.simpleString()
     read = cuts.where("part IS NOT NULL").select("doc", "many", "at", "sizes", "ids", "words")
-    both = staged(read.mapInArrow(run, f"row long, doc_id {id_type}, n_tokens long, n_known long, base double, gain double, word string"), "lm-scores")
-    rare = both.where(F.col("word").isNotNull()).select("row", "word", F.col("n_tokens").alias("times")).join(words.select("word", "c"), "word", "left")
-    share = F.log10(F.coalesce("c", F.lit(0)) + 0.5) - below
-    more = rare.groupBy("row").agg(F.sum(F.col("times") * share).alias("more"), F.sum(F.when(F.col("c").isNotNull(), F.col("times"))).alias("also"))
-    out = both.where(F.col("word").isNull()).drop("word").join(more, "row", "left").withColumn("base_score", F.col("base") + F.coalesce("more", F.lit(0.0)))
+    both = staged(read.mapInArrow(run, f"row long, doc_id {id_type}, n_tokens long, n_known long, base double, gain double, chunk long, bucket int, keys binary, key_sizes binary, at binary, times binary"), "lm-scores")
+    more = rare_shares(both.where("bucket IS NOT NULL").select("bucket", "chunk", "keys", "key_sizes", "at", "times"), f)
+    out = both.where("row IS NOT NULL").join(more, "row", "left").withColumn("base_score", F.col("base") + F.coalesce("more", F.lit(0.0)))
     return out.select(
         "doc_id", held_out(F.col("doc_id")).alias("held_out"), "n_tokens", (F.col("n_known") + F.coalesce("also", F.lit(0))).cast("long").alias("n_known"),
         F.lit(f.tokens).cast("long").alias("train_tokens"), "base_score", (F.col("base_score") + F.col("gain")).alias("score"), F.col("gain").alias("context_gain"))

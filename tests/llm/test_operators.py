@@ -458,3 +458,27 @@ def test_sketches_leave_no_words_in_workers(spark, sf):
             yield pd.DataFrame({"n": [len(minhash_dedup._words)]})
 
     assert spark.range(64).repartition(8).mapInPandas(held, "n long").agg(F.max("n")).collect()[0][0] == 0
+
+
+def test_lm_moves_words_by_bucket(spark, sf, odd, tokenizer, monkeypatch):
+    """Spark gets a row for each task and bucket of words, not for each word; counts and rare words' shares are those of plain Python."""
+    import math
+    from collections import Counter
+
+    docs = spark.read.parquet(f"{sf('sf0.001')}/documents.parquet").select("doc_id", "text").unionByName(odd.select("doc_id", "text")).coalesce(2)
+    texts = [r["text"] or "" for r in docs.collect()]
+    want = Counter(w for x in texts for w in re.split("[\x20\x09-\x0d]+", re.sub("[A-Z]", lambda y: y[0].lower(), x)) if w)
+    cuts = lm_scoring.cut(docs, tokenizer, F.lit(True))
+    assert cuts.count() < len(want) / 2
+    f = lm_scoring.fit(docs, tokenizer, cuts)
+    assert {r["word"]: r["c"] for r in f.words.collect()} == want and f.ends == len(texts) and f.tokens == sum(want.values()) + len(texts)
+    assert f.counts.count() == f.counts.select("bucket").distinct().count() <= f.buckets
+    words, rare = pa.array([w.encode() for w in [*want, "never-seen", ""]], pa.large_binary()), np.arange(len(want) + 2)
+    order, many, columns = lm_scoring.dealt(words, f.buckets)
+    assert sorted(order.tolist()) == rare.tolist() and many.sum() == len(words)
+    monkeypatch.setattr(lm_scoring, "RARE_MOST", 5)  # so that a task sends them often
+    few = lm_scoring.Fitted(f.model, f.pi, f.words, f.counts, f.buckets, f.ends, f.tokens, f.below, {"": f.shares[""]})  # all words are rare
+    got = lm_scoring.scored(docs, tokenizer, fitted=few).collect()
+    share = lambda x: sum(math.log10(want[w] + 0.5) - f.below for w in re.split("[\x20\x09-\x0d]+", re.sub("[A-Z]", lambda y: y[0].lower(), x)) if w) + f.shares[""]
+    assert np.allclose(sorted(r["base_score"] for r in got), sorted(map(share, texts)))
+    assert all(r["n_known"] == r["n_tokens"] for r in got)
