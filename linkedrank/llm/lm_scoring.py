@@ -55,11 +55,11 @@ LENGTH = STRIDE + OVERLAP - 1
 WIDTH, KEYS, HIDDEN, STATES, INPUTS = 16, 8, 16, 16, 4096
 SHARE, ROUNDS, START_DOCS, START_STEPS = 1, 2, 400, 150
 START_BYTES = 8_000_000
-BATCH, CHUNK, START_RATE, ROUND_RATE = 256, 256, 0.02, 0.01
+BATCH, CHUNK, START_RATE, ROUND_RATE = 256, 512, 0.02, 0.01
 WORDS_MOST, AVERAGERS = 300_000, 8
-FIRST_IDS, PARTS = 6, 4  # ids of a word that are summed in turn, the others by runs; parts of a batch by words of a window
-RECORD_WORDS, GROUP_WORDS = 150_000, 400_000  # of a record of spelled texts; of records that are read at a time
-BUCKETS, RARE_MOST = 512, 1_000_000  # of words, at least (else one for each shuffle partition); rare words that a task sends to them at a time
+FIRST_IDS, PARTS = 6, 6  # ids of a word that are summed in turn, the others by runs; parts of a batch by words of a window
+RECORD_WORDS, GROUP_WORDS, CUT_BYTES = 150_000, 400_000, 8_000_000  # of a record of spelled texts; of records that are read at a time; of texts that are cut at a time
+BUCKETS, RARE_MOST = 512, 500_000  # of words, at least (else one for each shuffle partition); rare words that a task sends to them at a time
 END = None  # stands among words for the end of a text
 
 
@@ -75,6 +75,7 @@ class Attention:
     """Weights of the model, its gradients and its Adam steps."""
 
     NAMES = ("emb", "pos", "wq", "wk", "wv", "w1", "w2", "b1", "w3", "b3", "own")
+    SMALL = NAMES[1:-1]  # these take their steps as one
 
     def __init__(self, size: int, seed: int = 3):
         r, shape = np.random.default_rng(seed), {
@@ -91,7 +92,8 @@ class Attention:
 
     def restart(self) -> None:
         """Forget the moments of the steps."""
-        self.t, self.moments = 0, {k: (np.zeros_like(v), np.zeros_like(v)) for k, v in self.p.items()}
+        self.t, sizes = 0, {"emb": self.p["emb"].shape, "own": self.p["own"].shape, "small": sum(self.p[k].size for k in self.SMALL)}
+        self.moments = {k: (np.zeros(n, np.float32), np.zeros(n, np.float32)) for k, n in sizes.items()}
 
     def flat(self) -> np.ndarray:
         return np.concatenate([self.p[k].ravel() for k in self.NAMES])
@@ -183,8 +185,8 @@ class Attention:
         self.t += 1
         far = math.sqrt(1 - 0.99**self.t)  # moments are kept as plain sums, without the factors 0.1 and 0.01
         pace, least = rate / (1 - 0.9**self.t) * far, 1e-7 * far
-        for k, v in g.items():
-            m, s = self.moments[k]
+        for k, (m, s) in self.moments.items():
+            v = np.concatenate([g[name].ravel() for name in self.SMALL]) if k == "small" else g[k]
             m *= 0.9
             m += v
             s *= 0.99
@@ -194,7 +196,14 @@ class Attention:
             u += least
             np.divide(m, u, out=u)
             u *= pace
-            self.p[k] -= u
+            if k == "small":
+                at = 0
+                for name in self.SMALL:
+                    w = self.p[name]
+                    w -= u[at : at + w.size].reshape(w.shape)
+                    at += w.size
+            else:
+                self.p[k] -= u
         return gain
 
     def gradients(self, x, rows, ids, sizes) -> tuple[float, dict]:
@@ -249,7 +258,8 @@ class Attention:
         back[:, WIDTH] = -np.einsum("ij,ij->i", back[:, :WIDTH], value)
         dc[slot] = back
         ds, dq = np.empty_like(a), np.empty_like(q)
-        back = np.zeros((many, LENGTH, KEYS + WIDTH), np.float32)
+        back = np.empty((many, LENGTH, KEYS + WIDTH), np.float32)
+        back[: parts[0][0].start] = 0  # windows of no query
         dk, dv = back[:, :, :KEYS], back[:, :, KEYS:]
         for w, s, shape in parts:
             np.matmul(a[s].reshape(shape).transpose(0, 2, 1), dc[s].reshape(shape)[:, :, :WIDTH], out=dv[w])
@@ -277,7 +287,8 @@ def padded(rows: np.ndarray, many: int) -> tuple:
     query its place in the window, its position among those of all ordered windows, and its slot; of each slot its position and
     place (0 where padded); and of each part its windows, its slots and the shape of these.
     """
-    window, place = np.divmod(rows, STRIDE)
+    window = rows // STRIDE
+    place = rows - window * STRIDE
     count = np.bincount(window, minlength=many)
     order, to = np.argsort(count, kind="stable"), np.empty(many, np.int64)
     to[order] = np.arange(many)
@@ -426,15 +437,30 @@ def warm_start(docs: DataFrame, tokenizer: str) -> Attention:
     return model
 
 
-def _binaries(values: np.ndarray, sizes: np.ndarray) -> pa.Array:
-    """Binary values of consecutive runs of ``values``."""
-    stops = np.concatenate([[0], np.cumsum(sizes)]) * values.itemsize
-    return pa.Array.from_buffers(pa.large_binary(), len(sizes), [None, pa.py_buffer(stops.astype("<i8")), pa.py_buffer(np.ascontiguousarray(values))]).cast(pa.binary())
+def _small(values: np.ndarray) -> bytes:
+    """Values of at least 0 in as few bytes each as hold the largest; the last byte tells how many."""
+    size = next(n for n in (1, 2, 4, 8) if not len(values) or not int(values.max()) >> 8 * n)
+    return values.astype(f"<u{size}").tobytes() + bytes([size])
 
 
-def _whole(table: pa.Table, name: str, kind: str) -> np.ndarray:
+def _large(value) -> np.ndarray:
+    size = memoryview(value)[-1]
+    return np.frombuffer(value, f"<u{size}", (len(value) - 1) // size)
+
+
+def _parts(values: np.ndarray, sizes: np.ndarray, write=_small) -> pa.Array:
+    """Binaries of consecutive runs of ``values``."""
+    stops = np.cumsum(sizes).tolist()
+    return pa.array([write(values[i:j]) for i, j in zip([0, *stops], stops)], pa.binary())
+
+
+def _whole(table: pa.Table, name: str) -> np.ndarray:
     """Values of all binaries of a column in one row."""
-    return np.frombuffer(b"".join(table.column(name).to_pylist()), kind)
+    return np.concatenate([np.empty(0, np.uint8), *map(_large, table.column(name).to_pylist())])
+
+
+def _joined(column: pa.Array, first: int, last: int) -> list[np.ndarray]:
+    return [_large(column[k].as_buffer()) for k in range(first, last)]
 
 
 _FACTORS = np.random.default_rng(5).integers(0, 1 << 63, 64, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -450,8 +476,8 @@ def _flat(words: pa.Array) -> tuple[np.ndarray, np.ndarray]:
 
 def _words(table: pa.Table) -> pa.Array:
     """Words of all rows, from ``keys`` and ``key_sizes``."""
-    sizes = _whole(table, "key_sizes", "<i4")
-    stops = np.concatenate([[0], np.cumsum(sizes)]).astype("<i8")
+    sizes = _whole(table, "key_sizes").astype(np.int64)
+    stops = np.concatenate([[0], np.cumsum(sizes)])
     return pa.Array.from_buffers(pa.large_binary(), len(sizes), [None, pa.py_buffer(stops), pa.py_buffer(b"".join(table.column("keys").to_pylist()))])
 
 
@@ -468,11 +494,7 @@ def dealt(words: pa.Array, buckets: int) -> tuple[np.ndarray, np.ndarray, dict]:
     some = np.flatnonzero(many)
     many = many[some]
     flat, sizes = _flat(words.take(pa.array(order)))
-    return order, many, {"bucket": pa.array(some, pa.int32()), "keys": _binaries(flat, segment_sums(sizes, many)), "key_sizes": _binaries(sizes.astype("<i4"), many)}
-
-
-def _joined(column: pa.Array, first: int, last: int, kind: str) -> list[np.ndarray]:
-    return [np.frombuffer(column[k].as_buffer(), kind) for k in range(first, last)]
+    return order, many, {"bucket": pa.array(some, pa.int32()), "keys": _parts(flat, segment_sums(sizes, many), np.ndarray.tobytes), "key_sizes": _parts(sizes, many)}
 
 
 COUNTS = "bucket int, keys binary, key_sizes binary, c binary, id_sizes binary, key_ids binary"
@@ -510,8 +532,7 @@ def cut(docs: DataFrame, tokenizer: str, training: Column) -> DataFrame:
             some = np.flatnonzero(counts)
             order, many, columns = dealt(pa.array(map(names.__getitem__, some.tolist()), pa.large_string()), buckets)
             ids, sizes = words.spelled(some[order])
-            yield rows(len(many), **columns, c=_binaries(counts[some[order]].astype("<i8"), many), id_sizes=_binaries(sizes.astype("<i4"), many),
-                       key_ids=_binaries(ids.astype("<u4"), segment_sums(sizes, many)))
+            yield rows(len(many), **columns, c=_parts(counts[some[order]], many), id_sizes=_parts(sizes, many), key_ids=_parts(ids, segment_sums(sizes, many)))
 
         types = None
         for b in batches:
@@ -519,8 +540,8 @@ def cut(docs: DataFrame, tokenizer: str, training: Column) -> DataFrame:
                               "doc": pa.list_(b.schema.field("doc_id").type), **dict.fromkeys(("hash", "many", "at", "sizes", "ids", "words"), pa.binary())}
             texts, parts = text_column(b, "text"), b.column("part").to_numpy()
             hashes = b.column("hash").to_numpy()
-            for first, last in groups(texts):
-                if reader.full():
+            for first, last in groups(texts, CUT_BYTES):
+                if reader.full() and len(counts):  # it may be full from a former task, before this one has counts
                     yield from counted()
                     counts = counts[:0]
                 at, many = reader.numbers(texts.slice(first, last - first))
@@ -547,11 +568,11 @@ def cut(docs: DataFrame, tokenizer: str, training: Column) -> DataFrame:
                     place[own] = np.arange(len(own), dtype=np.int32)
                     ids, sizes = words.spelled(own)
                     out["part"].append(int(part[lo]))
-                    out["hash"].append(hashes[first:last][order[lo:hi]].astype("<i8").tobytes())
-                    out["many"].append(many[lo:hi].astype("<i8").tobytes())
-                    out["at"].append(place[here].astype("<i4").tobytes())
-                    out["sizes"].append(sizes.astype("<i4").tobytes())
-                    out["ids"].append(ids.astype("<u4").tobytes())
+                    out["hash"].append(_small(hashes[first:last][order[lo:hi]].view(np.uint64)))
+                    out["many"].append(_small(many[lo:hi]))
+                    out["at"].append(_small(place[here]))
+                    out["sizes"].append(_small(sizes))
+                    out["ids"].append(_small(ids))
                     out["words"].append(" ".join(map(names.__getitem__, own.tolist())).encode())
                 doc = pa.ListArray.from_arrays(pa.array(bounds, pa.int32()), b.column("doc_id").slice(first, last - first).take(pa.array(order)))
                 yield rows(len(out["part"]), part=pa.array(out["part"], pa.int32()), doc=doc, **{k: pa.array(v, pa.binary()) for k, v in out.items() if k != "part"})
@@ -563,11 +584,13 @@ def cut(docs: DataFrame, tokenizer: str, training: Column) -> DataFrame:
 
 def records(b: pa.RecordBatch, model: Attention):
     """(texts, their dictionary's spellings, first and last row) of runs of records of about GROUP_WORDS words."""
-    for first, last in groups(b.column("at"), 4 * GROUP_WORDS):
-        ids, sizes, at, many = (_joined(b.column(k), first, last, t) for k, t in (("ids", "<u4"), ("sizes", "<i4"), ("at", "<i4"), ("many", "<i8")))
+    total, last = np.cumsum([m.sum() for m in _joined(b.column("many"), 0, b.num_rows)]), 0
+    while last < b.num_rows:
+        first, last = last, max(last + 1, int(np.searchsorted(total, (total[last - 1] if last else 0) + GROUP_WORDS, "right")))
+        ids, sizes, at, many = (_joined(b.column(k), first, last) for k in ("ids", "sizes", "at", "many"))
         before = np.cumsum([0, *map(len, sizes)])
         own = Spellings.of(np.concatenate(ids), np.concatenate(sizes).astype(np.int64))
-        yield placed(model, own, np.concatenate([a + n for a, n in zip(at, before)]), np.concatenate(many)), own, first, last
+        yield placed(model, own, np.concatenate([a + n for a, n in zip(at, before)]), np.concatenate(many).astype(np.int64)), own, first, last
 
 
 def learn(cuts: DataFrame, model: Attention) -> Attention:
@@ -580,7 +603,7 @@ def learn(cuts: DataFrame, model: Attention) -> Attention:
             model, r, done = copy.deepcopy(shared.value), np.random.default_rng([nth, TaskContext.get().partitionId()]), 0
             for b in batches:
                 for t, _, first, last in records(b, model):
-                    hashes = np.abs(np.concatenate(_joined(b.column("hash"), first, last, "<i8")) >> 8)
+                    hashes = np.abs(np.concatenate(_joined(b.column("hash"), first, last)).astype(np.uint64).view(np.int64) >> 8)
                     done += train(model, t, trained_windows(t, hashes), rate, r)
             if done:
                 w = np.append(model.flat().astype(np.float64) * done, done)
@@ -609,12 +632,12 @@ def summed_counts(cuts: DataFrame) -> DataFrame:
     def run(table):
         words = _words(table).dictionary_encode()
         at = words.indices.to_numpy()
-        c, one = np.bincount(at, _whole(table, "c", "<i8")), np.empty(len(words.dictionary), np.int64)
+        c, one = np.bincount(at, _whole(table, "c")), np.empty(len(words.dictionary), np.int64)
         one[at] = np.arange(len(at))
-        ids, sizes = Spellings.of(_whole(table, "key_ids", "<u4"), _whole(table, "id_sizes", "<i4").astype(np.int64)).spelled(one)
+        ids, sizes = Spellings.of(_whole(table, "key_ids"), _whole(table, "id_sizes").astype(np.int64)).spelled(one)
         flat, lengths = _flat(words.dictionary)
-        columns = [flat, lengths.astype("<i4"), c.astype("<i8"), sizes.astype("<i4"), ids.astype("<u4")]
-        return pa.table([table.column("bucket").slice(0, 1), *(pa.array([v.tobytes()], pa.binary()) for v in columns)], names=table.column_names)
+        columns = [flat.tobytes(), *map(_small, (lengths, c.astype(np.int64), sizes, ids))]
+        return pa.table([table.column("bucket").slice(0, 1), *(pa.array([v], pa.binary()) for v in columns)], names=table.column_names)
 
     names = [f.split(" ")[0] for f in COUNTS.split(", ")]
     return staged(cuts.where("bucket IS NOT NULL").select(*names).groupBy("bucket").applyInArrow(run, COUNTS), "word-counts")
@@ -625,7 +648,7 @@ def listed(counts: DataFrame, least: int = 0) -> DataFrame:
 
     def run(batches):
         for b in batches:
-            c = _whole(b, "c", "<i8")
+            c = _whole(b, "c").astype(np.int64)
             some = np.flatnonzero(c >= least)
             yield pa.RecordBatch.from_arrays([_words(b).take(pa.array(some)).cast(pa.binary()).cast(pa.string()), pa.array(c[some])], names=["word", "c"])
 
@@ -637,7 +660,7 @@ def count_steps(counts: DataFrame) -> list:
 
     def run(batches):
         for b in batches:
-            c = _whole(b, "c", "<i8")
+            c = _whole(b, "c").astype(np.int64)
             step = np.frexp(c)[1] - 1
             k, total = np.bincount(step, minlength=1), np.bincount(step, c, 1)
             some = np.flatnonzero(k)
@@ -656,8 +679,8 @@ def mean_shares(model: Attention, counts: DataFrame, ends: int) -> np.ndarray:
         for b in batches:
             for k in range(b.num_rows):
                 row = b.slice(k, 1)
-                sizes = _whole(row, "id_sizes", "<i4").astype(np.int64)
-                total += ((sizes > 0) * (_whole(row, "c", "<i8") + 0.5)) @ softmax(model.own(_whole(row, "key_ids", "<u4"), sizes))
+                sizes = _whole(row, "id_sizes").astype(np.int64)
+                total += ((sizes > 0) * (_whole(row, "c") + 0.5)) @ softmax(model.own(_whole(row, "key_ids"), sizes))
         yield pa.RecordBatch.from_arrays([pa.array(range(STATES), pa.int32()), pa.array(total)], names=["state", "mass"])
 
     total = softmax(model.own(np.array([model.end]), np.array([1])))[0] * (ends + 0.5)
@@ -716,15 +739,15 @@ def rare_shares(rare: DataFrame, f: Fitted) -> DataFrame:
     def answered(rare, counts):
         if not rare.num_rows:
             return ANSWERS.empty_table()
-        many, times = pc.binary_length(rare.column("key_sizes")).to_numpy() // 4, _whole(rare, "times", "<i8")
+        many, times = np.array([len(_large(v)) for v in rare.column("key_sizes").to_pylist()]), _whole(rare, "times").astype(np.int64)
         known = _words(counts)
-        c = np.append(_whole(counts, "c", "<i8"), 0)[pc.fill_null(pc.index_in(_words(rare), known), len(known)).to_numpy()]
-        columns = [_binaries(times * (np.log10(c + 0.5) - below), many), _binaries(np.where(c > 0, times, 0), many)]
+        c = np.append(_whole(counts, "c"), 0)[pc.fill_null(pc.index_in(_words(rare), known), len(known)).to_numpy()]
+        columns = [_parts(times * (np.log10(c + 0.5) - below), many, np.ndarray.tobytes), _parts(np.where(c > 0, times, 0), many)]
         return pa.table([rare.column("chunk"), rare.column("at"), *columns], names=["chunk", "at", "more", "also"])
 
     def summed(table):
-        at = _whole(table, "at", "<i4")
-        more, also = np.bincount(at, _whole(table, "more", "<f8")), np.bincount(at, _whole(table, "also", "<i8"))
+        at = _whole(table, "at")
+        more, also = np.bincount(at, np.frombuffer(b"".join(table.column("more").to_pylist()))), np.bincount(at, _whole(table, "also"))
         some = np.flatnonzero(np.bincount(at))
         return pa.table([pa.array(table.column("chunk")[0].as_py() + some), pa.array(more[some]), pa.array(also[some].astype(np.int64))], names=["row", "more", "also"])
 
@@ -738,7 +761,7 @@ def scored(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: st
     d = docs.select(docs[id_col].alias("doc_id"), docs[text_col].cast("string").alias("text"))
     cuts = cut(d, tokenizer, ~held_out(F.col("doc_id")))
     f = fitted or fit(d.where(~held_out(F.col("doc_id"))), tokenizer, cuts)
-    ends, buckets = f.ends, f.buckets
+    ends, buckets, rare_most = f.ends, f.buckets, RARE_MOST
     shared = d.sparkSession.sparkContext.broadcast((f.model, f.pi, list(f.shares), np.array([*f.shares.values(), math.nan])))
 
     def run(batches):
@@ -750,7 +773,7 @@ def scored(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: st
         def sent():
             words, at, times = (pa.concat_arrays(k) if isinstance(k[0], pa.Array) else np.concatenate(k) for k in zip(*kept))
             order, many, columns = dealt(words, buckets)
-            columns |= {"chunk": pa.array(np.full(len(many), (task << 40) + chunk)), "at": _binaries(at[order].astype("<i4"), many), "times": _binaries(times[order].astype("<i8"), many)}
+            columns |= {"chunk": pa.array(np.full(len(many), (task << 40) + chunk)), "at": _parts(at[order], many), "times": _parts(times[order], many)}
             return pa.RecordBatch.from_arrays([columns.get(k, pa.nulls(len(many), t)) for k, t in types.items()], names=list(types))
 
         types = None
@@ -772,7 +795,7 @@ def scored(docs: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: st
                     key, times = np.unique(np.repeat(np.arange(n), t.many)[rare] << 32 | t.at[rare], return_counts=True)
                     kept.append((names.values.take(pa.array(here + (key & 0xFFFFFFFF))), nth - chunk + (key >> 32), times))
                 nth += n
-                if sum(len(k[1]) for k in kept) > RARE_MOST:
+                if sum(len(k[1]) for k in kept) > rare_most:
                     yield sent()
                     kept, chunk = [], nth
         if kept:

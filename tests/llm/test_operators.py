@@ -482,3 +482,27 @@ def test_lm_moves_words_by_bucket(spark, sf, odd, tokenizer, monkeypatch):
     share = lambda x: sum(math.log10(want[w] + 0.5) - f.below for w in re.split("[\x20\x09-\x0d]+", re.sub("[A-Z]", lambda y: y[0].lower(), x)) if w) + f.shares[""]
     assert np.allclose(sorted(r["base_score"] for r in got), sorted(map(share, texts)))
     assert all(r["n_known"] == r["n_tokens"] for r in got)
+
+
+def test_lm_cuts_in_workers_with_full_memory(spark, sf, tokenizer):
+    """A task may begin in a worker whose memory of words is full from a former task."""
+
+    def fill(batches):
+        words, many = packing.Encoder.at(tokenizer).words, packing.HELD_MOST + 1
+        words.add([f"\n{k}" for k in range(many)], np.zeros(many, np.uint32), np.ones(many, np.int64))
+        yield from batches
+
+    docs = spark.read.parquet(f"{sf('sf0.001')}/documents.parquet").select("doc_id", "text")
+    assert spark.range(64).repartition(8).mapInPandas(fill, "id long").agg(F.sum("id")).collect()[0][0] == 2016
+    cuts = lm_scoring.cut(docs.repartition(8), tokenizer, F.lit(True))
+    assert cuts.agg(F.sum("ends")).collect()[0][0] == docs.count()
+
+
+def test_lm_arrays_in_few_bytes():
+    r = np.random.default_rng(3)
+    for most in (1, 255, 256, 65_535, 65_536, 1 << 32, 1 << 62):
+        v = np.append(r.integers(0, most, 9), most)
+        assert (lm_scoring._large(lm_scoring._small(v)) == v).all()
+    assert len(lm_scoring._small(np.arange(256))) == 257 and len(lm_scoring._large(lm_scoring._small(np.empty(0, np.int64)))) == 0
+    t = pa.table({"x": lm_scoring._parts(np.array([7, 300, 70_000, 1]), np.array([1, 0, 2, 1]))})
+    assert lm_scoring._whole(t, "x").tolist() == [7, 300, 70_000, 1] and len(lm_scoring._whole(t.slice(0, 0), "x")) == 0
